@@ -5,8 +5,9 @@ from __future__ import annotations
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from biclique_spark.llm import bpe, exact_dedup, token_counts
+from biclique_spark.llm import bpe, chat, exact_dedup, token_counts
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 ORACLES: dict[str, str] = {}
@@ -51,3 +52,29 @@ def op6(spark: SparkSession, sf_dir: str) -> DataFrame:
 
     path = public_tokenizers.path("byte_bpe_50k.tiktoken")
     return bpe.round_trip(_table(spark, sf_dir, "documents"), path, public_tokenizers.PATTERN)
+
+
+@query("op2_chat_format")
+def op2(spark: SparkSession, sf_dir: str) -> DataFrame:
+    turns = _table(spark, sf_dir, "conversations").select("conv_id", "turn", "role", "text")
+    said = "\\### Assistant: </turn> ok"
+    more = spark.range(2).selectExpr("-7L as conv_id", "id as turn", "if(id = 0, 'user', 'assistant') as role").withColumn("text", F.lit(said))
+    return chat.digests(chat.format_chats(turns.unionByName(more)))
+
+
+# The formatted length of a turn: its text escaped, and for each run of a role the marks around it.
+ORACLES["op2_chat_format"] = r"""
+with t as (select conv_id, turn, coalesce(role, '') as role, coalesce(text, '') as text from conversations
+           union all select -7, 0, 'user', '\### Assistant: </turn> ok'
+           union all select -7, 1, 'assistant', '\### Assistant: </turn> ok'),
+o as (select *, lag(role) over w as before, row_number() over w as n,
+        regexp_replace(replace(text, '\', '\\'), '<(/?turn>|body>|part>)', '<\\\1', 'g') as esc,
+        regexp_replace(replace(role, '\', '\\'), '<(/?turn>|body>|part>)', '<\\\1', 'g') as esc_role
+      from t window w as (partition by conv_id order by turn, role, text))
+select conv_id, count(*) as n_turns,
+  sha256(string_agg(role || chr(10) || text || chr(10), '' order by n)) as turns_sha256,
+  coalesce(sum(length(text)) filter (where role = 'assistant'), 0)::bigint as loss_chars,
+  sha256(coalesce(string_agg(text, '' order by n) filter (where role = 'assistant'), '')) as loss_sha256,
+  sum(length(esc) + case when n > 1 and before = role then 6 else 6 + length(esc_role) + 6 + 8 end)::bigint as formatted_chars
+from o group by conv_id
+"""
