@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from biclique_spark.llm import bpe, chat, exact_dedup, token_counts
+from biclique_spark.llm import bpe, chat, exact_dedup, mixing, token_counts
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 ORACLES: dict[str, str] = {}
@@ -78,3 +78,8 @@ select conv_id, count(*) as n_turns,
   sum(length(esc) + case when n > 1 and before = role then 6 else 6 + length(esc_role) + 6 + 8 end)::bigint as formatted_chars
 from o group by conv_id
 """
+
+
+@query("op3_source_mix")
+def op3(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return mixing.taken(_table(spark, sf_dir, "documents"))
