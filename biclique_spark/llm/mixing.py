@@ -91,19 +91,22 @@ def cut(placed: DataFrame, length: int) -> DataFrame:
     return rows.withColumn("words", F.least(end, (F.col("block") + 1) * length) - F.greatest(F.col("start"), F.col("block") * length))
 
 
-def permuted(x: Column, n: Column, keys: Column, tag: Column, rounds: int) -> list[tuple[str, Column]]:
-    """Steps of a swap-or-not shuffle of 0..n-1: in each round a number and its mirror change places or not."""
-    steps = [("x", x)]
-    for r in range(rounds):
-        steps.append(("partner", F.pmod(F.get(keys, F.lit(r)) + n - F.col("x"), n)))
-        coin = F.substring(F.md5(F.concat_ws(":", tag, F.lit(r), F.greatest("x", "partner").cast("string"))), 1, 1) < "8"
-        steps.append(("x", F.when(coin, F.col("partner")).otherwise(F.col("x"))))
-    return steps
+def permuted(x: Column, n: Column, keys: Column, tag: Column) -> Column:
+    """Where a swap-or-not shuffle of 0..n-1 puts x: in each round (a key each) a number and its mirror change
+    places or not. The rounds are one aggregate over the keys, so that no rule of the optimiser can multiply them."""
+    rounds = F.transform(keys, lambda k, r: F.struct(k.alias("k"), r.alias("r")))
+
+    def one(at: Column, key: Column) -> Column:
+        partner = F.pmod(key["k"] + n - at, n)
+        coin = F.substring(F.md5(F.concat_ws(":", tag, key["r"].cast("string"), F.greatest(at, partner).cast("string"))), 1, 1)
+        return F.when(coin < "8", partner).otherwise(at)
+
+    return F.coalesce(F.aggregate(rounds, x, one), F.lit(0).cast("long"))
 
 
 def mix(
     docs: DataFrame,
-    length: int = 128,
+    length: int = 64,
     shard_slots: int = 4096,
     weights: tuple[int, ...] = (1, 2, 3),
     most: int = 3,
@@ -174,9 +177,8 @@ def mix(
     chunks = passes.withColumn("tag", tag).withColumn("keys", keys).withColumn("from", F.explode(F.sequence(F.lit(0).cast("long"), F.col("here") - 1, F.lit(CHUNK).cast("long"))))
     chunks = chunks.repartition(F.col("source_key"), F.col("pass"), F.col("from"))
     slots = chunks.withColumn("i", F.explode(F.sequence(F.col("from"), F.least(F.col("here"), F.col("from") + CHUNK) - 1)))
-    for name, step in permuted(F.col("i"), F.col("blocks"), F.col("keys"), F.col("tag"), ROUNDS):
-        slots = slots.withColumn(name, step)
-    slots = slots.select("source_key", (F.col("pass") * F.col("blocks") + F.col("i")).alias("rank"), F.col("x").alias("block"))
+    block = permuted(F.col("i"), F.col("blocks"), F.col("keys"), F.col("tag"))
+    slots = slots.select("source_key", (F.col("pass") * F.col("blocks") + F.col("i")).alias("rank"), block.alias("block"))
     return Mix(sizes, sources, cut(placed, length), slots, shard_counts, length)
 
 
