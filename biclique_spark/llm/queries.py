@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from biclique_spark.llm import ann, bpe, chat, exact_dedup, mixing, quality, token_counts, toxicity
+from biclique_spark.llm import ann, bpe, chat, exact_dedup, mixing, quality, substring, token_counts, toxicity
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 ORACLES: dict[str, str] = {}
@@ -98,3 +98,21 @@ def op10(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query("op1_ann")
 def op1(spark: SparkSession, sf_dir: str) -> DataFrame:
     return ann.search(_table(spark, sf_dir, "embeddings"), F.col("vec_id") % 20 == 0)
+
+
+@query("op5_substring_dedup")
+def op5(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return substring.remove_repeats(_table(spark, sf_dir, "documents"))
+
+
+ORACLES["op5_substring_dedup"] = r"""
+with d as (select row_number() over () as r, doc_id, list_filter(regexp_split_to_array(coalesce(text, ''), '[\x20\x09-\x0D]+'), lambda x: x <> '') as w from documents),
+s as (select r, doc_id, w, unnest(range(1, len(w) - 11)) as i from d where len(w) >= 13),
+x as (select r, doc_id, i, array_to_string(w[i:i+12], ' ') as t from s),
+f as (select t, min(doc_id) as m from x group by t having min(doc_id) < max(doc_id)),
+g as (select distinct r, unnest(range(i, i + 13)) as j from x join f using (t) where doc_id > m),
+p as (select r, unnest(w) as word, unnest(range(1, len(w) + 1)) as j from d),
+k as (select r, string_agg(word, ' ' order by j) as kept, count(*) as n from p anti join g using (r, j) group by r)
+select doc_id, len(w)::bigint as n_words, (len(w) - coalesce(n, 0))::bigint as n_removed, sha256(coalesce(kept, '')) as kept_sha256
+from d left join k using (r)
+"""
