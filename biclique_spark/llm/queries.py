@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from biclique_spark.llm import ann, bpe, chat, exact_dedup, mixing, quality, substring, token_counts, toxicity
+from biclique_spark.llm import ann, bpe, chat, exact_dedup, mixing, ngram_join, quality, substring, token_counts, toxicity
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 ORACLES: dict[str, str] = {}
@@ -116,3 +116,22 @@ k as (select r, string_agg(word, ' ' order by j) as kept, count(*) as n from p a
 select doc_id, len(w)::bigint as n_words, (len(w) - coalesce(n, 0))::bigint as n_removed, sha256(coalesce(kept, '')) as kept_sha256
 from d left join k using (r)
 """
+
+
+@query("op4_ngram_jaccard")
+def op4(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return ngram_join.join_components(_table(spark, sf_dir, "documents"), 4, 85)
+
+
+ORACLES["op4_ngram_jaccard"] = r"""
+with recursive d as materialized (select doc_id, list_filter(regexp_split_to_array(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[\x20\x09-\x0D]+'), lambda x: x <> '') as w from documents),
+s as materialized (select distinct doc_id, case when len(w) < 4 then array_to_string(w, ' ') else array_to_string(w[i:i+3], ' ') end as t
+      from (select doc_id, w, unnest(range(1, greatest(len(w) - 3, 1) + 1)) as i from d where len(w) > 0)),
+n as materialized (select doc_id, count(*) as n from s group by doc_id),
+p as materialized (select a.doc_id as a, b.doc_id as b, count(*) as o from s a join s b on a.t = b.t and a.doc_id < b.doc_id group by 1, 2),
+l as materialized (select a, b from p join n x on x.doc_id = a join n y on y.doc_id = b where 100 * o >= 85 * (x.n + y.n - o)),
+e as materialized (select a, b from l union select b, a from l),
+r as (select doc_id as a, doc_id as c from n union select e.b, r.c from r join e on e.a = r.a)
+select d.doc_id, coalesce(n.n, 0) as n_shingles, coalesce(min(r.c), d.doc_id) as component_id
+from d left join n using (doc_id) left join r on r.a = d.doc_id group by d.doc_id, n.n
+"""
