@@ -52,7 +52,8 @@ def stream_state(spark: SparkSession, thin_path: str, schema, files_per_trigger:
         spark__sql__streaming__stateStore__providerClass=STATE,
         spark__sql__streaming__stateStore__rocksdb__boundedMemoryUsage="true",
         spark__sql__streaming__stateStore__rocksdb__maxMemoryUsageMB="200",
-        # State is spread over many stores: no space is reserved ahead, and a commit writes what changed.
+        # State is spread over as many stores as a shuffle has partitions: none reserves disk ahead, and a commit
+        # writes what changed.
         spark__sql__streaming__stateStore__rocksdb__allowFAllocate="false",
         spark__sql__streaming__stateStore__rocksdb__changelogCheckpointing__enabled="true",
     ):
