@@ -212,3 +212,15 @@ def mixed_texts(docs: DataFrame, **options) -> DataFrame:
     """source_key, rank, block, text: the output itself, a block of text for each slot."""
     m = mix(docs, **options)
     return m.slots.join(block_texts(docs, m), ["source_key", "block"])
+
+
+def mixed_documents(docs: DataFrame, seed: int = 17, id_col: str = "doc_id", **options) -> DataFrame:
+    """Rows of docs, with all their columns, as often as the mix takes their words: the share taken / size is rounded up
+    or down by a draw, so sources keep their totals. Rows without words are in no mix. Rows that share an id share
+    their count."""
+    t = taken(docs, seed=seed, id_col=id_col, **options).groupBy("doc_id").agg(F.sum("taken").alias("taken"), F.sum("size").alias("size"))
+    share = F.col("taken") / F.greatest("size", F.lit(1))
+    copies = F.floor(share + uniform(F.lit(seed), F.lit("copies"), F.col("doc_id").cast("string"))).cast("int")
+    chosen = written(t.select(F.col("doc_id").alias("__id"), copies.alias("__copies")).where("__copies > 0"), "mix-copies")
+    rows = docs.join(small(chosen), docs[id_col].eqNullSafe(F.col("__id")))
+    return rows.withColumn("__copy", F.explode(F.sequence(F.lit(1), F.col("__copies")))).drop("__id", "__copies", "__copy")

@@ -193,3 +193,33 @@ def quality(
         "score",
         (F.col("score") >= threshold).cast("int").alias("predicted"),
     )
+
+
+def keep(
+    docs: DataFrame,
+    labels: DataFrame,
+    folds: int = 5,
+    held: int = 0,
+    threshold: float = 0.3,
+    id_col: str = "doc_id",
+    text_col: str = "text",
+    chars_col: str | None = "n_chars",
+    label_col: str = "quality",
+) -> DataFrame:
+    """The rows of docs, with all their columns, whose score is at least the threshold; see quality(). Rows are scored
+    where they are read, so nothing is shuffled."""
+    model = fit(docs, labels.where(remainder(F.col(id_col), folds) != held), id_col, text_col, chars_col, label_col)
+    at = docs.columns.index(text_col)
+    chars_at = docs.columns.index(chars_col) if chars_col else None
+
+    def run(source: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in source:
+            fine = []
+            for i in range(0, b.num_rows, 256):
+                part = b.slice(i, 256)
+                texts = [t or "" for t in part.column(at).to_pylist()]
+                chars = part.column(chars_at).to_pylist() if chars_at is not None else [None] * len(texts)
+                fine += (model.score(*features(texts, chars)) >= threshold).tolist()
+            yield b.filter(pa.array(fine, pa.bool_()))
+
+    return docs.mapInArrow(run, docs.schema)
