@@ -12,6 +12,11 @@ from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 from biclique_spark.sources.io import shared_dir
 
 
+def _timed(events: DataFrame, ts: str, late: str) -> DataFrame:
+    """Batch rows as they are; a stream with its watermark, which needs a time with zone."""
+    return events.withColumn(ts, F.col(ts).cast("timestamp")).withWatermark(ts, late) if events.isStreaming else events
+
+
 def event_stream(spark: SparkSession, folder: str, files_per_trigger: int = 1) -> DataFrame:
     """A stream over a folder of event files."""
     schema = spark.read.parquet(folder).schema
@@ -23,13 +28,13 @@ def stream_edges(events: DataFrame, u: str = "user_id", v: str = "event_type", t
     rows = events.select(F.col(u).alias("u"), F.col(v).alias("v"), F.col(ts).alias("ts")).dropna()
     if not events.isStreaming:
         return rows.groupBy("u", "v").agg(F.min("ts").alias("ts"))
-    return rows.withWatermark("ts", late).dropDuplicatesWithinWatermark(["u", "v"])
+    return _timed(rows, "ts", late).dropDuplicatesWithinWatermark(["u", "v"])
 
 
 def windowed_graphs(events: DataFrame, size: str = "1 day", slide: str | None = None, u: str = "user_id", v: str = "event_type", ts: str = "ts", late: str = "2 hours") -> DataFrame:
     """window_start, u, v, n: a graph for each window; the same for batch and stream."""
     rows = events.select(F.col(u).alias("u"), F.col(v).alias("v"), F.col(ts).alias("ts")).dropna()
-    rows = rows.withWatermark("ts", late) if events.isStreaming else rows
+    rows = _timed(rows, "ts", late)
     w = F.window("ts", size, slide) if slide else F.window("ts", size)
     return rows.groupBy(w.alias("w"), "u", "v").agg(F.count(F.lit(1)).alias("n")).select(F.col("w.start").alias("window_start"), "u", "v", "n")
 
@@ -37,7 +42,7 @@ def windowed_graphs(events: DataFrame, size: str = "1 day", slide: str | None =
 def session_graphs(events: DataFrame, gap: str = "6 hours", u: str = "user_id", v: str = "event_type", ts: str = "ts", late: str = "2 hours") -> DataFrame:
     """session_start, u, degree: a user's sessions and how many neighbours each has."""
     rows = events.select(F.col(u).alias("u"), F.col(v).alias("v"), F.col(ts).alias("ts")).dropna()
-    rows = rows.withWatermark("ts", late) if events.isStreaming else rows
+    rows = _timed(rows, "ts", late)
     s = rows.groupBy(F.session_window("ts", gap).alias("s"), "u").agg(F.size(F.collect_set("v")).alias("degree"))
     return s.select(F.col("s.start").alias("session_start"), "u", "degree")
 
