@@ -18,8 +18,10 @@ from pyspark.sql import functions as F
 from biclique_spark.llm.common import WORD, small, written
 
 #: Documents in a bucket of the two-level running sum; buckets of the draws' lookup; rounds of the permutation.
-BUCKET_ROWS, LOOKUP, ROUNDS = 4096, 256, 6
+BUCKET_ROWS, LOOKUP, ROUNDS = 1024, 256, 6
 CHUNK = 1 << 14
+#: Slots that a task makes about; few rows become many here, so the number of tasks is given.
+SLOTS_A_TASK = 1 << 16
 
 
 def uniform(*parts: Column) -> Column:
@@ -140,7 +142,7 @@ def mix(
         .withColumn("expected", F.col("share") * slots_of)
         .withColumn("base", F.floor("expected"))
         .withColumn("part", F.col("expected") - F.col("base"))
-        .withColumn("parts", F.sum("part").over(kind))
+        .withColumn("parts", F.greatest(F.sum("part").over(kind), F.lit(1e-300)))  # 0 where nothing is drawn
         .withColumn("drawn", slots_of - F.sum("base").over(kind))
         .withColumn("high", F.when(F.row_number().over(kind.orderBy(F.desc("source_key"))) == 1, 1.0).otherwise(F.sum("part").over(order) / F.col("parts")))
         .withColumn("low", (F.sum("part").over(order) - F.col("part")) / F.col("parts"))
@@ -175,7 +177,7 @@ def mix(
     tag = F.md5(F.concat_ws(":", F.lit(seed), F.col("source_key"), F.col("pass").cast("string")))
     keys = F.array(*[F.conv(F.substring(F.md5(F.concat_ws(":", F.col("tag"), F.lit(r))), 1, 13), 16, 10).cast("long") % F.col("blocks") for r in range(ROUNDS)])
     chunks = passes.withColumn("tag", tag).withColumn("keys", keys).withColumn("from", F.explode(F.sequence(F.lit(0).cast("long"), F.col("here") - 1, F.lit(CHUNK).cast("long"))))
-    chunks = chunks.repartition(F.col("source_key"), F.col("pass"), F.col("from"))
+    chunks = chunks.repartition(max(1, -(-total // SLOTS_A_TASK)), "source_key", "pass", "from")
     slots = chunks.withColumn("i", F.explode(F.sequence(F.col("from"), F.least(F.col("here"), F.col("from") + CHUNK) - 1)))
     block = permuted(F.col("i"), F.col("blocks"), F.col("keys"), F.col("tag"))
     slots = slots.select("source_key", (F.col("pass") * F.col("blocks") + F.col("i")).alias("rank"), block.alias("block"))
@@ -187,7 +189,8 @@ def taken(docs: DataFrame, **options) -> DataFrame:
     m = mix(docs, **options)
     copies = m.slots.groupBy("source_key", "block").agg(F.count(F.lit(1)).alias("copies"))
     used = (
-        m.pieces.join(copies, ["source_key", "block"], "left")
+        # The optimiser takes exploded slots for as small as the table they come from, and would broadcast them.
+        m.pieces.join(copies.hint("merge"), ["source_key", "block"], "left")
         .groupBy("doc_id", "source_key", "size", "start")
         .agg(F.sum(F.col("words") * F.coalesce("copies", F.lit(0))).alias("taken"))
         .select("doc_id", "source_key", "size", "taken")
@@ -211,7 +214,7 @@ def block_texts(docs: DataFrame, m: Mix, id_col: str = "doc_id", text_col: str =
 def mixed_texts(docs: DataFrame, **options) -> DataFrame:
     """source_key, rank, block, text: the output itself, a block of text for each slot."""
     m = mix(docs, **options)
-    return m.slots.join(block_texts(docs, m), ["source_key", "block"])
+    return m.slots.hint("merge").join(block_texts(docs, m), ["source_key", "block"])
 
 
 def mixed_documents(docs: DataFrame, seed: int = 17, id_col: str = "doc_id", **options) -> DataFrame:
