@@ -1,29 +1,48 @@
-"""Words of whole texts as 64-bit numbers, and runs of words hashed at once."""
+"""Words of whole texts as 64-bit numbers, and runs of words hashed at once.
+
+A word's number is a polynomial in an odd base over random 64-bit values of its bytes, modulo 2^64, then mixed with
+its length. Sums over a text up to each byte give all its words' numbers in a few array operations.
+"""
 
 from __future__ import annotations
 
 import numpy as np
-import xxhash
 
-#: Words remembered by a Python worker.
-KEPT = 1 << 20
-_known: dict[bytes, int] = {}
+_BASE = 0x9E3779B97F4A7C15 | 1
+_VALUE = np.random.default_rng(20240607).integers(1, 2**63, 256, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
+_LOWER = _VALUE.copy()
+_LOWER[65:91] = _VALUE[97:123]
+_SPACE = np.zeros(256, bool)
+_SPACE[[0x20, *range(0x09, 0x0E)]] = True
+_powers = [np.ones(1, np.uint64), np.ones(1, np.uint64)]
+
+
+def _up_to(n: int) -> tuple[np.ndarray, np.ndarray]:
+    """Powers of the base and of its inverse, kept for the longest text so far."""
+    if len(_powers[0]) < n:
+        size = 1 << max(16, (n - 1).bit_length())
+        for k, b in enumerate((_BASE, pow(_BASE, -1, 1 << 64))):
+            steps = np.full(size, b, np.uint64)
+            steps[0] = 1
+            _powers[k] = np.cumprod(steps, dtype=np.uint64)
+    return _powers[0], _powers[1]
 
 
-def word_codes(text: bytes) -> np.ndarray:
-    """A 64-bit hash of each word; words end at the six ASCII white space bytes."""
-    global _known
-    if len(_known) > KEPT:
-        _known = {}
-    words = text.split()
-    known, code = _known, xxhash.xxh3_64_intdigest
-    try:
-        return np.fromiter(map(known.__getitem__, words), np.uint64, len(words))
-    except KeyError:
-        for w in words:
-            if w not in known:
-                known[w] = code(w)
-        return np.fromiter(map(known.__getitem__, words), np.uint64, len(words))
+def word_codes(text: bytes, lower: bool = False) -> np.ndarray:
+    """A 64-bit hash of each word; words end at the six ASCII white space bytes. lower: A-Z count as a-z."""
+    raw = np.frombuffer(text, np.uint8).astype(np.intp)
+    n = len(raw)
+    if not n:
+        return np.zeros(0, np.uint64)
+    gap = np.ones(n + 2, np.int8)
+    gap[1:-1] = _SPACE[raw]
+    edge = np.diff(gap)
+    start, end = np.nonzero(edge < 0)[0], np.nonzero(edge > 0)[0]
+    power, inverse = _up_to(n + 1)
+    sums = np.zeros(n + 1, np.uint64)
+    np.cumsum((_LOWER if lower else _VALUE)[raw] * power[:n], out=sums[1:])
+    h = (sums[end] - sums[start]) * inverse[start]
+    return mixed(h + (end - start).astype(np.uint64) * np.uint64(0xD6E8FEB86659FD93))
 
 
 def mixed(x: np.ndarray) -> np.ndarray:
@@ -38,9 +57,9 @@ def runs(codes: np.ndarray, n: int, seed: int = 0) -> np.ndarray:
     if not len(codes):
         return codes
     n = min(n, len(codes))
-    m = len(codes) - n + 1
-    h = np.full(m, (0x243F6A8885A308D3 + seed * 0x9E3779B97F4A7C15) & (2**64 - 1), np.uint64)
-    for i in range(n):
-        h = h * np.uint64(0xD1342543DE82EF95) + codes[i : i + m]
-        h ^= h >> np.uint64(29)
-    return mixed(h)
+    if seed:
+        codes = mixed(codes + np.uint64(seed * 0x9E3779B97F4A7C15 & (1 << 64) - 1))
+    power, inverse = _up_to(len(codes) + 1)
+    sums = np.zeros(len(codes) + 1, np.uint64)
+    np.cumsum(codes * power[: len(codes)], out=sums[1:])
+    return mixed((sums[n:] - sums[:-n]) * inverse[: len(codes) - n + 1])
