@@ -41,7 +41,8 @@ def broom_index(colored: DataFrame, p: int, q: int, weight: str = "double", bloc
     for t, step in enumerate(broom_steps(p, q), 1):
         key, color = ("u", "cv") if step == "U" else ("v", "cu")
         if blocks:
-            out = skewsafe_prefix(out, key, color, f"w{t}", f"w{t + 1}", kind, blocks)
+            # Each step reads the last one twice, so it is stored: plans would double with every step.
+            out = written(skewsafe_prefix(out, key, color, f"w{t}", f"w{t + 1}", kind, blocks), "broom-layer")
         else:
             before = Window.partitionBy(key).orderBy(color).rangeBetween(Window.unboundedPreceding, -1)
             out = out.withColumn(f"w{t + 1}", F.coalesce(F.sum(f"w{t}").over(before).cast(kind), F.lit(0).cast(kind)))
