@@ -19,6 +19,8 @@ from pyspark.sql import functions as F
 
 #: Labelled rows used for fitting at most; hashed words; columns of V.
 SAMPLE, BUCKETS, RANK = 8_000, 1 << 14, 4
+#: Words whose bucket a Python worker remembers; the worker lives on into later stages.
+KEPT = 1 << 18
 #: Names of the structure and metadata features; each also falls into one of BINS bins that are features of their own.
 STATS = ("chars", "words", "word_chars", "distinct", "top_word", "repeats", "upper", "digits", "marks", "wide", "line_words", "same_lines", "n_chars")
 BINS = 8
@@ -53,7 +55,7 @@ def statistics(text: str, words: list[str], counts: Counter, n_chars: int | None
 def features(texts: list[str], n_chars: list[int | None]) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
     """Buckets of words, their values, how many each text has; and the statistics, a row a text."""
     global _words
-    if len(_words) > 1 << 20:
+    if len(_words) > KEPT:
         _words = {}
     index, value, sizes, stats = [], [], [], []
     for text, n in zip(texts, n_chars, strict=True):
