@@ -4,7 +4,8 @@ A window is ``window`` consecutive words. First every partition sketches its win
 and a cell counts the rows (documents) it had, as far as "more than one" goes. The sketches are cut into ranges of
 cells and merged, a range a task, into one bit a cell: counted more than once. A count can only be too high, so no
 repeated window is lost. A second pass sends on only the windows whose cell has its bit set, and groups them
-exactly, by 128 bits of hash. A sketch of SPARSE cells a window leaves few others.
+exactly, by 96 bits of hash. A sketch of SPARSE cells a window leaves few others; beyond MOST_CELLS more windows
+are grouped for nothing, and none is lost.
 
 Both passes pack hashes into arrays of bytes, by range of cells, so that neither shuffle has a row a window.
 """
@@ -20,10 +21,10 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from biclique_spark.llm.common import size_of, written
-from biclique_spark.llm.words import runs, word_codes
+from biclique_spark.llm.words import mixed, runs, word_codes
 
-#: Cells for each window expected; the largest sketch (its bits are broadcast: 2^31 cells are 256 MB).
-SPARSE, MOST_CELLS = 8, 1 << 31
+#: Cells for each window expected; the largest sketch (its bits are broadcast: 2^30 cells are 128 MB).
+SPARSE, MOST_CELLS = 4, 1 << 30
 #: Windows that a merging task gets about, and bytes of text gathered before hashes are sent on.
 SHARE, GATHER = 1 << 20, 1 << 24
 
@@ -90,21 +91,18 @@ def repeated_cells(docs: DataFrame, window: int, bits: int, ranges: int) -> Data
 
 
 def repeats(docs: DataFrame, window: int, id_col: str, text_col: str) -> DataFrame:
-    """(doc_id, starts): words at which windows start that also start in a row with a smaller id.
-
-    ``starts`` are little-endian 32-bit numbers, as many rows a document as ranges have some of it.
-    """
+    """(doc_id, runs): the words of each document that windows cover which also start in a row with a smaller id, as
+    pairs of little-endian 32-bit numbers, from and up to. Ranges send what they find to buckets of documents, packed,
+    and a bucket puts each document's windows together."""
     spark = docs.sparkSession
     total = size_of(docs, text_col)
     rows = _rows(docs, id_col, text_col).where("doc_id is not null")
     bits = sketch_bits(total)
     # Ranges follow the data, so that the share of one stays the same.
     ranges = 1 << min(bits - 12, max(3, (total // 6 // SHARE).bit_length()))
-    parts = written(repeated_cells(rows, window, bits, ranges), "substring-sketch").orderBy("range").toArrow()  # 1 / 8 byte a cell
     whole = np.zeros((ranges, (1 << bits) // ranges // 8), np.uint8)
-    for r, bitmap in zip(parts["range"].to_pylist(), parts["bitmap"], strict=True):
-        whole[r] = np.frombuffer(bitmap.as_buffer(), np.uint8)
-    del parts
+    for part in written(repeated_cells(rows, window, bits, ranges), "substring-sketch").toLocalIterator():  # 1 / 8 byte a cell
+        whole[part["range"]] = np.frombuffer(part["bitmap"], np.uint8)
     sketch = spark.sparkContext.broadcast(whole.ravel())
     del whole
     shift = np.uint64(64 - (ranges.bit_length() - 1))
@@ -119,13 +117,14 @@ def repeats(docs: DataFrame, window: int, id_col: str, text_col: str) -> DataFra
             h, g, doc, start = h[order], g[order], doc[order], start[order]
             cut = np.append(np.searchsorted(h, np.arange(ranges, dtype=np.uint64) << shift), len(h))
             names = np.array(ids, np.int64)
-            out: dict[str, list] = {k: [] for k in ("range", "h", "g", "doc", "start", "ids")}
+            out: dict[str, list] = {k: [] for k in ("range", "h", "g", "doc", "low", "high", "ids")}
             for r in range(ranges):
                 own = slice(cut[r], cut[r + 1])
                 if cut[r] < cut[r + 1]:
                     used, back = np.unique(doc[own], return_inverse=True)
-                    for k, x in zip(out, (r, h[own].tobytes(), g[own].tobytes(), back.astype(np.uint32).tobytes(), start[own].tobytes(), names[used].tobytes()), strict=True):
-                        out[k].append(x)
+                    values = (r, h[own], g[own], back.astype(np.uint16), start[own].astype(np.uint16), (start[own] >> np.uint32(16)).astype(np.uint16), names[used])
+                    for k, x in zip(out, values, strict=True):
+                        out[k].append(x if k == "range" else x.tobytes())
             return pa.record_batch([pa.array(out["range"], pa.int32()), *[pa.array(out[k], pa.binary()) for k in list(out)[1:]]], list(out))
 
         for b in source:
@@ -138,10 +137,10 @@ def repeats(docs: DataFrame, window: int, id_col: str, text_col: str) -> DataFra
                 cells = _cells(h, bits)
                 at = np.nonzero(bitmap[cells >> np.uint64(3)] >> (np.uint8(7) - (cells & np.uint64(7)).astype(np.uint8)) & 1)[0]
                 if len(at):
-                    gathered.append((h[at], runs(codes, window, 1)[at], np.full(len(at), len(ids), np.uint32), at.astype(np.uint32)))
+                    gathered.append((h[at], runs(codes, window, 1)[at].astype(np.uint32), np.full(len(at), len(ids), np.uint32), at.astype(np.uint32)))
                     ids.append(doc_id)
-                    size += 24 * len(at)
-                if size > GATHER:
+                    size += 20 * len(at)
+                if size > GATHER or len(ids) == 60_000:
                     yield sent()
                     gathered, ids, size = [], [], 0
         if gathered:
@@ -153,33 +152,56 @@ def repeats(docs: DataFrame, window: int, id_col: str, text_col: str) -> DataFra
             for i in range(b.num_rows):
                 column = lambda k, kind: np.frombuffer(b.column(k)[i].as_buffer(), kind)  # noqa: B023, E731
                 h.append(column("h", np.uint64))
-                g.append(column("g", np.uint64))
-                doc.append(column("ids", np.int64)[column("doc", np.uint32)])
-                start.append(column("start", np.uint32))
+                g.append(column("g", np.uint32))
+                doc.append(column("ids", np.int64)[column("doc", np.uint16)])
+                start.append(column("low", np.uint16).astype(np.uint32) | column("high", np.uint16).astype(np.uint32) << np.uint32(16))
         h, g, doc, start = map(np.concatenate, (h, g, doc, start))
         order = np.lexsort((g, h))
         first = np.ones(len(h), bool)
         first[1:] = (np.diff(h[order]) != 0) | (np.diff(g[order]) != 0)
         least = np.minimum.reduceat(doc[order], np.nonzero(first)[0])[np.cumsum(first) - 1]
         late = order[doc[order] > least]
+        if not len(late):
+            return
         doc, start = doc[late], start[late]
+        bucket = (mixed(doc.view(np.uint64)) % np.uint64(ranges)).astype(np.int64)
+        order = np.lexsort((start, doc, bucket))
+        bucket, doc, start = bucket[order], doc[order], start[order]
+        out: dict[str, list] = {k: [] for k in ("bucket", "docs", "counts", "starts")}
+        cut = np.nonzero(np.diff(bucket, prepend=-1))[0]
+        for a, b in zip(cut, np.append(cut[1:], len(bucket)), strict=True):
+            names, counts = np.unique(doc[a:b], return_counts=True)
+            for k, x in zip(out, (int(bucket[a]), names.tobytes(), counts.astype(np.uint32).tobytes(), start[a:b].tobytes()), strict=True):
+                out[k].append(x)
+        yield pa.record_batch([pa.array(out["bucket"], pa.int32()), *[pa.array(out[k], pa.binary()) for k in list(out)[1:]]], list(out))
+
+    def merged(tables: pa.Table) -> pa.Table:
+        doc, start = [], []
+        for docs_, counts, starts in zip(tables["docs"], tables["counts"], tables["starts"], strict=True):
+            doc.append(np.repeat(np.frombuffer(docs_.as_buffer(), np.int64), np.frombuffer(counts.as_buffer(), np.uint32)))
+            start.append(np.frombuffer(starts.as_buffer(), np.uint32))
+        doc, start = np.concatenate(doc), np.concatenate(start).astype(np.int64)
         order = np.lexsort((start, doc))
         doc, start = doc[order], start[order]
-        names, at = np.unique(doc, return_index=True)
-        out = [start[a:b].tobytes() for a, b in zip(at, np.append(at[1:], len(doc)), strict=True)]
-        yield pa.record_batch([pa.array(names, pa.int64()), pa.array(out, pa.binary())], ["doc_id", "starts"])
-
-    packed = rows.mapInArrow(candidates, "range int, h binary, g binary, doc binary, start binary, ids binary")
-    return packed.groupBy("range").applyInArrow(exact, "doc_id long, starts binary")
-
-
-def covered(codes: int, starts: list[bytes], window: int) -> np.ndarray:
-    """Which of a number of words the windows cover."""
-    edge = np.zeros(codes + 1, np.int32)
-    for s in starts:
-        at = np.frombuffer(s, np.uint32)
-        np.add.at(edge, at, 1)
-        np.add.at(edge, np.minimum(at.astype(np.int64) + window, codes), -1)
+        new = np.ones(len(doc), bool)  # a run ends where the next window starts beyond it, or with the document
+        new[1:] = (doc[1:] != doc[:-1]) | (start[1:] > start[:-1] + window)
+        begin, last = np.nonzero(new)[0], np.append(np.nonzero(new)[0][1:], len(doc)) - 1
+        pairs = np.stack([start[begin], start[last] + window], axis=1).astype(np.uint32)
+        names, at = np.unique(doc[begin], return_index=True)
+        runs_ = [pairs[a:b].tobytes() for a, b in zip(at, np.append(at[1:], len(pairs)), strict=True)]
+        return pa.table({"doc_id": pa.array(names, pa.int64()), "runs": pa.array(runs_, pa.binary())})
+
+    packed = rows.mapInArrow(candidates, "range int, h binary, g binary, doc binary, low binary, high binary, ids binary")
+    found = packed.groupBy("range").applyInArrow(exact, "bucket int, docs binary, counts binary, starts binary")
+    return found.groupBy("bucket").applyInArrow(merged, "doc_id long, runs binary")
+
+
+def covered(words: int, runs_: bytes) -> np.ndarray:
+    """Which of a number of words the runs cover."""
+    edge = np.zeros(words + 1, np.int32)
+    pairs = np.frombuffer(runs_, np.uint32).reshape(-1, 2).astype(np.int64)
+    np.add.at(edge, pairs[:, 0], 1)
+    np.add.at(edge, np.minimum(pairs[:, 1], words), -1)
     return np.cumsum(edge[:-1]) > 0
 
 
@@ -192,17 +214,16 @@ def remove_repeats(docs: DataFrame, window: int = 13, id_col: str = "doc_id", te
     empty table gives an empty result; other columns are not read.
     """
     found = repeats(docs, window, id_col, text_col)
-    spans = found.groupBy("doc_id").agg(F.collect_list("starts").alias("starts"))
-    joined = _rows(docs, id_col, text_col).join(spans, "doc_id", "left").select("doc_id", "text", "starts")
+    joined = _rows(docs, id_col, text_col).join(found, "doc_id", "left").select("doc_id", "text", "runs")
 
     def keep(source: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in source:
             n, gone, digest, kept = [], [], [], []
-            for text, starts in zip(b.column(1), b.column(2).to_pylist(), strict=True):
+            for text, gone_runs in zip(b.column(1), b.column(2).to_pylist(), strict=True):
                 words = text.as_py().split()
                 n.append(len(words))
-                if starts:
-                    out = covered(len(words), starts, window)
+                if gone_runs:
+                    out = covered(len(words), gone_runs)
                     gone.append(int(out.sum()))
                     words = [words[i] for i in np.nonzero(~out)[0]]
                 else:
