@@ -4,7 +4,9 @@ A document's tokens are its distinct n-grams, as 64-bit hashes. Tokens have one
 low hash that at most RARE documents have, by hash; then the frequent ones of these, by hash; then the rest.
 
 Let a set have n tokens, of which a partner may lack d = n - ceil(t n). Two linked sets share one of their first
-d + 1 tokens. If that token is rare, the pair meets in the token's bucket: rare tokens are indexed one by one.
+d + 1 tokens. If that token is rare, the pair meets in the token's bucket: rare tokens are indexed one by one, EXTRA beyond the
+prefix. Of the first r rare tokens of a set at least r - d are shared if its list ends before the partner's, so pairs
+that share fewer than both sides ask for are dropped unread.
 If it is frequent, both prefixes reach into the frequent tokens, and rare ones were all among the first d + 1.
 Then prefixes are extended. Linked sets differ in at most s = floor((1 - t) / t n) tokens; of the first d + s + 2
 tokens at least s + 2 are shared, so two shared ones stand side by side in both: frequent tokens are
@@ -26,19 +28,25 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from biclique_spark.llm.common import size_of, small, written
+from biclique_spark.llm.common import setting, size_of, small, written
 from biclique_spark.llm.words import mixed, runs, word_codes
 
 #: Documents that a rare token may have; tokens below this share of all hashes are counted.
 RARE, COUNTED = 16, 0.34
 #: Tokens a counting task gets about; bytes of text gathered before tokens are sent on; rounds of pivots.
-SHARE, GATHER, PIVOTS = 1 << 19, 1 << 24, 3
+SHARE, GATHER, PIVOTS = 1 << 19, 1 << 23, 1
+#: Documents of a block of the last comparison; a column with more pairs than this is multiplied densely.
+BLOCK, DENSE = 2048, 40_000
+#: Rare tokens indexed beyond the prefix: a pair must share about so many, or it is no candidate.
+EXTRA = 24
+#: Rows of an Arrow batch; each may hold two texts.
+BATCH_ROWS = 1000
 _LOW = np.uint64(int(COUNTED * 2**64))
 
 
 def shingles(text: bytes, n: int) -> np.ndarray:
     """The set: sorted distinct hashes of the n-grams of a text whose A-Z are lower-cased."""
-    return np.unique(runs(word_codes(text.lower()), n))
+    return np.unique(runs(word_codes(text, lower=True), n))
 
 
 def linked(shared: np.ndarray, a: np.ndarray, b: np.ndarray, percent: int) -> np.ndarray:
@@ -177,12 +185,13 @@ def counted_tokens(rows: DataFrame, n: int, percent: int, ranges: int) -> DataFr
 
 
 def index(counted: DataFrame, percent: int) -> DataFrame:
-    """(key, pair, doc_id, n, own): the keys of each document; ``pair`` marks combinations, ``own`` is its number of rare tokens."""
+    """(key, pair, doc_id, n, own, need): the keys of each document; ``pair`` marks combinations, ``own`` is its number of
+    rare tokens, ``need`` how many of its indexed rare tokens a partner shares at least."""
     record = np.dtype([("token", np.uint64), ("place", np.uint32), ("frequent", np.uint8)])
 
     def run(source: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in source:
-            key, pair, doc, size, own = [], [], [], [], []
+            key, pair, doc, size, own, need = [], [], [], [], [], []
             for doc_id, n, low, parts in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), b.column(2).to_pylist(), b.column(3), strict=True):
                 t = np.concatenate([np.frombuffer(x.as_buffer(), record) for x in parts])
                 t = t[np.argsort(t["place"], kind="stable")]
@@ -191,7 +200,7 @@ def index(counted: DataFrame, percent: int) -> DataFrame:
                 often = inside & (t["frequent"] > 0)
                 rare = int(low - often.sum())
                 at = t["place"].astype(np.int64) - (np.cumsum(often) - often)
-                single = t["token"][inside & ~often & (at < prefix)]
+                single = t["token"][inside & ~often & (at < prefix + EXTRA)]
                 combined = np.zeros(0, np.uint64)
                 if rare < prefix:
                     tail = np.concatenate([t["token"][often], t["token"][~inside]])
@@ -205,12 +214,13 @@ def index(counted: DataFrame, percent: int) -> DataFrame:
                 doc.append(np.full(m, doc_id, np.int64))
                 size.append(np.full(m, n, np.int64))
                 own.append(np.full(m, rare, np.int64))
+                need.append(np.full(m, max(1, min(rare, prefix + EXTRA) - prefix + 1), np.int64))
             if key:
-                columns = [np.concatenate(key).view(np.int64), np.concatenate(pair), *map(np.concatenate, (doc, size, own))]
-                yield pa.record_batch(list(map(pa.array, columns)), ["key", "pair", "doc_id", "n", "own"])
+                columns = [np.concatenate(key).view(np.int64), np.concatenate(pair), *map(np.concatenate, (doc, size, own, need))]
+                yield pa.record_batch(list(map(pa.array, columns)), ["key", "pair", "doc_id", "n", "own", "need"])
 
     whole = counted.groupBy("doc_id", "n", "low").agg(F.collect_list("tokens").alias("tokens"))
-    return whole.mapInArrow(run, "key long, pair boolean, doc_id long, n long, own long")
+    return whole.mapInArrow(run, "key long, pair boolean, doc_id long, n long, own long, need long")
 
 
 def _near(percent: int, a: str = "n_a", b: str = "n_b"):
@@ -219,11 +229,12 @@ def _near(percent: int, a: str = "n_a", b: str = "n_b"):
 
 
 def rare_pairs(keys: DataFrame, percent: int) -> DataFrame:
-    """(a, b) of all members of a rare token's bucket, which holds RARE at most."""
-    members = keys.where("not pair").groupBy("key").agg(F.sort_array(F.collect_list(F.struct("doc_id", "n"))).alias("m")).where("size(m) > 1")
+    """(a, b) that share as many rare tokens as their sets ask for. A bucket holds RARE members at most."""
+    members = keys.where("not pair").groupBy("key").agg(F.sort_array(F.collect_list(F.struct("doc_id", "n", "need"))).alias("m")).where("size(m) > 1")
     each = members.select("m", F.posexplode("m").alias("at", "x"))
-    both = each.select(F.col("x.doc_id").alias("a"), F.col("x.n").alias("n_a"), F.explode(F.slice("m", F.col("at") + 2, F.size("m"))).alias("y"))
-    return both.select("a", "n_a", F.col("y.doc_id").alias("b"), F.col("y.n").alias("n_b")).where(_near(percent)).select("a", "b").distinct()
+    both = each.select("x", F.explode(F.slice("m", F.col("at") + 2, F.size("m"))).alias("y"))
+    both = both.select(F.col("x.doc_id").alias("a"), F.col("x.n").alias("n_a"), F.col("y.doc_id").alias("b"), F.col("y.n").alias("n_b"), F.least("x.need", "y.need").alias("need"))
+    return both.where(_near(percent)).groupBy("a", "b").agg(F.count(F.lit(1)).alias("shared"), F.max("need").alias("need")).where("shared >= need").select("a", "b")
 
 
 def pivot_pairs(combined: DataFrame, comp: DataFrame | None, percent: int, turn: int) -> DataFrame:
@@ -241,14 +252,96 @@ def pivot_pairs(combined: DataFrame, comp: DataFrame | None, percent: int, turn:
     return both.select(F.least("p", "d").alias("a"), F.greatest("p", "d").alias("b")).distinct()
 
 
-def parted_pairs(combined: DataFrame, comp: DataFrame, percent: int) -> DataFrame:
-    """(a, b) of one bucket whose components are still apart."""
+def overlaps(a: list[np.ndarray], b: list[np.ndarray]) -> np.ndarray:
+    """How many tokens each set of a shares with each of b: tokens that many of both have by products of dense
+    columns, the others pair by pair."""
+    tokens_a, tokens_b = np.concatenate(a), np.concatenate(b)
+    common = np.intersect1d(np.unique(tokens_a), np.unique(tokens_b), assume_unique=True)
+    out = np.zeros((len(a), len(b)), np.float32)
+    if not len(common):
+        return out
+
+    def places(tokens: np.ndarray, sets_: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
+        at = np.minimum(np.searchsorted(common, tokens), len(common) - 1)
+        here = common[at] == tokens
+        doc = np.repeat(np.arange(len(sets_)), [len(x) for x in sets_])
+        order = np.argsort(at[here], kind="stable")
+        return at[here][order], doc[here][order]
+
+    (col_a, doc_a), (col_b, doc_b) = places(tokens_a, a), places(tokens_b, b)
+    n_a, n_b = np.bincount(col_a, minlength=len(common)), np.bincount(col_b, minlength=len(common))
+    heavy = n_a * n_b > DENSE
+    which = np.nonzero(heavy)[0]
+    name = np.full(len(common), -1)
+    name[which] = np.arange(len(which))
+    for at in range(0, len(which), 1024):
+        halves = []
+        for col, doc, n in ((col_a, doc_a, len(a)), (col_b, doc_b, len(b))):
+            here = (name[col] >= at) & (name[col] < at + 1024)
+            m = np.zeros((n, min(1024, len(which) - at)), np.float32)
+            m[doc[here], name[col[here]] - at] = 1
+            halves.append(m)
+        out += halves[0] @ halves[1].T
+    first_b = np.concatenate([[0], np.cumsum(n_b)])
+    light = np.nonzero(~heavy[col_a])[0]
+    for at in range(0, len(light), 1 << 14):
+        own = light[at : at + (1 << 14)]
+        times = n_b[col_a[own]]
+        row = np.repeat(doc_a[own], times)
+        within = np.arange(times.sum()) - np.repeat(np.cumsum(times) - times, times)
+        column = doc_b[np.repeat(first_b[col_a[own]], times) + within]
+        out += np.bincount(row * len(b) + column, minlength=out.size).reshape(out.shape).astype(np.float32)
+    return out
+
+
+def parted_links(combined: DataFrame, comp: DataFrame, rows: DataFrame, n: int, percent: int) -> DataFrame:
+    """(a, b): links between components that still share a bucket, enough of them to join what is linked.
+
+    Buckets that meet form clusters. In a cluster each document outside its largest component is compared with all
+    others, block by block of hashed ids: a task holds two blocks of sets and returns, for each document, one link to
+    each other component. Rows grow with the number of blocks, never with pairs.
+    """
     named = combined.join(comp, "doc_id", "left").withColumn("comp", F.coalesce("comp", "doc_id"))
-    several = named.groupBy("key").agg(F.min("comp").alias("x"), F.max("comp").alias("y")).where("x < y").select("key")
-    named = named.join(several, "key", "left_semi").select("key", "doc_id", "n", "comp")
-    a = named.select("key", F.col("doc_id").alias("a"), F.col("n").alias("n_a"), F.col("comp").alias("comp_a"))
-    b = named.select("key", F.col("doc_id").alias("b"), F.col("n").alias("n_b"), F.col("comp").alias("comp_b"))
-    return a.join(b, "key").where(F.col("a") < F.col("b")).where("comp_a <> comp_b").where(_near(percent)).select("a", "b").distinct()
+    several = named.groupBy("key").agg(F.min("comp").alias("x"), F.max("comp").alias("y"), F.min("doc_id").alias("head")).where("x < y").select("key", "head")
+    named = named.join(several, "key").select("doc_id", "comp", "head").distinct()
+    named = written(named, "ngram-parted")
+    apart = named.select("doc_id", "comp").distinct()
+    cluster = components(named.where("doc_id <> head").select(F.col("head").alias("a"), F.col("doc_id").alias("b")))
+    apart = apart.join(cluster.withColumnRenamed("comp", "cluster"), "doc_id")
+    sizes = apart.groupBy("cluster", "comp").agg(F.count(F.lit(1)).alias("m"))
+    sizes = sizes.groupBy("cluster").agg(F.max_by("comp", F.struct("m", "comp")).alias("largest"), F.sum("m").alias("whole"), F.max("m").alias("most"))
+    apart = apart.join(sizes, "cluster")
+    many = lambda c: F.ceil(c / F.lit(BLOCK)).cast("long")
+    hashed = F.xxhash64("doc_id")
+    of_all, of_rest = many(F.col("whole")), F.greatest(F.lit(1).cast("long"), many(F.col("whole") - F.col("most")))
+
+    def packed(source: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in source:
+            sets_ = [shingles(t.as_py(), n).tobytes() for t in b.column(1)]
+            yield pa.record_batch([b.column(0), pa.array(sets_, pa.binary())], ["doc_id", "tokens"])
+
+    wanted = rows.join(small(apart.select("doc_id")), "doc_id", "left_semi").mapInArrow(packed, "doc_id long, tokens binary")
+    full = written(wanted.join(apart, "doc_id"), "ngram-blocks")
+    one = full.where("comp <> largest").select("cluster", F.pmod(hashed, of_rest).alias("i"), F.explode(F.sequence(F.lit(0).cast("long"), of_all - 1)).alias("j"), F.lit(True).alias("asks"), "doc_id", "comp", "tokens")
+    all_ = full.select("cluster", F.explode(F.sequence(F.lit(0).cast("long"), of_rest - 1)).alias("i"), F.pmod(hashed, of_all).cast("long").alias("j"), F.lit(False).alias("asks"), "doc_id", "comp", "tokens")
+
+    def compare(tables: pa.Table) -> pa.Table:
+        asks = tables["asks"].to_numpy()
+        ids, comps = tables["doc_id"].to_numpy(), tables["comp"].to_numpy()
+        sets_ = [np.frombuffer(x.as_buffer(), np.uint64) for x in tables["tokens"]]
+        a, b = np.nonzero(asks)[0], np.nonzero(~asks)[0]
+        if not len(a) or not len(b):
+            return pa.table({"a": pa.array([], pa.int64()), "b": pa.array([], pa.int64())})
+        shared = overlaps([sets_[i] for i in a], [sets_[i] for i in b]).astype(np.int64)
+        n_a, n_b = np.array([len(sets_[i]) for i in a]), np.array([len(sets_[i]) for i in b])
+        hit = linked(shared, n_a[:, None], n_b[None, :], percent) & (comps[a][:, None] != comps[b][None, :])
+        x, y = np.nonzero(hit)
+        x, y = a[x], b[y]
+        _, first = np.unique(np.stack([ids[x], comps[y]]), axis=1, return_index=True)
+        x, y = ids[x[first]], ids[y[first]]
+        return pa.table({"a": pa.array(np.minimum(x, y), pa.int64()), "b": pa.array(np.maximum(x, y), pa.int64())})
+
+    return one.unionByName(all_).groupBy("cluster", "i", "j").applyInArrow(compare, "a long, b long").distinct()
 
 
 def verified(pairs: DataFrame, rows: DataFrame, n: int, percent: int) -> DataFrame:
@@ -303,7 +396,11 @@ def join_components(docs: DataFrame, n: int = 5, percent: int = 80, id_col: str
     is null). Equal sets link; repeated rows have one component. An empty table gives an empty result; other
     columns are not read. Very long texts are read whole; hashes have 64 bits.
     """
-    spark = docs.sparkSession
+    with setting(docs.sparkSession, spark__sql__execution__arrow__maxRecordsPerBatch=str(BATCH_ROWS)):
+        return _join_components(docs, n, percent, id_col, text_col)
+
+
+def _join_components(docs: DataFrame, n: int, percent: int, id_col: str, text_col: str) -> DataFrame:
     rows = _rows(docs, id_col, text_col)
     size = written(sets(rows, n), "ngram-sets")
     equal = size.where("n > 0 and doc_id is not null").groupBy("digest").agg(F.min("doc_id").alias("rep"), F.count(F.lit(1)).alias("copies"))
@@ -319,18 +416,16 @@ def join_components(docs: DataFrame, n: int = 5, percent: int = 80, id_col: str
     done = written(rare_pairs(keys, percent).unionByName(pivot_pairs(combined, None, percent, 0)).distinct(), "ngram-pairs")
     links = written(verified(done, alone, n, percent), "ngram-links")
     comp = components(links)
-    for turn in range(1, PIVOTS + 2):
-        pairs = pivot_pairs(combined, comp, percent, turn) if turn <= PIVOTS else parted_pairs(combined, comp, percent)
-        pairs = written(pairs.join(done, ["a", "b"], "left_anti"), "ngram-pairs")
-        if not pairs.limit(1).count():
-            if turn <= PIVOTS:
-                continue
-            break
+    for turn in range(1, PIVOTS + 1):
+        pairs = written(pivot_pairs(combined, comp, percent, turn).join(done, ["a", "b"], "left_anti"), "ngram-pairs")
         found = written(verified(pairs, alone, n, percent), "ngram-links")
         done = done.unionByName(pairs)
         if found.limit(1).count():
             links = links.unionByName(found)
             comp = components(links)
+    found = written(parted_links(combined, comp, alone, n, percent), "ngram-links")
+    if found.limit(1).count():
+        comp = components(links.unionByName(found))
     of = size.select("doc_id", F.col("n").alias("n_shingles"))
     of = of.join(same, "doc_id", "left").withColumn("rep", F.coalesce("rep", "doc_id"))
     of = of.join(comp.select(F.col("doc_id").alias("rep"), "comp"), "rep", "left")
