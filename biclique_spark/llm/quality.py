@@ -19,7 +19,7 @@ from pyspark.sql import functions as F
 
 #: Labelled rows used for fitting at most; hashed words; columns of V.
 SAMPLE, BUCKETS, RANK = 8_000, 1 << 14, 4
-#: Words whose bucket a Python worker remembers; the worker lives on into later stages.
+#: Words whose bucket a Python worker remembers, for a task at most: the worker lives on into later stages.
 KEPT = 1 << 18
 #: Names of the structure and metadata features; each also falls into one of BINS bins that are features of their own.
 STATS = ("chars", "words", "word_chars", "distinct", "top_word", "repeats", "upper", "digits", "marks", "wide", "line_words", "same_lines", "n_chars")
@@ -54,9 +54,8 @@ def statistics(text: str, words: list[str], counts: Counter, n_chars: int | None
 
 def features(texts: list[str], n_chars: list[int | None]) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
     """Buckets of words, their values, how many each text has; and the statistics, a row a text."""
-    global _words
     if len(_words) > KEPT:
-        _words = {}
+        _words.clear()
     index, value, sizes, stats = [], [], [], []
     for text, n in zip(texts, n_chars, strict=True):
         words = text.split()
@@ -183,10 +182,13 @@ def quality(
     model = fit(docs, labels.where(remainder(F.col(id_col), folds) != held), id_col, text_col, chars_col, label_col)
 
     def run(source: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in source:
-            texts, chars = b.column(1).to_pylist(), b.column(2).to_pylist()
-            scores = [model.score(*features(texts[i : i + 256], chars[i : i + 256])) for i in range(0, len(texts), 256)]
-            yield pa.record_batch([b.column(0), pa.array(np.concatenate(scores) if scores else np.zeros(0))], ["doc_id", "score"])
+        try:
+            for b in source:
+                parts = [b.slice(i, 256) for i in range(0, b.num_rows, 256)]
+                scores = [model.score(*features(p.column(1).to_pylist(), p.column(2).to_pylist())) for p in parts]
+                yield pa.record_batch([b.column(0), pa.array(np.concatenate(scores) if scores else np.zeros(0))], ["doc_id", "score"])
+        finally:
+            _words.clear()
 
     scored = _prepared(docs, id_col, text_col, chars_col).mapInArrow(run, "doc_id long, score double")
     return scored.select(
@@ -215,13 +217,16 @@ def keep(
     chars_at = docs.columns.index(chars_col) if chars_col else None
 
     def run(source: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in source:
-            fine = []
-            for i in range(0, b.num_rows, 256):
-                part = b.slice(i, 256)
-                texts = [t or "" for t in part.column(at).to_pylist()]
-                chars = part.column(chars_at).to_pylist() if chars_at is not None else [None] * len(texts)
-                fine += (model.score(*features(texts, chars)) >= threshold).tolist()
-            yield b.filter(pa.array(fine, pa.bool_()))
+        try:
+            for b in source:
+                fine = []
+                for i in range(0, b.num_rows, 256):
+                    part = b.slice(i, 256)
+                    texts = [t or "" for t in part.column(at).to_pylist()]
+                    chars = part.column(chars_at).to_pylist() if chars_at is not None else [None] * len(texts)
+                    fine += (model.score(*features(texts, chars)) >= threshold).tolist()
+                yield b.filter(pa.array(fine, pa.bool_()))
+        finally:
+            _words.clear()
 
     return docs.mapInArrow(run, docs.schema)
