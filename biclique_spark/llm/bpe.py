@@ -21,8 +21,8 @@ from pyspark.sql import functions as F
 
 from biclique_spark.llm.token_counts import batches, pieces
 
-#: Entries of each table of resolved strings, which lasts for a task; texts taken out of an Arrow batch at once.
-KEPT, SLICE = 1 << 18, 256
+#: Entries of each table of resolved strings.
+KEPT = 1 << 19
 _MASK = (1 << 64) - 1
 _SLOTS_A, _SLOTS_B = 0x9E3779B97F4A7C15, 0xD6E8FEB86659FD93
 
@@ -139,11 +139,6 @@ class Encoder:
             known[p] = self.piece(p)
         return b"".join(map(known.__getitem__, parts))
 
-    def forget(self) -> None:
-        """Empties both tables: the Python worker lives on into later stages."""
-        self.of_piece.clear()
-        self.of_word.clear()
-
     def decode(self, ids: bytes) -> bytes:
         return b"".join(map(self.bytes_of.__getitem__, struct.unpack(f"<{len(ids) // 4}I", ids)))
 
@@ -166,16 +161,13 @@ def encode(docs: DataFrame, path: str, pattern: str, id_col: str = "doc_id", tex
 
     def run(source: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         e = encoder(path, pattern)
-        try:
-            for b in source:
-                start = 0
-                for part in batches(b.column(1).to_pylist()):
-                    ids = [struct.unpack(f"<{len(x) // 4}I", x) for x in map(e.encode, part)]
-                    out = [b.column(0)[start : start + len(part)], pa.array(ids, pa.list_(pa.int32())), pa.array(map(len, ids), pa.int64())]
-                    start += len(part)
-                    yield pa.record_batch(out, ["doc_id", "ids", "n_tokens"])
-        finally:
-            e.forget()
+        for b in source:
+            start = 0
+            for part in batches(b.column(1).to_pylist()):
+                ids = [struct.unpack(f"<{len(x) // 4}I", x) for x in map(e.encode, part)]
+                out = [b.column(0)[start : start + len(part)], pa.array(ids, pa.list_(pa.int32())), pa.array(map(len, ids), pa.int64())]
+                start += len(part)
+                yield pa.record_batch(out, ["doc_id", "ids", "n_tokens"])
 
     return _rows(docs, id_col, text_col).mapInArrow(run, "doc_id long, ids array<int>, n_tokens long")
 
@@ -202,18 +194,15 @@ def round_trip(docs: DataFrame, path: str, pattern: str, id_col: str = "doc_id",
 
     def run(source: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         e = encoder(path, pattern)
-        try:
-            for b in source:
-                n, ids_sha, text_sha = [], [], []
-                for t in (t for i in range(0, b.num_rows, SLICE) for t in b.column(1).slice(i, SLICE).to_pylist()):
-                    ids = e.encode(t)
-                    n.append(len(ids) // 4)
-                    ids_sha.append(hashlib.sha256(ids).hexdigest())
-                    text_sha.append(hashlib.sha256(e.decode(ids)).hexdigest())
-                out = [b.column(0), pa.array(n, pa.int64()), pa.array(ids_sha, pa.string()), pa.array(text_sha, pa.string())]
-                yield pa.record_batch(out, ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"])
-        finally:
-            e.forget()
+        for b in source:
+            n, ids_sha, text_sha = [], [], []
+            for t in b.column(1).to_pylist():
+                ids = e.encode(t)
+                n.append(len(ids) // 4)
+                ids_sha.append(hashlib.sha256(ids).hexdigest())
+                text_sha.append(hashlib.sha256(e.decode(ids)).hexdigest())
+            out = [b.column(0), pa.array(n, pa.int64()), pa.array(ids_sha, pa.string()), pa.array(text_sha, pa.string())]
+            yield pa.record_batch(out, ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"])
 
     schema = "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string"
     return _rows(docs, id_col, text_col).mapInArrow(run, schema)
