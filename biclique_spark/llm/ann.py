@@ -8,12 +8,16 @@ more coordinate, which lifts every vector to the largest norm.
 
 Equal vectors are one point of a curve: it stands for the smallest identifiers of its vectors, as many as a
 result can need, so a vector that a third of all rows share costs no more than another. Work and shuffle grow in
-proportion to the rows. With WINDOW and CURVES fixed, recall falls as isolated vectors get further apart in rank;
-recall() measures it against brute force.
+proportion to the rows and the curves.
+
+With WINDOW and CURVES fixed, recall falls as isolated vectors get further apart in rank. So the exact answers of
+SAMPLE queries are taken from all rows, and curves are added until recall() of these queries, less two standard
+errors, is RECALL. Where so many curves would compare as much as all rows hold, queries meet all rows, in blocks.
 """
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 
 import numpy as np
@@ -24,7 +28,10 @@ from pyspark.sql import functions as F
 
 from biclique_spark.llm.common import written
 
+#: CURVES is where a search begins.
 CURVES, WINDOW, AXES, BITS = 8, 4096, 6, 8
+#: What a search must find; the queries that measure it; points and queries of a block where all are compared.
+RECALL, SAMPLE, BLOCK, ASKED = 0.9, 200, 16_384, 4_096
 
 
 def hilbert(points: np.ndarray, bits: int) -> np.ndarray:
@@ -61,13 +68,13 @@ def usable(vector: Column) -> Column:
     return vector.isNotNull() & (F.size(vector) > 0) & F.coalesce(fine, F.lit(False)) & F.coalesce(F.exists(vector, lambda x: x != 0), F.lit(False))
 
 
-def keys(points: DataFrame, dim: int, largest: float, spread: float, curves: int, seed: int) -> DataFrame:
-    """(curve, place, id) of each point: thin rows."""
+def keys(points: DataFrame, dim: int, largest: float, spread: float, curves: range, seed: int) -> DataFrame:
+    """(curve, place, id) of each point on the curves of these numbers: thin rows."""
 
     def run(source: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         axes = min(AXES, dim + 1)
         plans = []
-        for c in range(curves):
+        for c in curves:
             rng = np.random.default_rng([seed, c])
             plans.append((np.linalg.qr(rng.normal(size=(dim + 1, dim + 1)))[0][:, :axes], rng.uniform(-0.25, 0.25, axes)))
         for b in source:
@@ -75,7 +82,7 @@ def keys(points: DataFrame, dim: int, largest: float, spread: float, curves: int
                 continue
             v = b.column(1).flatten().to_numpy(zero_copy_only=False).astype(np.float64).reshape(-1, dim)
             v = np.hstack([v, np.sqrt(np.maximum(0, largest**2 - (v**2).sum(1)))[:, None]])
-            for c, (directions, shift) in enumerate(plans):
+            for c, (directions, shift) in zip(curves, plans, strict=True):
                 grid = np.floor(((v @ directions / spread + shift) / 6 + 0.5) * (1 << BITS))
                 place = hilbert(np.clip(grid, 0, (1 << BITS) - 1), BITS)
                 yield pa.record_batch([pa.array(np.full(len(v), c, np.int32)), pa.array(place), b.column(0)], ["curve", "place", "id"])
@@ -97,6 +104,61 @@ def windows(placed: DataFrame, rows: int, window: int) -> DataFrame:
     return ordered.join(base, ["curve", "part"]).select("curve", "id", F.floor((F.col("base") + F.col("at")) / window).alias("window"))
 
 
+def nearest(asking: np.ndarray, asked: np.ndarray, ids: np.ndarray, vectors: np.ndarray, most: int) -> pd.DataFrame:
+    """point, near, score: for each of ``asking`` (with vectors ``asked``) the ``most`` best of ``ids``, which are sorted."""
+    if not len(asking) or not len(ids):
+        return pd.DataFrame({"point": np.empty(0, np.int64), "near": np.empty(0, np.int64), "score": np.empty(0)})
+    points, near, scores = [], [], []
+    for at in range(0, len(asking), 256):
+        score = asked[at : at + 256] @ vectors.T
+        if most < len(ids):  # ties at the last place: all of them, so that the smaller id can win
+            top = np.argpartition(-score, most - 1, axis=1)[:, :most]
+            where = np.nonzero(score >= np.take_along_axis(score, top, 1).min(1)[:, None])
+        else:
+            where = np.nonzero(np.ones_like(score, bool))
+        points.append(asking[at + where[0]])
+        near.append(ids[where[1]])
+        scores.append(score[where])
+    return foremost(pd.DataFrame({"point": np.concatenate(points), "near": np.concatenate(near), "score": np.concatenate(scores)}), most)
+
+
+def foremost(found: pd.DataFrame, most: int) -> pd.DataFrame:
+    return found.sort_values(["point", "score", "near"], ascending=[True, False, True]).groupby("point").head(most)
+
+
+def best_of(found: DataFrame, most: int) -> DataFrame:
+    """The ``most`` best (point, near, score) of each point."""
+    order = Window.partitionBy("point").orderBy(F.desc("score"), "near")
+    best = found.groupBy("point", "near").agg(F.max("score").alias("score"))
+    return best.withColumn("nth", F.row_number().over(order)).where(F.col("nth") <= most).drop("nth")
+
+
+def exact(points: DataFrame, dim: int, asking: DataFrame, most: int) -> DataFrame:
+    """The best of all points for a few of them, ``asking``, which go to every task; a task keeps its best only."""
+    few = asking.select("id", "vec").collect()
+    ids, vectors = np.array([r.id for r in few], np.int64), np.array([r.vec for r in few]).reshape(len(few), dim)
+
+    def run(source: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        kept = nearest(ids, vectors, ids[:0], vectors[:0], most)
+        for b in source:
+            if not b.num_rows:
+                continue
+            at, v = b.column(0).to_numpy(), b.column(1).flatten().to_numpy(zero_copy_only=False).reshape(-1, dim)
+            order = np.argsort(at)
+            kept = foremost(pd.concat([kept, nearest(ids, vectors, at[order], v[order], most)]), most)
+        yield pa.RecordBatch.from_pandas(kept, pa.schema([("point", pa.int64()), ("near", pa.int64()), ("score", pa.float64())]), preserve_index=False)
+
+    return best_of(points.select("id", "vec").mapInArrow(run, "point long, near long, score double"), most)
+
+
+def recall(got: DataFrame, want: DataFrame) -> tuple[float, float]:
+    """The share of wanted (query_id, vec_id) that were got, as a mean of the queries, and its standard error."""
+    hits = want.select("query_id", "vec_id").join(got.select("query_id", "vec_id", F.lit(1.0).alias("hit")), ["query_id", "vec_id"], "left")
+    shares = hits.groupBy("query_id").agg(F.avg(F.coalesce("hit", F.lit(0.0))).alias("share"))
+    mean, error = shares.agg(F.avg("share"), F.stddev_samp("share") / F.sqrt(F.count(F.lit(1)))).first()
+    return (1.0, 0.0) if mean is None else (mean, error or 0.0)
+
+
 def search(
     vectors: DataFrame,
     is_query: Column,
@@ -106,6 +168,7 @@ def search(
     seed: int = 29,
     id_col: str = "vec_id",
     vec_col: str = "embedding",
+    least: float = RECALL,
 ) -> DataFrame:
     """query_id, rank, vec_id, score: for each query row its k nearest found, by inner product in double precision.
 
@@ -113,6 +176,7 @@ def search(
     smaller id. Vectors null, zero or holding null or non-finite components take no part, nor do rows without
     an id; vectors of different lengths are searched apart. Repeated rows (same id and vector) are one row. With
     fewer than k candidates all are returned; an empty table gives an empty result; other columns are not read.
+    ``curves`` is the number to begin with: more are added until a sample of queries finds ``least`` of its neighbours.
     """
     spark = vectors.sparkSession
     rows = vectors.where(F.col(id_col).isNotNull() & usable(F.col(vec_col))).select(
@@ -123,7 +187,7 @@ def search(
     for dim, largest, n in rows.groupBy(F.size("vec").alias("dim")).agg(
         F.max(_norm2()), F.count(F.lit(1))
     ).collect():  # a row for each length of vectors
-        found = _search(rows.where(F.size("vec") == dim), dim, float(largest) ** 0.5, (float(largest) / (dim + 1)) ** 0.5, n, k, curves, window, seed)
+        found = _search(rows.where(F.size("vec") == dim), dim, float(largest) ** 0.5, (float(largest) / (dim + 1)) ** 0.5, n, k, curves, window, seed, least)
         out = found if out is None else out.unionByName(found)
     return out if out is not None else spark.createDataFrame([], "query_id long, rank int, vec_id long, score double")
 
@@ -132,49 +196,63 @@ def _norm2() -> Column:
     return F.aggregate("vec", F.lit(0.0), lambda a, x: a + x * x)
 
 
-def _search(rows: DataFrame, dim: int, largest: float, spread: float, n: int, k: int, curves: int, window: int, seed: int) -> DataFrame:
+def _search(rows: DataFrame, dim: int, largest: float, spread: float, n: int, k: int, curves: int, window: int, seed: int, least: float) -> DataFrame:
     # The k + 1 smallest ids of each vector: one may be the query's own. Spark limits the window's groups before it shuffles.
     nth = F.row_number().over(Window.partitionBy("vec").orderBy("id"))
-    nearest = rows.withColumn("nth", nth).where(F.col("nth") <= k + 1)
-    named = nearest.groupBy("vec").agg(F.min("id").alias("id"), F.sort_array(F.collect_list("id")).alias("ids"))
+    first = rows.withColumn("nth", nth).where(F.col("nth") <= k + 1)
+    named = first.groupBy("vec").agg(F.min("id").alias("id"), F.sort_array(F.collect_list("id")).alias("ids"))
     points = written(named, "ann-points")
     asked = written(
         rows.where("asks").select(F.col("id").alias("query_id"), "vec").join(points.select("vec", F.col("id").alias("point")), "vec").select("query_id", "point"),
         "ann-queries",
     )
-    cut = written(windows(keys(points, dim, largest, spread, curves, seed), n * curves, window), "ann-windows")
     # A point is asked once for all queries with its vector.
     asking = points.join(asked.select(F.col("point").alias("id")).distinct(), "id", "left_semi")
-    near = lambda of, offsets: (
-        of.select("id", "vec").join(cut, "id").withColumn("window", F.explode(F.array(*[F.col("window") + o for o in offsets])))
-    )
-    both = near(points, (0,)).withColumn("asks", F.lit(False)).unionByName(near(asking, (-1, 0, 1)).withColumn("asks", F.lit(True)))
+    held, queries = points.count(), asked.count()
+    measured = held > window  # else one window holds all
+    if measured:
+        sample = written(asked.orderBy(F.md5(F.col("query_id").cast("string")), "query_id", "point").limit(SAMPLE), "ann-sample")
+        few = points.join(sample.select(F.col("point").alias("id")).distinct(), "id", "left_semi")
+        want = written(_answers(exact(points, dim, few, k + 1), points, sample, k), "ann-exact")
 
     def rerank(group: pd.DataFrame) -> pd.DataFrame:
         q, c = group[group.asks], group[~group.asks].sort_values("id")
         if not len(q) or not len(c):
             return pd.DataFrame({"point": [], "near": [], "score": []})
-        qv, cv, ids = np.stack(q.vec.to_numpy()), np.stack(c.vec.to_numpy()), c.id.to_numpy()
-        points, near, scores = [], [], []
-        for at in range(0, len(q), 256):
-            score = qv[at : at + 256] @ cv.T
-            most = min(k + 1, len(ids))
-            top = np.argpartition(-score, most - 1, axis=1)[:, :most] if most < len(ids) else np.tile(np.arange(len(ids)), (len(score), 1))
-            if most < len(ids):  # ties at the last place: all of them, so that the smaller id can win
-                least = np.take_along_axis(score, top, 1).min(1)
-                where = np.nonzero(score >= least[:, None])
-            else:
-                where = np.nonzero(np.ones_like(score, bool))
-            points.append(q.id.to_numpy()[at + where[0]])
-            near.append(ids[where[1]])
-            scores.append(score[where])
-        found = pd.DataFrame({"point": np.concatenate(points), "near": np.concatenate(near), "score": np.concatenate(scores)})
-        return found.sort_values(["point", "score", "near"], ascending=[True, False, True]).groupby("point").head(k + 1)
-
-    found = both.groupBy("curve", "window").applyInPandas(rerank, "point long, near long, score double")
-    best = found.groupBy("point", "near").agg(F.max("score").alias("score"))
-    order = Window.partitionBy("point").orderBy(F.desc("score"), "near")
-    best = best.withColumn("nth", F.row_number().over(order)).where(F.col("nth") <= k + 1).drop("nth")
+        return nearest(q.id.to_numpy(), np.stack(q.vec.to_numpy()), c.id.to_numpy(), np.stack(c.vec.to_numpy()), k + 1)
+
+    def along(numbers: range) -> DataFrame:
+        cut = written(windows(keys(points, dim, largest, spread, numbers, seed), n * len(numbers), window), "ann-windows")
+        near = lambda of, offsets: (
+            of.select("id", "vec").join(cut, "id").withColumn("window", F.explode(F.array(*[F.col("window") + o for o in offsets])))
+        )
+        both = near(points, (0,)).withColumn("asks", F.lit(False)).unionByName(near(asking, (-1, 0, 1)).withColumn("asks", F.lit(True)))
+        return both.groupBy("curve", "window").applyInPandas(rerank, "point long, near long, score double")
+
+    def throughout() -> DataFrame:
+        blocks = {"held": -(-held // BLOCK), "asked": -(-queries // ASKED)}
+        dealt = lambda of, mine, other: (
+            of.select("id", "vec", F.pmod(F.xxhash64("id"), F.lit(blocks[mine])).alias(mine), F.explode(F.sequence(F.lit(0).cast("long"), F.lit(blocks[other] - 1).cast("long"))).alias(other))
+        )
+        both = dealt(points, "held", "asked").withColumn("asks", F.lit(False)).unionByName(dealt(asking, "asked", "held").withColumn("asks", F.lit(True)))
+        return both.groupBy("asked", "held").applyInPandas(rerank, "point long, near long, score double")
+
+    best, done = written(best_of(along(range(curves)), k + 1), "ann-best"), curves
+    while measured:
+        share, error = recall(_answers(best, points, sample, k), want)
+        error = 2 * error if queries > SAMPLE else 0.0
+        if share - error >= least:
+            break
+        # Curves miss a neighbour independently of each other, more or less.
+        goal, share = min(0.99, least + error + 0.01), min(max(share, 0.01), 0.98)
+        need = max(done + -(-done // 4), math.ceil(done * math.log(1 - goal) / math.log(1 - share)))
+        measured = need * 3 * window < held
+        more = along(range(done, need)) if measured else throughout()
+        best, done = written(best_of(best.unionByName(more), k + 1), "ann-best"), need
+    return _answers(best, points, asked, k)
+
+
+def _answers(best: DataFrame, points: DataFrame, asked: DataFrame, k: int) -> DataFrame:
     members = best.join(points.select(F.col("id").alias("near"), "ids"), "near").select("point", "score", F.explode("ids").alias("vec_id"))
     order = Window.partitionBy("point").orderBy(F.desc("score"), "vec_id")
     members = members.withColumn("nth", F.row_number().over(order)).where(F.col("nth") <= k + 1)

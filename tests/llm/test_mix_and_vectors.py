@@ -120,3 +120,14 @@ def test_search_edges(spark):
     assert not ann.search(table(spark, rows).limit(0), F.lit(True)).collect()
     twice = ann.search(table(spark, [[1.0, 0.0], [1.0, 0.0], [3.0, 1.0]], [1, 1, 2]), F.col("vec_id") == 1).collect()
     assert [(r.query_id, r.vec_id, r.score) for r in twice] == [(1, 2, 3.0)]
+
+
+def test_search_adds_curves_for_isolated_vectors(spark):
+    v = np.random.default_rng(3).normal(size=(6000, 32))
+    v = (v / np.linalg.norm(v, axis=1, keepdims=True)).astype(np.float32)
+    want = ann.brute_force(v.astype(float), np.arange(6000), np.arange(0, 6000, 20))
+    wanted = spark.createDataFrame([(q, i) for q, ids in want.items() for i in ids], "query_id long, vec_id long")
+    for window in (64, 256):
+        got = ann.search(table(spark, v.tolist()), F.col("vec_id") % 20 == 0, curves=2, window=window)
+        share, _ = ann.recall(got, wanted)
+        assert share >= 0.9, (window, share)
