@@ -46,7 +46,7 @@ put("graph_stats", " union all ".join(f"select '{g}' as graph, count(distinct u)
 for _g in ("customer_part", "supplier_part", "order_part", "order_supplier", "customer_supplier", "nation_part", "customer_brand", "user_type", "user_k", "user_hour", "page_href", "doc_line", "doc_label", "vec_topdim"):
     put(f"edges_{_g}", SQL[_g])(lambda s, d, g=_g: graph(s, d, g))
 for _g in ("doc_token", "conv_token", "item_token", "page_token"):
-    put(f"edges_{_g}")(lambda s, d, g=_g: graph(s, d, g))
+    put(f"edges_{_g}", SQL.get(_g))(lambda s, d, g=_g: graph(s, d, g))
 
 put(
     "degree_histogram",

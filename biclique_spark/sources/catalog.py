@@ -48,7 +48,9 @@ BUILDERS: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "user_k": lambda s, d: edges_from(_t(s, d, "events"), "user_id", F.get_json_object("props", "$.k").cast("long")),
     "user_hour": lambda s, d: edges_from(_t(s, d, "events"), "user_id", F.date_trunc("hour", "ts")),
     "doc_line": lambda s, d: edges_from(_t(s, d, "documents").select("doc_id", F.explode(F.split("text", "\n")).alias("line")).where("line <> ''"), "doc_id", "line"),
-    "doc_token": lambda s, d: words(_t(s, d, "documents"), "doc_id", "text", 0.05),
+    "doc_token": lambda s, d: words(_t(s, d, "documents"), "doc_id", "text"),
+    # For wedge joins: without the words that more than 5% of the documents hold.
+    "doc_token_to_5_percent": lambda s, d: words(_t(s, d, "documents"), "doc_id", "text", 0.05),
     "conv_token": lambda s, d: words(_t(s, d, "conversations"), "conv_id", "text"),
     "item_token": lambda s, d: words(_t(s, d, "benchmark"), "item_id", "text"),
     "page_href": lambda s, d: edges_from(_t(s, d, "pages").select("page_id", F.explode(F.regexp_extract_all("html", F.lit(_HREF), 1)).alias("href")), "page_id", "href"),
@@ -57,6 +59,12 @@ BUILDERS: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "vec_topdim": lambda s, d: _top_components(_t(s, d, "embeddings")),
 }
 
+
+def _sql_words(id_col: str, text: str, table: str) -> str:
+    split = f"select {id_col}, unnest(regexp_split_to_array(lower({text}), '{_LETTERS}')) as w from {table}"
+    return f"select distinct {id_col} as u, w as v from ({split}) where w <> '' and {id_col} is not null"
+
+
 #: DuckDB SQL of edges(u, v) for the graphs that oracles use.
 SQL: dict[str, str] = {
     "customer_part": f"select distinct o_custkey as u, l_partkey as v from {_ORDER_LINES}",
@@ -70,6 +78,7 @@ SQL: dict[str, str] = {
     "user_k": "select distinct user_id as u, json_extract_string(props, '$.k')::bigint as v from events where json_extract_string(props, '$.k') is not null",
     "user_hour": "select distinct user_id as u, date_trunc('hour', ts) as v from events",
     "doc_line": "select distinct doc_id as u, line as v from (select doc_id, unnest(string_split(text, chr(10))) as line from documents) where line <> ''",
+    "doc_token": _sql_words("doc_id", "text", "documents"),
     "page_href": """select distinct page_id as u, href as v from (select page_id, unnest(regexp_extract_all(html, 'href="([^"]*)"', 1)) as href from pages)""",
     "doc_label": "select distinct doc_id as u, unnest(['quality=' || quality, 'toxic=' || toxic]) as v from labels",
     "vec_topdim": "select distinct vec_id as u, i::bigint - 1 as v from (select vec_id, i, row_number() over (partition by vec_id order by abs(x) desc, i) as r from (select vec_id, unnest(embedding) as x, generate_subscripts(embedding, 1) as i from embeddings)) where r <= 6",

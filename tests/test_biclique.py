@@ -227,3 +227,10 @@ def test_planner_and_sources(spark, small, tmp_path):
     scalar.register(spark)
     assert spark.sql("select count(*) from broom_steps(4, 3)").first()[0] == 6
     assert spark.sql("select relative_error(9, 10) as e").first()["e"] == pytest.approx(0.1)
+
+
+def test_doc_token_holds_frequent_words(spark):
+    docs = spark.read.parquet(f"{SF}/documents.parquet").count()
+    most = lambda g: one(graph(spark, SF, g).groupBy("v").count().agg(F.max("count")))
+    assert most("doc_token") > docs / 2
+    assert most("doc_token_to_5_percent") <= 0.05 * docs
