@@ -10,8 +10,8 @@ from pyspark.sql import functions as F
 from biclique_spark.operators.graph import edges_from
 
 _ORDER_LINES = "orders join lineitem on o_orderkey = l_orderkey"
-#: Fixed forms: words are runs of letters, links the targets of double-quoted href attributes.
-_LETTERS, _HREF = r"[^a-z]+", r'href="([^"]*)"'
+#: Fixed forms: words are runs of letters of any script, links the targets of double-quoted href attributes.
+_LETTERS, _HREF = r"[^\p{L}]+", r'href="([^"]*)"'
 
 
 def _t(spark: SparkSession, sf: str, name: str) -> DataFrame:
@@ -79,6 +79,9 @@ SQL: dict[str, str] = {
     "user_hour": "select distinct user_id as u, date_trunc('hour', ts) as v from events",
     "doc_line": "select distinct doc_id as u, line as v from (select doc_id, unnest(string_split(text, chr(10))) as line from documents) where line <> ''",
     "doc_token": _sql_words("doc_id", "text", "documents"),
+    "conv_token": _sql_words("conv_id", "text", "conversations"),
+    "item_token": _sql_words("item_id", "text", "benchmark"),
+    "page_token": _sql_words("page_id", "regexp_replace(html, '<[^>]*>', ' ', 'g')", "pages"),
     "page_href": """select distinct page_id as u, href as v from (select page_id, unnest(regexp_extract_all(html, 'href="([^"]*)"', 1)) as href from pages)""",
     "doc_label": "select distinct doc_id as u, unnest(['quality=' || quality, 'toxic=' || toxic]) as v from labels",
     "vec_topdim": "select distinct vec_id as u, i::bigint - 1 as v from (select vec_id, i, row_number() over (partition by vec_id order by abs(x) desc, i) as r from (select vec_id, unnest(embedding) as x, generate_subscripts(embedding, 1) as i from embeddings)) where r <= 6",

@@ -12,7 +12,7 @@ from biclique_spark.operators import coloring, estimator, exact, graph as G, hyb
 from biclique_spark.operators.index import broom_index, broom_list, broom_total, colored_by_key, long_index
 from biclique_spark.plans import planner
 from biclique_spark.sources import io
-from biclique_spark.sources.catalog import graph
+from biclique_spark.sources.catalog import graph, words
 
 SF = "/root/testdata/sf0.001"
 
@@ -234,3 +234,10 @@ def test_doc_token_holds_frequent_words(spark):
     most = lambda g: one(graph(spark, SF, g).groupBy("v").count().agg(F.max("count")))
     assert most("doc_token") > docs / 2
     assert most("doc_token_to_5_percent") <= 0.05 * docs
+
+
+def test_words_of_any_script(spark):
+    df = spark.createDataFrame([(1, "Für café, für_3 naïve"), (2, "Привет-мир ñ7 日本"), (3, None), (None, "x")], "id long, text string")
+    assert set(rows(words(df, "id", "text"))) == {(1, "für"), (1, "café"), (1, "naïve"), (2, "привет"), (2, "мир"), (2, "ñ"), (2, "日本")}
+    assert graph(spark, SF, "doc_token").count() == 50_193 and graph(spark, SF, "page_token").count() == 13_012  # SURVEY 1.4
+    assert G.core_reduce(graph(spark, SF, "conv_token"), 3, 3).count() == 1_265  # FIXTURES
