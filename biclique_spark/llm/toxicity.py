@@ -38,18 +38,21 @@ FEATURES = ("exact", "fuzzy", "entries", "share", "quoted", "reported", "bare")
 
 def edits_allowed(entry: str, prefix: bool) -> int:
     """Short words have too many neighbours; a beginning says less than a word."""
-    return 0 if prefix or len(entry) < 5 else 1 if len(entry) < 9 else 2
+    return 0 if prefix or len(entry) < 4 else 1 if len(entry) < 9 else 2
 
 
 class LexiconAutomaton:
-    """match(word): (entry number, edits) of the entry with the fewest edits, the first of equals; None without one."""
+    """match(word): (entry number, edits) of the entry with the fewest edits, the first of equals; None without one.
 
-    def __init__(self, entries: Iterable[tuple[str, bool]]):
-        self.entries = list(entries)
+    With ``swaps`` two neighbouring letters exchanged are one edit, else two. Entries in ``strict`` allow none.
+    """
+
+    def __init__(self, entries: Iterable[tuple[str, bool]], swaps: bool = False, strict: frozenset = frozenset()):
+        self.entries, self.swaps = list(entries), swaps
         self.child: list[dict[str, int]] = [{}]
         self.ends: list[list[int]] = [[]]
         self.room = [0]  # edits that some entry below still allows
-        self.limit = [edits_allowed(*e) for e in self.entries]
+        self.limit = [0 if e in strict else edits_allowed(*e) for e in self.entries]
         for k, (word, _) in enumerate(self.entries):
             node = 0
             self.room[0] = max(self.room[0], self.limit[k])
@@ -69,23 +72,24 @@ class LexiconAutomaton:
         self.names: dict[tuple, int] = {}
         self.states: list[tuple] = []
         self.steps: list[dict[str, int]] = []
-        self.start = self._state({(0, 0)}, None)
+        self.start = self._state({(0, 0, "")}, None)
 
-    def _state(self, positions: set[tuple[int, int]], won: tuple[int, int] | None) -> int:
-        """positions: (node, edits) pairs; won: the best beginning matched so far."""
-        best: dict[int, int] = {}
+    def _state(self, positions: set[tuple[int, int, str]], won: tuple[int, int] | None) -> int:
+        """positions: (node, edits, letter due to complete a swap, or none); won: the best beginning matched so far."""
+        best: dict[tuple[int, str], int] = {}
         todo = list(positions)
         while todo:
-            node, e = todo.pop()
-            if e > self.room[node] or best.get(node, 99) <= e:
+            node, e, due = todo.pop()
+            if e > self.room[node] or best.get((node, due), 99) <= e:
                 continue
-            best[node] = e
-            todo += [(x, e + 1) for x in self.child[node].values()]  # a letter of the entry left out
-        for node, e in best.items():
+            best[node, due] = e
+            if not due:
+                todo += [(x, e + 1, "") for x in self.child[node].values()]  # a letter of the entry left out
+        for (node, due), e in best.items():
             for k in self.ends[node]:
-                if self.entries[k][1] and e <= self.limit[k]:
+                if not due and self.entries[k][1] and e <= self.limit[k]:
                     won = min(won or (e, k), (e, k))
-        name = (tuple(sorted(best.items())), won)
+        name = (tuple(sorted((node, e, due) for (node, due), e in best.items())), won)
         if name not in self.names:
             self.names[name] = len(self.states)
             self.states.append(name)
@@ -95,10 +99,16 @@ class LexiconAutomaton:
     def _step(self, state: int, c: str) -> int:
         positions, won = self.states[state]
         after = set()
-        for node, e in positions:
-            after.add((node, e + 1))  # a letter too many
+        for node, e, due in positions:
+            if due:
+                if c == due:
+                    after.add((node, e, ""))
+                continue
+            after.add((node, e + 1, ""))  # a letter too many
             for x, to in self.child[node].items():
-                after.add((to, e + (x != c)))
+                after.add((to, e + (x != c), ""))
+                if self.swaps and x != c and c in self.child[to]:
+                    after.add((self.child[to][c], e + 1, x))
         out = self.steps[state][c] = self._state(after, won)
         return out
 
@@ -111,7 +121,7 @@ class LexiconAutomaton:
             to = self.steps[at].get(c)
             at = self._step(at, c) if to is None else to
         positions, won = self.states[at]
-        found = [(e, k) for node, e in positions for k in self.ends[node] if e <= self.limit[k]]
+        found = [(e, k) for node, e, due in positions if not due for k in self.ends[node] if e <= self.limit[k]]
         best = min(found + ([won] if won else []), default=None)
         return (best[1], best[0]) if best else None
 
@@ -121,22 +131,23 @@ class ToxicityModel:
     entries: list[tuple[str, bool]]
     weights: np.ndarray = field(default_factory=lambda: np.zeros(len(FEATURES)))
     bias: float = 0.0
+    strict: frozenset = frozenset()
 
     def __getstate__(self):
-        return self.entries, self.weights, self.bias
+        return self.entries, self.weights, self.bias, self.strict
 
     def __setstate__(self, state):
-        self.entries, self.weights, self.bias = state
+        self.entries, self.weights, self.bias, self.strict = state
         self._ready()
 
     def __post_init__(self):
         self._ready()
 
     def _ready(self) -> None:
-        key = tuple(self.entries)
+        key = tuple(self.entries), self.strict
         if key not in _walked:
             _walked.clear()
-            _walked[key] = LexiconAutomaton(key), {}
+            _walked[key] = LexiconAutomaton(self.entries, True, self.strict), {}
         self.automaton, self.known = _walked[key]
 
     def _hit(self, token: str) -> tuple[int, int] | None:
@@ -214,11 +225,20 @@ def learn_lexicon(rows: list[tuple[list[str], int]], gain: int = 3, purity: floa
     for t in sorted(pure, key=lambda t: (-len(pure[t]), t)):
         if len(out) >= ENTRIES or len(pure[t]) < max(4 * gain, 0.02 * len(toxic)):
             break
-        if not any(p and t[0].startswith(e) for e, p in out):
+        # A whole word under a beginning is one as well: it allows edits, the beginning none.
+        if not t[1] or not any(p and t[0].startswith(e) for e, p in out):
             out.append(t)
     return out
 
 
+def near_clean(entries: list[tuple[str, bool]], rows: list[tuple[list[str], int]]) -> frozenset:
+    """Words of four letters that are one edit from a word of a clean row: these allow none."""
+    short = [e for e in entries if not e[1] and len(e[0]) == 4]
+    clean = {w for ws, y in rows if not y for w in ws if 3 <= len(w) <= 5} if short else set()
+    automata = {e: LexiconAutomaton([e], True) for e in short}
+    return frozenset(e for e, a in automata.items() if any((m := a.match(w)) and m[1] for w in clean))
+
+
 def fit_logistic(x: np.ndarray, y: np.ndarray, steps: int = 400, decay: float = 1e-3) -> tuple[np.ndarray, float]:
     """Gradient descent on scaled columns, from zero; the same rows give the same model."""
     scale = np.maximum(np.abs(x).max(0), 1e-9)
@@ -247,7 +267,9 @@ def fit(docs: DataFrame, labels: DataFrame, id_col: str, text_col: str, label_co
             yield pa.record_batch([b.column(0), b.column(2), pa.array(found, pa.list_(pa.string()))], ["doc_id", "y", "words"])
 
     t = some.mapInArrow(words, "doc_id long, y int, words array<string>").toArrow().sort_by("doc_id")
-    model = ToxicityModel(learn_lexicon(list(zip(t["words"].to_pylist(), t["y"].to_pylist(), strict=True))))
+    learned = list(zip(t["words"].to_pylist(), t["y"].to_pylist(), strict=True))
+    entries = learn_lexicon(learned)
+    model = ToxicityModel(entries, strict=near_clean(entries, learned))
     if not model.entries:
         share = float(np.mean(t["y"].to_numpy())) if t.num_rows else 0.0
         model.bias = math.log((share + 1e-6) / (1 - share + 1e-6))

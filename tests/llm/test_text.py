@@ -197,3 +197,22 @@ def test_labels_of_held_out_rows_are_not_read(spark):
     wrong = labels.withColumn("toxic", F.when(quality.remainder(F.col("doc_id"), 4) == 2, 1 - F.col("toxic")).otherwise(F.col("toxic")))
     a = {r.doc_id: r.score for r in toxicity.toxicity(d, labels).collect()}
     assert a == {r.doc_id: r.score for r in toxicity.toxicity(d, wrong).collect()}
+
+
+def test_misspelled_short_terms_and_swaps(spark):
+    auto = toxicity.LexiconAutomaton([("scum", False), ("moron", False), ("blockhead", False)], swaps=True)
+    hits = {"scum": (0, 0), "skum": (0, 1), "csum": (0, 1), "scmu": (0, 1), "sc": None, "mroon": (1, 1), "mrono": None, "lbockhaed": (2, 2), "lbockhaedx": None}
+    assert {w: auto.match(w) for w in hits} == hits
+    rows = [(["scum", f"w{i}"], 1) for i in range(20)] + [(["word", f"w{i}"], 0) for i in range(20)]
+    entries = toxicity.learn_lexicon(rows)
+    assert ("scum", False) in entries and not toxicity.near_clean(entries, rows)
+    assert ("scum", False) in toxicity.near_clean(entries, rows + [(["scam"], 0)])
+    under = [([f"blockh{c}", "blockhead"], 1) for c in "abcdefghijklmnopqrst"] + rows
+    entries = toxicity.learn_lexicon(under)
+    assert ("blockhead", False) in entries
+    d = docs(spark, ["you are scum lorem" if i % 2 else "you are fine lorem" for i in range(80)] + ["you are scmu lorem", "you are skum lorem", "you are fien lorem"])
+    labels = spark.createDataFrame([(i, i % 2) for i in range(80)], "doc_id long, toxic int")
+    assert [r.predicted for r in toxicity.toxicity(d, labels).orderBy("doc_id").collect()][80:] == [1, 1, 0]
+    rows = [([f"blockh{c}"] + ["blockhead"] * (i % 2), 1) for i, c in enumerate("abcdefghijklmnopqrstuvwxyz" * 2)] + rows
+    entries = toxicity.learn_lexicon(rows)
+    assert any(p and "blockhead".startswith(e) for e, p in entries) and ("blockhead", False) in entries
