@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 from biclique_spark.functions import pattern, scalar
 from biclique_spark.operators import coloring, estimator, exact, graph as G, hybrid, measures, sampler, zigzag
 from biclique_spark.operators.index import broom_index, broom_list, broom_total, colored_by_key, long_index
-from biclique_spark.plans import planner
+from biclique_spark.plans import planner, workloads
 from biclique_spark.sources import io
 from biclique_spark.sources.catalog import graph, words
 
@@ -241,3 +241,10 @@ def test_words_of_any_script(spark):
     assert set(rows(words(df, "id", "text"))) == {(1, "für"), (1, "café"), (1, "naïve"), (2, "привет"), (2, "мир"), (2, "ñ"), (2, "日本")}
     assert graph(spark, SF, "doc_token").count() == 50_193 and graph(spark, SF, "page_token").count() == 13_012  # SURVEY 1.4
     assert G.core_reduce(graph(spark, SF, "conv_token"), 3, 3).count() == 1_265  # FIXTURES
+
+
+def test_method_errors_runs_both_methods_as_often(spark, monkeypatch):
+    seeds, real = [], hybrid.estimate_hybrid
+    monkeypatch.setattr(hybrid, "estimate_hybrid", lambda *a, seed, **k: (seeds.append(seed), real(*a, seed=seed, **k))[1])
+    got = workloads.errors(spark, SF, ("page_href",), 2, 2, 100, runs=5)
+    assert sorted(r.method for r in got.collect()) == ["broom", "hybrid"] and seeds == [1, 2, 3, 4, 5]
