@@ -39,7 +39,7 @@ def big(df: DataFrame, *names: str) -> DataFrame:
 
 # --- Graphs ------------------------------------------------------------------------------------------------------
 
-_STATS = ("customer_part", "supplier_part", "customer_supplier", "user_type", "user_k", "page_href", "doc_line", "vec_topdim")
+_STATS = ("customer_part", "supplier_part", "customer_supplier", "user_type", "user_k", "user_hour", "page_href", "doc_line", "conv_token", "vec_topdim")
 put("graph_stats", " union all ".join(f"select '{g}' as graph, count(distinct u) as n_left, count(distinct v) as n_right, count(*) as n_edges from ({SQL[g]})" for g in _STATS))(
     lambda s, d: workloads.dataset_statistics(s, d, _STATS)
 )
@@ -323,13 +323,13 @@ def error_grid_rollup(s: SparkSession, d: str) -> DataFrame:
     return measures.margins(cells, "bicliques", "rollup")
 
 
-put("stage_times")(lambda s, d: workloads.stage_split(s, d, ("page_href", "doc_line"), 3, 3, 1_000))
-put("memory_profile")(lambda s, d: workloads.memory(s, d, ("page_href",)))
+put("stage_times")(lambda s, d: workloads.stage_split(s, d, workloads.NINE, 3, 3, 1_000))
+put("memory_profile")(lambda s, d: workloads.memory(s, d, workloads.NINE))
 put("time_and_error_grid")(lambda s, d: workloads.grids(s, d, "page_href", (2, 3), 1_000))
 put("errors_by_samples")(lambda s, d: workloads.against_samples(s, d, "page_href", 3, 3, (100, 1_000), 5))
 put("method_runtimes")(lambda s, d: workloads.runtimes(s, d, ("page_href",), 3, 3, 1_000))
 put("method_errors")(lambda s, d: workloads.errors(s, d, ("page_href",), 3, 3, 1_000, 5))
-put("vertex_scalability")(lambda s, d: workloads.scalability(s, d, "supplier_part", 3, 3, 1_000, (0.6, 1.0)))
+put("vertex_scalability")(lambda s, d: workloads.scalability(s, d, "supplier_part", 3, 3, 1_000, (0.6, 0.8, 1.0)))
 put("small_sizes")(lambda s, d: workloads.small_sizes(s, d, ("page_href",), (3,), 1_000))
 put(
     "clustering_coefficient",

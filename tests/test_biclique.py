@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 from biclique_spark.functions import pattern, scalar
 from biclique_spark.operators import coloring, estimator, exact, graph as G, hybrid, measures, sampler, zigzag
 from biclique_spark.operators.index import broom_index, broom_list, broom_total, colored_by_key, long_index
-from biclique_spark.plans import planner, workloads
+from biclique_spark.plans import planner, queries, workloads
 from biclique_spark.sources import io
 from biclique_spark.sources.catalog import graph, words
 
@@ -248,3 +248,13 @@ def test_method_errors_runs_both_methods_as_often(spark, monkeypatch):
     monkeypatch.setattr(hybrid, "estimate_hybrid", lambda *a, seed, **k: (seeds.append(seed), real(*a, seed=seed, **k))[1])
     got = workloads.errors(spark, SF, ("page_href",), 2, 2, 100, runs=5)
     assert sorted(r.method for r in got.collect()) == ["broom", "hybrid"] and seeds == [1, 2, 3, 4, 5]
+
+
+def test_registered_experiments_cover_the_nine_graphs(monkeypatch):
+    got = {}
+    for name in ("dataset_statistics", "stage_split", "memory"):
+        monkeypatch.setattr(workloads, name, lambda s, d, graphs, *a, n=name: got.__setitem__(n, set(graphs)))
+    monkeypatch.setattr(workloads, "scalability", lambda s, d, g, p, q, t, shares: got.__setitem__("shares", shares))
+    for q in ("graph_stats", "stage_times", "memory_profile", "vertex_scalability"):
+        queries.QUERIES[q](None, None)
+    assert all(set(workloads.NINE) <= got[n] for n in ("dataset_statistics", "stage_split", "memory")) and got["shares"] == (0.6, 0.8, 1.0)
