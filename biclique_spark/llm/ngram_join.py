@@ -28,8 +28,8 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from biclique_spark.llm.common import setting, size_of, small, written
-from biclique_spark.llm.words import mixed, runs, word_codes
+from biclique_spark.llm.common import discard, lean, setting, size_of, small, unused, written
+from biclique_spark.llm.words import mixed, new_key, runs, word_codes
 
 #: Documents that a rare token may have; tokens below this share of all hashes are counted.
 RARE, COUNTED = 16, 0.34
@@ -39,14 +39,14 @@ SHARE, GATHER, PIVOTS = 1 << 19, 1 << 23, 1
 BLOCK, DENSE = 2048, 40_000
 #: Rare tokens indexed beyond the prefix: a pair must share about so many, or it is no candidate.
 EXTRA = 24
-#: Rows of an Arrow batch; each may hold two texts.
-BATCH_ROWS = 1000
+#: Rows and bytes of an Arrow batch; a row may hold two texts.
+BATCH_ROWS, BATCH_BYTES = 1000, "8m"
 _LOW = np.uint64(int(COUNTED * 2**64))
 
 
-def shingles(text: bytes, n: int) -> np.ndarray:
+def shingles(text: bytes, n: int, key: bytes) -> np.ndarray:
     """The set: sorted distinct hashes of the n-grams of a text whose A-Z are lower-cased."""
-    return np.unique(runs(word_codes(text, lower=True), n))
+    return np.unique(runs(word_codes(text, key, lower=True), n))
 
 
 def linked(shared: np.ndarray, a: np.ndarray, b: np.ndarray, percent: int) -> np.ndarray:
@@ -57,19 +57,19 @@ def _rows(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
     return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.coalesce(F.col(text_col), F.lit("")).cast("binary").alias("text"))
 
 
-def sets(rows: DataFrame, n: int) -> DataFrame:
+def sets(rows: DataFrame, n: int, key: bytes) -> DataFrame:
     """(doc_id, n, digest): how many tokens each row has, and 128 bits that equal sets share."""
 
     def run(source: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in source:
             size, digest = [], []
             for text in b.column(1):
-                s = shingles(text.as_py(), n)
+                s = shingles(text.as_py(), n, key)
                 size.append(len(s))
                 digest.append(xxhash.xxh3_128_digest(s.tobytes()))
             yield pa.record_batch([b.column(0), pa.array(size, pa.int64()), pa.array(digest, pa.binary())], ["doc_id", "n", "digest"])
 
-    return rows.mapInArrow(run, "doc_id long, n long, digest binary")
+    return rows.mapInArrow(lean(run), "doc_id long, n long, digest binary")
 
 
 def _lengths(n: int, percent: int) -> tuple[int, int]:
@@ -78,7 +78,7 @@ def _lengths(n: int, percent: int) -> tuple[int, int]:
     return lacking + 1, min(n, lacking + (100 - percent) * n // percent + 2)
 
 
-def counted_tokens(rows: DataFrame, n: int, percent: int, ranges: int) -> DataFrame:
+def counted_tokens(rows: DataFrame, n: int, percent: int, ranges: int, key: bytes) -> DataFrame:
     """(doc_id, n, low, tokens): a row for each document and range, with those tokens of the (extended) prefix's
     region that another document has too. ``tokens`` are records of token, place by hash and whether it is frequent.
 
@@ -131,7 +131,7 @@ def counted_tokens(rows: DataFrame, n: int, percent: int, ranges: int) -> DataFr
         for b in source:
             for doc_id, text in zip(b.column(0).to_pylist(), b.column(1), strict=True):
                 raw = text.as_py()
-                s = shingles(raw, n)
+                s = shingles(raw, n, key)
                 if not len(s):
                     continue
                 low = int(np.searchsorted(s, _LOW))
@@ -147,7 +147,7 @@ def counted_tokens(rows: DataFrame, n: int, percent: int, ranges: int) -> DataFr
         if gathered:
             yield sent()
 
-    def count(key: tuple, tables: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def count(part: tuple, tables: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         entries, known = [], []
         for b in tables:
             for i in range(b.num_rows):
@@ -161,7 +161,7 @@ def counted_tokens(rows: DataFrame, n: int, percent: int, ranges: int) -> DataFr
         if not entries:
             return
         token, place, doc, size, low = map(np.concatenate, zip(*entries, strict=True))
-        if key[0].as_py() >= ranges:
+        if part[0].as_py() >= ranges:
             frequent = np.ones(len(token), bool)
         else:
             all_tokens = np.concatenate([token, *[x[0] for x in known]])
@@ -181,7 +181,7 @@ def counted_tokens(rows: DataFrame, n: int, percent: int, ranges: int) -> DataFr
         yield pa.record_batch(columns, ["doc_id", "n", "low", "tokens"])
 
     schema = "range int, token binary, doc binary, place binary, high binary, many binary, ids binary, sizes binary, lows binary"
-    return rows.mapInArrow(run, schema).groupBy("range").applyInArrow(count, "doc_id long, n long, low long, tokens binary")
+    return rows.mapInArrow(lean(run), schema).groupBy("range").applyInArrow(lean(count), "doc_id long, n long, low long, tokens binary")
 
 
 def index(counted: DataFrame, percent: int) -> DataFrame:
@@ -220,7 +220,7 @@ def index(counted: DataFrame, percent: int) -> DataFrame:
                 yield pa.record_batch(list(map(pa.array, columns)), ["key", "pair", "doc_id", "n", "own", "need"])
 
     whole = counted.groupBy("doc_id", "n", "low").agg(F.collect_list("tokens").alias("tokens"))
-    return whole.mapInArrow(run, "key long, pair boolean, doc_id long, n long, own long, need long")
+    return whole.mapInArrow(lean(run), "key long, pair boolean, doc_id long, n long, own long, need long")
 
 
 def _near(percent: int, a: str = "n_a", b: str = "n_b"):
@@ -294,7 +294,7 @@ def overlaps(a: list[np.ndarray], b: list[np.ndarray]) -> np.ndarray:
     return out
 
 
-def parted_links(combined: DataFrame, comp: DataFrame, rows: DataFrame, n: int, percent: int) -> DataFrame:
+def parted_links(combined: DataFrame, comp: DataFrame, rows: DataFrame, n: int, percent: int, key: bytes) -> DataFrame:
     """(a, b): links between components that still share a bucket, enough of them to join what is linked.
 
     Buckets that meet form clusters. In a cluster each document outside its largest component is compared with all
@@ -317,10 +317,10 @@ def parted_links(combined: DataFrame, comp: DataFrame, rows: DataFrame, n: int,
 
     def packed(source: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in source:
-            sets_ = [shingles(t.as_py(), n).tobytes() for t in b.column(1)]
+            sets_ = [shingles(t.as_py(), n, key).tobytes() for t in b.column(1)]
             yield pa.record_batch([b.column(0), pa.array(sets_, pa.binary())], ["doc_id", "tokens"])
 
-    wanted = rows.join(small(apart.select("doc_id")), "doc_id", "left_semi").mapInArrow(packed, "doc_id long, tokens binary")
+    wanted = rows.join(small(apart.select("doc_id")), "doc_id", "left_semi").mapInArrow(lean(packed), "doc_id long, tokens binary")
     full = written(wanted.join(apart, "doc_id"), "ngram-blocks")
     one = full.where("comp <> largest").select("cluster", F.pmod(hashed, of_rest).alias("i"), F.explode(F.sequence(F.lit(0).cast("long"), of_all - 1)).alias("j"), F.lit(True).alias("asks"), "doc_id", "comp", "tokens")
     all_ = full.select("cluster", F.explode(F.sequence(F.lit(0).cast("long"), of_rest - 1)).alias("i"), F.pmod(hashed, of_all).cast("long").alias("j"), F.lit(False).alias("asks"), "doc_id", "comp", "tokens")
@@ -344,7 +344,7 @@ def parted_links(combined: DataFrame, comp: DataFrame, rows: DataFrame, n: int,
     return one.unionByName(all_).groupBy("cluster", "i", "j").applyInArrow(compare, "a long, b long").distinct()
 
 
-def verified(pairs: DataFrame, rows: DataFrame, n: int, percent: int) -> DataFrame:
+def verified(pairs: DataFrame, rows: DataFrame, n: int, percent: int, key: bytes) -> DataFrame:
     """The pairs that are links, by the whole texts of both."""
     wanted = pairs.select(F.col("a").alias("doc_id")).unionByName(pairs.select(F.col("b").alias("doc_id"))).distinct()
     texts = rows.join(small(wanted), "doc_id", "left_semi")
@@ -358,7 +358,7 @@ def verified(pairs: DataFrame, rows: DataFrame, n: int, percent: int) -> DataFra
             if doc not in kept:
                 if len(kept) > 64:
                     kept.clear()
-                kept[doc] = shingles(text.as_py(), n)
+                kept[doc] = shingles(text.as_py(), n, key)
             return kept[doc]
 
         for batch in source:
@@ -369,22 +369,25 @@ def verified(pairs: DataFrame, rows: DataFrame, n: int, percent: int) -> DataFra
                 fine.append(bool(linked(shared, len(s), len(t), percent)))
             yield pa.record_batch([batch.column(0), batch.column(1)], ["a", "b"]).filter(pa.array(fine, pa.bool_()))
 
-    return both.mapInArrow(run, "a long, b long")
+    return both.mapInArrow(lean(run), "a long, b long")
 
 
 def components(links: DataFrame) -> DataFrame:
     """(doc_id, comp): the smallest id that links reach from each end of a link. Each round takes the neighbours'
-    smallest label and then the label's label, so chains shorten by half; tables cut the lineage."""
+    smallest label and then the label's label, so chains shorten by half; tables cut the lineage, and each goes when
+    the next is there."""
     ends = written(links.unionByName(links.select(F.col("b").alias("a"), F.col("a").alias("b"))).distinct(), "ngram-ends")
     label = written(ends.groupBy("a").agg(F.least(F.min("b"), F.first("a")).alias("comp")), "ngram-label")
     while True:
         seen = ends.join(label.select(F.col("a").alias("b"), F.col("comp").alias("theirs")), "b").groupBy("a").agg(F.min("theirs").alias("theirs"))
-        new = label.join(seen, "a").select("a", F.least("comp", "theirs").alias("comp"), F.col("comp").alias("old"))
+        new = label.select("a", "comp").join(seen, "a").select("a", F.least("comp", "theirs").alias("comp"), F.col("comp").alias("old"))
         jump = label.select(F.col("a").alias("comp"), F.col("comp").alias("further"))
         new = new.join(jump, "comp", "left").select("a", F.least("comp", F.coalesce("further", "comp")).alias("comp"), "old")
         new = written(new, "ngram-label")
-        label = new.select("a", "comp")
+        discard(label)
+        label = new
         if not new.where("comp <> old").limit(1).count():
+            discard(ends)
             return label.select(F.col("a").alias("doc_id"), "comp")
 
 
@@ -396,13 +399,13 @@ def join_components(docs: DataFrame, n: int = 5, percent: int = 80, id_col: str
     is null). Equal sets link; repeated rows have one component. An empty table gives an empty result; other
     columns are not read. Very long texts are read whole; hashes have 64 bits.
     """
-    with setting(docs.sparkSession, spark__sql__execution__arrow__maxRecordsPerBatch=str(BATCH_ROWS)):
+    with setting(docs.sparkSession, spark__sql__execution__arrow__maxRecordsPerBatch=str(BATCH_ROWS), spark__sql__execution__arrow__maxBytesPerBatch=BATCH_BYTES):
         return _join_components(docs, n, percent, id_col, text_col)
 
 
 def _join_components(docs: DataFrame, n: int, percent: int, id_col: str, text_col: str) -> DataFrame:
-    rows = _rows(docs, id_col, text_col)
-    size = written(sets(rows, n), "ngram-sets")
+    rows, key = _rows(docs, id_col, text_col), new_key()
+    size = written(sets(rows, n, key), "ngram-sets")
     equal = size.where("n > 0 and doc_id is not null").groupBy("digest").agg(F.min("doc_id").alias("rep"), F.count(F.lit(1)).alias("copies"))
     equal = equal.where("copies > 1").select("digest", "rep")
     same = written(size.where("n > 0 and doc_id is not null").join(equal, "digest").select("doc_id", "rep").distinct(), "ngram-same")
@@ -410,23 +413,42 @@ def _join_components(docs: DataFrame, n: int, percent: int, id_col: str, text_co
     alone = rows.where("doc_id is not null").join(small(same.where("doc_id <> rep").select("doc_id")), "doc_id", "left_anti")
     bytes_ = size_of(docs, text_col)
     ranges = 1 << max(3, int(bytes_ // 6 * 0.4 // SHARE).bit_length())
-    keys = written(index(counted_tokens(alone, n, percent, ranges), percent), "ngram-index")
+    keys = written(index(counted_tokens(alone, n, percent, ranges, key), percent), "ngram-index")
     several = keys.groupBy("key", "pair").agg(F.min("doc_id").alias("x"), F.max("doc_id").alias("y")).where("x < y").select("key", "pair")
     combined = written(keys.where("pair").join(several.where("pair").select("key"), "key", "left_semi").drop("pair"), "ngram-combined")
     done = written(rare_pairs(keys, percent).unionByName(pivot_pairs(combined, None, percent, 0)).distinct(), "ngram-pairs")
-    links = written(verified(done, alone, n, percent), "ngram-links")
+    links = written(verified(done, alone, n, percent, key), "ngram-links")
     comp = components(links)
     for turn in range(1, PIVOTS + 1):
         pairs = written(pivot_pairs(combined, comp, percent, turn).join(done, ["a", "b"], "left_anti"), "ngram-pairs")
-        found = written(verified(pairs, alone, n, percent), "ngram-links")
+        found = written(verified(pairs, alone, n, percent, key), "ngram-links")
         done = done.unionByName(pairs)
         if found.limit(1).count():
             links = links.unionByName(found)
             comp = components(links)
-    found = written(parted_links(combined, comp, alone, n, percent), "ngram-links")
+    found = written(parted_links(combined, comp, alone, n, percent, key), "ngram-links")
     if found.limit(1).count():
         comp = components(links.unionByName(found))
     of = size.select("doc_id", F.col("n").alias("n_shingles"))
     of = of.join(same, "doc_id", "left").withColumn("rep", F.coalesce("rep", "doc_id"))
     of = of.join(comp.select(F.col("doc_id").alias("rep"), "comp"), "rep", "left")
     return of.select("doc_id", "n_shingles", F.coalesce("comp", "rep").alias("component_id"))
+
+
+def keep_one(docs: DataFrame, n: int = 5, percent: int = 80, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """One row of each component, with all its columns: the one with the smallest id, nulls last. Rows are judged one
+    by one: where ids repeat or are null, each row gets a number of its own for the join, so a row never goes for what
+    another row with its id holds. Rows without words (null or empty texts) are linked with nothing and all stay; an
+    empty table gives an empty result."""
+    rows, ids, distinct = docs.agg(F.count(F.lit(1)), F.count(id_col), F.count_distinct(id_col)).first()
+    plain = rows == ids == distinct
+    row = unused("row", docs)
+    numbered = docs if plain else written(docs.withColumn(row, F.monotonically_increasing_id()), "ngram-numbered")
+    found = join_components(numbered, n, percent, id_col if plain else row, text_col)
+    if plain:
+        gone = found.where("doc_id <> component_id").select(F.col("doc_id").alias(row))
+        return docs.join(small(written(gone, "ngram-gone")), docs[id_col] == F.col(row), "left_anti")
+    named = numbered.select(F.col(row).alias("doc_id"), F.col(id_col).alias("id")).join(found, "doc_id")
+    best = named.groupBy("component_id").agg(F.min_by("doc_id", F.struct(F.col("id").isNull(), F.col("id"), F.col("doc_id"))).alias("best"))
+    gone = named.join(best, "component_id").where("doc_id <> best").select(F.col("doc_id").alias(row))
+    return numbered.join(small(written(gone, "ngram-gone")), row, "left_anti").drop(row)

@@ -4,10 +4,12 @@ A window is ``window`` consecutive words. First every partition sketches its win
 and a cell counts the rows (documents) it had, as far as "more than one" goes. The sketches are cut into ranges of
 cells and merged, a range a task, into one bit a cell: counted more than once. A count can only be too high, so no
 repeated window is lost. A second pass sends on only the windows whose cell has its bit set, and groups them
-exactly, by 96 bits of hash. A sketch of SPARSE cells a window leaves few others; beyond MOST_CELLS more windows
+exactly, by 96 bits of keyed hash from both halves of the words' numbers. A sketch of SPARSE cells a window leaves few others; beyond MOST_CELLS more windows
 are grouped for nothing, and none is lost.
 
-Both passes pack hashes into arrays of bytes, by range of cells, so that neither shuffle has a row a window.
+Both passes pack hashes into arrays of bytes, by range of cells, so that neither shuffle has a row a window. A chunk
+of rows settles what it can by itself and sends one document's starts of each window to its range, so a window that a
+third of all documents share costs its range one entry a chunk.
 """
 
 from __future__ import annotations
@@ -20,8 +22,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from biclique_spark.llm.common import size_of, written
-from biclique_spark.llm.words import mixed, runs, word_codes
+from biclique_spark.llm.common import lean, size_of, written
+from biclique_spark.llm.words import mixed, new_key, runs, word_codes
 
 #: Cells for each window expected; the largest sketch (its bits are broadcast: 2^30 cells are 128 MB).
 SPARSE, MOST_CELLS = 4, 1 << 30
@@ -39,11 +41,19 @@ def _rows(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
     return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.coalesce(F.col(text_col), F.lit("")).cast("binary").alias("text"))
 
 
+def least_ids(h: np.ndarray, g: np.ndarray, ids: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """An order of rows by both hashes and, in that order, the smallest id of each row's window."""
+    order = np.lexsort((g, h))
+    first = np.ones(len(h), bool)
+    first[1:] = (np.diff(h[order]) != 0) | (np.diff(g[order]) != 0)
+    return order, np.minimum.reduceat(ids[order], np.nonzero(first)[0])[np.cumsum(first) - 1]
+
+
 def _cells(hashes: np.ndarray, bits: int) -> np.ndarray:
     return hashes >> np.uint64(64 - bits)
 
 
-def repeated_cells(docs: DataFrame, window: int, bits: int, ranges: int) -> DataFrame:
+def repeated_cells(docs: DataFrame, window: int, bits: int, ranges: int, key: bytes) -> DataFrame:
     """(range, bitmap): for each range of cells, a bit a cell that more than one row's windows fell into."""
     shift = bits - (ranges.bit_length() - 1)
 
@@ -66,7 +76,7 @@ def repeated_cells(docs: DataFrame, window: int, bits: int, ranges: int) -> Data
         for b in source:
             for text in b.column(0):
                 raw = text.as_py()
-                codes = word_codes(raw)
+                codes = word_codes(raw, key)
                 if len(codes) >= window:
                     gathered.append(np.unique(_cells(runs(codes, window), bits)))
                     size += len(raw)
@@ -76,7 +86,7 @@ def repeated_cells(docs: DataFrame, window: int, bits: int, ranges: int) -> Data
         if gathered:
             yield sent()
 
-    def merge(key: tuple, tables: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def merge(part: tuple, tables: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         seen = np.zeros(1 << shift, np.uint8)
         for b in tables:
             for once, more in zip(b.column("once"), b.column("more"), strict=True):
@@ -84,10 +94,10 @@ def repeated_cells(docs: DataFrame, window: int, bits: int, ranges: int) -> Data
                 seen[c] = np.minimum(seen[c] + 1, 2)
                 seen[np.cumsum(np.frombuffer(more.as_buffer(), np.uint32), dtype=np.uint32)] = 2
         bitmap = np.packbits(seen > 1).tobytes()
-        yield pa.record_batch([pa.array([key[0].as_py()], pa.int32()), pa.array([bitmap], pa.binary())], ["range", "bitmap"])
+        yield pa.record_batch([pa.array([part[0].as_py()], pa.int32()), pa.array([bitmap], pa.binary())], ["range", "bitmap"])
 
-    thin = docs.select("text").mapInArrow(sketch, "range int, once binary, more binary")
-    return thin.groupBy("range").applyInArrow(merge, "range int, bitmap binary")
+    thin = docs.select("text").mapInArrow(lean(sketch), "range int, once binary, more binary")
+    return thin.groupBy("range").applyInArrow(lean(merge), "range int, bitmap binary")
 
 
 def repeats(docs: DataFrame, window: int, id_col: str, text_col: str) -> DataFrame:
@@ -95,42 +105,49 @@ def repeats(docs: DataFrame, window: int, id_col: str, text_col: str) -> DataFra
     pairs of little-endian 32-bit numbers, from and up to. Ranges send what they find to buckets of documents, packed,
     and a bucket puts each document's windows together."""
     spark = docs.sparkSession
-    total = size_of(docs, text_col)
+    total, key = size_of(docs, text_col), new_key()
     rows = _rows(docs, id_col, text_col).where("doc_id is not null")
     bits = sketch_bits(total)
     # Ranges follow the data, so that the share of one stays the same.
     ranges = 1 << min(bits - 12, max(3, (total // 6 // SHARE).bit_length()))
     whole = np.zeros((ranges, (1 << bits) // ranges // 8), np.uint8)
-    for part in written(repeated_cells(rows, window, bits, ranges), "substring-sketch").toLocalIterator():  # 1 / 8 byte a cell
+    for part in written(repeated_cells(rows, window, bits, ranges, key), "substring-sketch").toLocalIterator():  # 1 / 8 byte a cell
         whole[part["range"]] = np.frombuffer(part["bitmap"], np.uint8)
     sketch = spark.sparkContext.broadcast(whole.ravel())
     del whole
     shift = np.uint64(64 - (ranges.bit_length() - 1))
 
+    def bucket_of(doc: np.ndarray) -> np.ndarray:
+        return (mixed(doc.view(np.uint64)) % np.uint64(ranges)).astype(np.int64)
+
     def candidates(source: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         """Windows whose bit is set, packed by range: two hashes, the row they are of, and where they start."""
         bitmap, gathered, ids, size = sketch.value, [], [], 0
 
         def sent() -> pa.RecordBatch:
             h, g, doc, start = (np.concatenate(x) for x in zip(*gathered, strict=True))
-            order = np.argsort(h, kind="stable")
-            h, g, doc, start = h[order], g[order], doc[order], start[order]
-            cut = np.append(np.searchsorted(h, np.arange(ranges, dtype=np.uint64) << shift), len(h))
             names = np.array(ids, np.int64)
+            order, least = least_ids(h, g, names[doc])
+            h, g, doc, start = h[order], g[order], doc[order], start[order]
+            # A window that a smaller id of this chunk has is settled here; only the smallest id's starts are still open.
+            settled = names[doc] > least
+            to = np.where(settled, ranges + bucket_of(names[doc]), (h >> shift).astype(np.int64))
+            by = np.argsort(to, kind="stable")
+            cut = np.nonzero(np.diff(to[by], prepend=-1))[0]
             out: dict[str, list] = {k: [] for k in ("range", "h", "g", "doc", "low", "high", "ids")}
-            for r in range(ranges):
-                own = slice(cut[r], cut[r + 1])
-                if cut[r] < cut[r + 1]:
-                    used, back = np.unique(doc[own], return_inverse=True)
-                    values = (r, h[own], g[own], back.astype(np.uint16), start[own].astype(np.uint16), (start[own] >> np.uint32(16)).astype(np.uint16), names[used])
-                    for k, x in zip(out, values, strict=True):
-                        out[k].append(x if k == "range" else x.tobytes())
+            for x, y in zip(cut, np.append(cut[1:], len(by)), strict=True):
+                own, r = by[x:y], int(to[by[x]])
+                used, back = np.unique(doc[own], return_inverse=True)
+                hashes = (h[own], g[own]) if r < ranges else (h[:0], g[:0])
+                values = (r, *hashes, back.astype(np.uint16), start[own].astype(np.uint16), (start[own] >> np.uint32(16)).astype(np.uint16), names[used])
+                for k, v in zip(out, values, strict=True):
+                    out[k].append(v if k == "range" else v.tobytes())
             return pa.record_batch([pa.array(out["range"], pa.int32()), *[pa.array(out[k], pa.binary()) for k in list(out)[1:]]], list(out))
 
         for b in source:
             for doc_id, text in zip(b.column(0).to_pylist(), b.column(1), strict=True):
                 raw = text.as_py()
-                codes = word_codes(raw)
+                codes = word_codes(raw, key)
                 if len(codes) < window:
                     continue
                 h = runs(codes, window)
@@ -146,7 +163,7 @@ def repeats(docs: DataFrame, window: int, id_col: str, text_col: str) -> DataFra
         if gathered:
             yield sent()
 
-    def exact(key: tuple, tables: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def exact(part: tuple, tables: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         h, g, doc, start = [], [], [], []
         for b in tables:
             for i in range(b.num_rows):
@@ -156,15 +173,13 @@ def repeats(docs: DataFrame, window: int, id_col: str, text_col: str) -> DataFra
                 doc.append(column("ids", np.int64)[column("doc", np.uint16)])
                 start.append(column("low", np.uint16).astype(np.uint32) | column("high", np.uint16).astype(np.uint32) << np.uint32(16))
         h, g, doc, start = map(np.concatenate, (h, g, doc, start))
-        order = np.lexsort((g, h))
-        first = np.ones(len(h), bool)
-        first[1:] = (np.diff(h[order]) != 0) | (np.diff(g[order]) != 0)
-        least = np.minimum.reduceat(doc[order], np.nonzero(first)[0])[np.cumsum(first) - 1]
-        late = order[doc[order] > least]
-        if not len(late):
-            return
-        doc, start = doc[late], start[late]
-        bucket = (mixed(doc.view(np.uint64)) % np.uint64(ranges)).astype(np.int64)
+        if part[0].as_py() < ranges:
+            order, least = least_ids(h, g, doc)
+            late = order[doc[order] > least]
+            if not len(late):
+                return
+            doc, start = doc[late], start[late]
+        bucket = bucket_of(doc)
         order = np.lexsort((start, doc, bucket))
         bucket, doc, start = bucket[order], doc[order], start[order]
         out: dict[str, list] = {k: [] for k in ("bucket", "docs", "counts", "starts")}
@@ -191,8 +206,8 @@ def repeats(docs: DataFrame, window: int, id_col: str, text_col: str) -> DataFra
         runs_ = [pairs[a:b].tobytes() for a, b in zip(at, np.append(at[1:], len(pairs)), strict=True)]
         return pa.table({"doc_id": pa.array(names, pa.int64()), "runs": pa.array(runs_, pa.binary())})
 
-    packed = rows.mapInArrow(candidates, "range int, h binary, g binary, doc binary, low binary, high binary, ids binary")
-    found = packed.groupBy("range").applyInArrow(exact, "bucket int, docs binary, counts binary, starts binary")
+    packed = rows.mapInArrow(lean(candidates), "range int, h binary, g binary, doc binary, low binary, high binary, ids binary")
+    found = packed.groupBy("range").applyInArrow(lean(exact), "bucket int, docs binary, counts binary, starts binary")
     return found.groupBy("bucket").applyInArrow(merged, "doc_id long, runs binary")
 
 
@@ -234,5 +249,5 @@ def remove_repeats(docs: DataFrame, window: int = 13, id_col: str = "doc_id", te
             columns = [b.column(0), pa.array(n, pa.int64()), pa.array(gone, pa.int64()), pa.array(digest, pa.string()), pa.array(kept, pa.binary())]
             yield pa.record_batch(columns, ["doc_id", "n_words", "n_removed", "kept_sha256", "kept"])
 
-    out = joined.mapInArrow(keep, "doc_id long, n_words long, n_removed long, kept_sha256 string, kept binary")
+    out = joined.mapInArrow(lean(keep), "doc_id long, n_words long, n_removed long, kept_sha256 string, kept binary")
     return out.withColumn("kept", F.col("kept").cast("string")) if with_text else out.drop("kept")

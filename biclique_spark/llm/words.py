@@ -1,48 +1,57 @@
-"""Words of whole texts as 64-bit numbers, and runs of words hashed at once.
+"""Words of whole texts as pairs of 64-bit numbers, and runs of words hashed at once.
 
-A word's number is a polynomial in an odd base over random 64-bit values of its bytes, modulo 2^64, then mixed with
-its length. Sums over a text up to each byte give all its words' numbers in a few array operations.
+A word's bytes are mixed, eight at a time, into two 64-bit states by bijections under a key that is drawn for each
+run, so nobody can build words that collide, and what collides in one state doesn't in the other; words of equal
+length up to eight bytes never do. Words over LONG bytes are hashed by keyed BLAKE2b. A run's hash is a polynomial of
+its words' numbers modulo 2^64; runs are short and the numbers random, so two runs agree with a probability of 2^-64.
 """
 
 from __future__ import annotations
 
+import secrets
+from hashlib import blake2b
+
 import numpy as np
 
 _BASE = 0x9E3779B97F4A7C15 | 1
-_VALUE = np.random.default_rng(20240607).integers(1, 2**63, 256, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
-_LOWER = _VALUE.copy()
-_LOWER[65:91] = _VALUE[97:123]
-_SPACE = np.zeros(256, bool)
-_SPACE[[0x20, *range(0x09, 0x0E)]] = True
-_powers = [np.ones(1, np.uint64), np.ones(1, np.uint64)]
+_INSIDE = np.append((np.uint64(1) << (np.arange(8, dtype=np.uint64) * np.uint64(8))) - np.uint64(1), ~np.uint64(0))
+#: Bytes of the longest words that are mixed in array operations.
+LONG = 32
 
 
-def _up_to(n: int) -> tuple[np.ndarray, np.ndarray]:
-    """Powers of the base and of its inverse, kept for the longest text so far."""
-    if len(_powers[0]) < n:
-        size = 1 << max(16, (n - 1).bit_length())
-        for k, b in enumerate((_BASE, pow(_BASE, -1, 1 << 64))):
-            steps = np.full(size, b, np.uint64)
-            steps[0] = 1
-            _powers[k] = np.cumprod(steps, dtype=np.uint64)
-    return _powers[0], _powers[1]
+def new_key() -> bytes:
+    """A key for a run; results depend on it only where 64 bits collide."""
+    return secrets.token_bytes(32)
 
 
-def word_codes(text: bytes, lower: bool = False) -> np.ndarray:
-    """A 64-bit hash of each word; words end at the six ASCII white space bytes. lower: A-Z count as a-z."""
-    raw = np.frombuffer(text, np.uint8).astype(np.intp)
-    n = len(raw)
-    if not n:
-        return np.zeros(0, np.uint64)
-    gap = np.ones(n + 2, np.int8)
-    gap[1:-1] = _SPACE[raw]
-    edge = np.diff(gap)
-    start, end = np.nonzero(edge < 0)[0], np.nonzero(edge > 0)[0]
-    power, inverse = _up_to(n + 1)
-    sums = np.zeros(n + 1, np.uint64)
-    np.cumsum((_LOWER if lower else _VALUE)[raw] * power[:n], out=sums[1:])
-    h = (sums[end] - sums[start]) * inverse[start]
-    return mixed(h + (end - start).astype(np.uint64) * np.uint64(0xD6E8FEB86659FD93))
+def word_codes(text: bytes, key: bytes, lower: bool = False) -> np.ndarray:
+    """Two 64-bit numbers for each word, as rows; words end at the six ASCII white space bytes. lower: A-Z count as a-z."""
+    text = text.lower() if lower else text
+    raw = np.frombuffer(b" " + text + b" " * 8, np.uint8)
+    gap = (raw == 32) | (raw - np.uint8(9) < 5)
+    edge = np.flatnonzero(gap[1:] != gap[:-1]) + 1
+    start, size = edge[::2], edge[1::2] - edge[::2]
+    eight = np.lib.stride_tricks.as_strided(raw[:8].view(np.uint64), (len(raw) - 7,), (1,))
+    halves = []
+    own, still, left = start, None, size
+    keys = np.frombuffer(key, np.uint64)
+    for at in range(0, LONG, 8):
+        block = eight[own + at] & _INSIDE[np.minimum(left, 8)]
+        if still is None:
+            halves = [mixed(block ^ (keys[k] + size.astype(np.uint64) * (keys[k + 2] | np.uint64(1)))) for k in (0, 1)]
+        else:
+            for h, k in zip(halves, keys, strict=False):
+                h[still] = mixed((h[still] ^ block) * np.uint64(_BASE) + k)
+        more = np.flatnonzero(left > 8)
+        if not len(more):
+            break
+        own, left = own[more], left[more] - 8
+        still = more if still is None else still[more]
+    out = np.stack(halves, axis=1)
+    for i in np.flatnonzero(size > LONG).tolist():
+        word = text[start[i] - 1 : start[i] - 1 + size[i]]
+        out[i] = np.frombuffer(blake2b(word, digest_size=16, key=key).digest(), np.uint64)
+    return out
 
 
 def mixed(x: np.ndarray) -> np.ndarray:
@@ -52,14 +61,15 @@ def mixed(x: np.ndarray) -> np.ndarray:
     return x ^ (x >> np.uint64(33))
 
 
-def runs(codes: np.ndarray, n: int, seed: int = 0) -> np.ndarray:
-    """A 64-bit hash of each run of n words, in order; of all words at once where there are fewer, none for none."""
+def runs(codes: np.ndarray, n: int, half: int = 0) -> np.ndarray:
+    """A 64-bit hash of each run of n words, in order, from one half of their numbers; of all words at once where there
+    are fewer, none for none. Hashes of the two halves have nothing in common."""
     if not len(codes):
-        return codes
+        return np.zeros(0, np.uint64)
     n = min(n, len(codes))
-    if seed:
-        codes = mixed(codes + np.uint64(seed * 0x9E3779B97F4A7C15 & (1 << 64) - 1))
-    power, inverse = _up_to(len(codes) + 1)
-    sums = np.zeros(len(codes) + 1, np.uint64)
-    np.cumsum(codes * power[: len(codes)], out=sums[1:])
-    return mixed((sums[n:] - sums[:-n]) * inverse[: len(codes) - n + 1])
+    own, m = np.ascontiguousarray(codes[:, half]), len(codes) - n + 1
+    out = own[n - 1 :].copy()
+    for k in range(n - 2, -1, -1):
+        out *= np.uint64(_BASE)
+        out += own[k : k + m]
+    return mixed(out)

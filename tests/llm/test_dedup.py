@@ -4,7 +4,7 @@ import re
 
 from pyspark.sql import functions as F
 
-from biclique_spark.llm import exact_dedup, ngram_join, substring
+from biclique_spark.llm import exact_dedup, ngram_join, substring, words
 from tests.llm.helpers import WORD, docs, random_texts
 
 ODD = [None, "", "  ", "a b", "a\tb", "a  b", "a b", "A b", "x" * 50_000, "x" * 50_000, "é è", None, " a b"]
@@ -130,3 +130,41 @@ def test_components_of_a_chain(spark):
     links = spark.createDataFrame([(i, i + 1) for i in range(40)] + [(100, 101)], "a long, b long")
     got = {r.doc_id: r.comp for r in ngram_join.components(links).collect()}
     assert got == {**{i: 0 for i in range(41)}, 100: 100, 101: 100}
+
+
+def test_words_that_a_polynomial_would_confuse(spark):
+    """Two words whose letters are a bit parity sequence and its complement, and texts made of them."""
+    bits = [bin(i).count("1") & 1 for i in range(1024)]
+    one, other = "".join("ab"[b] for b in bits), "".join("ba"[b] for b in bits)
+    key = words.new_key()
+    assert (words.word_codes(one.encode(), key) != words.word_codes(other.encode(), key)).all()
+    texts = [f"{one} " * 20, f"{other} " * 20]
+    assert all(r.n_removed == 0 for r in substring.remove_repeats(docs(spark, texts)).collect())
+    assert [r.component_id for r in ngram_join.join_components(docs(spark, texts)).orderBy("doc_id").collect()] == [0, 1]
+
+
+def test_word_codes_tell_words_apart():
+    rng = random.Random(4)
+    text = " ".join("".join(rng.choice("ab\x00é") for _ in range(rng.randrange(1, 45))) for _ in range(3000)) + "\ta\x0b\x0c b\r\n"
+    raw, key = text.encode(), words.new_key()
+    split, codes = raw.split(), words.word_codes(raw, key)
+    assert len(split) == len(codes) and len({(w, tuple(c)) for w, c in zip(split, codes.tolist())}) == len(set(split)) == len(set(codes[:, 0].tolist()))
+    assert not len(words.word_codes(b"", key)) and not len(words.word_codes(b" \t", key))
+
+
+REPEATED = [(None, "a"), (3, "a"), (5, "c"), (5, "b"), (4, "b"), (None, "z"), (None, "z"), (6, "d e"), (6, "d  e")]
+
+
+def test_keep_first_judges_rows(spark):
+    d = docs(spark, [t for _, t in REPEATED], ids=[i for i, _ in REPEATED])
+    kept = sorted(((r.doc_id is None, r.doc_id), " ".join((r.text or "").split())) for r in exact_dedup.keep_first(d).collect())
+    assert kept == [((False, 3), "a"), ((False, 4), "b"), ((False, 5), "c"), ((False, 6), "d e"), ((True, None), "z")]
+
+
+def test_keep_one_judges_rows(spark):
+    d = docs(spark, [t for _, t in REPEATED] + [None, ""], ids=[i for i, _ in REPEATED] + [7, None])
+    kept = sorted((r.doc_id is None, r.doc_id or 0, " ".join((r.text or "").split())) for r in ngram_join.keep_one(d).collect())
+    assert kept == [(False, 3, "a"), (False, 4, "b"), (False, 5, "c"), (False, 6, "d e"), (False, 7, ""), (True, 0, ""), (True, 0, "z")]
+    plain = ngram_join.keep_one(docs(spark, ["a b", "a  b", "c"], ids=[3, 1, 2]))
+    assert sorted(r.doc_id for r in plain.collect()) == [1, 2] and len(plain.columns) == 9
+    assert not ngram_join.keep_one(d.limit(0)).collect()
