@@ -13,8 +13,9 @@ from collections.abc import Callable
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import ArrayType, DataType, MapType, StructType, VariantType
 
-from biclique_spark.llm.common import one_space, setting, shared_dir, small, written
+from biclique_spark.llm.common import one_space, setting, shared_dir, small, unused, written
 
 STATE = "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider"
 
@@ -51,7 +52,7 @@ def stream_state(spark: SparkSession, thin_path: str, schema, files_per_trigger:
         spark,
         spark__sql__streaming__stateStore__providerClass=STATE,
         spark__sql__streaming__stateStore__rocksdb__boundedMemoryUsage="true",
-        spark__sql__streaming__stateStore__rocksdb__maxMemoryUsageMB="200",
+        spark__sql__streaming__stateStore__rocksdb__maxMemoryUsageMB="64",
         # State is spread over as many stores as a shuffle has partitions: none reserves disk ahead, and a commit
         # writes what changed.
         spark__sql__streaming__stateStore__rocksdb__allowFAllocate="false",
@@ -142,6 +143,27 @@ def dedup(
 
 
 def keep_first(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """The rows that stay, with all their columns; rows without an id stay if no row with one has their text."""
-    dropped = dedup(docs, id_col, text_col).where("not kept and doc_id is not null").select(F.col("doc_id").alias("__gone"))
-    return docs.join(small(dropped), docs[id_col] == F.col("__gone"), "left_anti")
+    """One row of each text, with all its columns: the one with the smallest id, nulls last. Of rows with one id and
+    equal texts the smallest by all columns stays (any, where a column has no order). Rows are judged one by one, by id
+    and digest, so an id that repeats with another text changes nothing. Null texts are empty ones; an empty table
+    gives an empty result."""
+    found = dedup(docs, id_col, text_col).groupBy("doc_id", "text_sha256").agg(F.max(F.col("kept") | F.col("keep_id").isNull()).alias("first"), F.count(F.lit(1)).alias("n"))
+    found = written(found.where("not first or n > 1"), "dedup-judged")
+    sha_col = unused("digest", docs)
+    rows = docs.withColumn(sha_col, sha(one_space(F.col(text_col))))
+    same = lambda of: rows[id_col].eqNullSafe(of["doc_id"]) & (rows[sha_col] == of["text_sha256"])
+    gone, many = found.select("doc_id", "text_sha256"), found.where("first and n > 1").select("doc_id", "text_sha256")
+    alone = rows.join(small(gone), same(gone), "left_anti").drop(sha_col)
+    if not many.limit(1).count():
+        return alone
+    whole = F.struct(*[F.col(f"`{c}`") for c in docs.columns])
+    pick = F.min if all(is_ordered(f.dataType) for f in docs.schema) else F.first
+    one = rows.join(small(many), same(many), "left_semi").groupBy(F.col(id_col), F.col(sha_col)).agg(pick(whole).alias("row"))
+    return alone.unionByName(one.select("row.*"))
+
+
+def is_ordered(kind: DataType) -> bool:
+    """Whether Spark can compare values of a type."""
+    if isinstance(kind, ArrayType):
+        return is_ordered(kind.elementType)
+    return all(is_ordered(f.dataType) for f in kind) if isinstance(kind, StructType) else not isinstance(kind, MapType | VariantType)
