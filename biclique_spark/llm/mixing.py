@@ -15,11 +15,12 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from biclique_spark.llm.common import WORD, small, written
+from biclique_spark.llm.common import WORD, small, unused, written
 
-#: Documents in a bucket of the two-level running sum; buckets of the draws' lookup; rounds of the permutation.
+#: Documents in a bucket of the two-level running sum; buckets of the draws' lookup; rounds of the permutation;
+#: shards whose counts are summed in one group.
 BUCKET_ROWS, LOOKUP, ROUNDS = 1024, 256, 6
-CHUNK = 1 << 14
+SHARDS_A_SUM = 1024
 #: Slots that a task makes about; few rows become many here, so the number of tasks is given.
 SLOTS_A_TASK = 1 << 16
 
@@ -159,29 +160,36 @@ def mix(
     lookup = shares.where("high > low").withColumn("place", F.explode(F.sequence(F.floor(F.col("low") * LOOKUP), F.least(F.floor(F.col("high") * LOOKUP), F.lit(LOOKUP - 1)))))
     drawn = drawn.join(lookup.select("kind", "place", "source_key", "low", "high"), ["kind", "place"]).where("u >= low and u < high")
     drawn = written(drawn.select("shard", "source_key", "draw"), "mix-draws")
-    shard_counts = (
+    wants = (
         shard.join(shares.where("base > 0").select("kind", "source_key", "base"), "kind")
         .select("shard", "source_key", F.col("base").alias("n"))
         .unionByName(drawn.select("shard", "source_key", F.lit(1).cast("long").alias("n")))
         .groupBy("shard", "source_key")
-        .agg(F.sum("n").alias("n_slots"))
+        .agg(F.sum("n").alias("n"))
+        .withColumn("group", F.floor(F.col("shard") / SHARDS_A_SUM))
     )
-    # A source's slots in order: what full shards get for sure, what the last one does, what was drawn.
-    per = shares.groupBy("source_key", "blocks").agg(
-        F.sum(F.when(F.col("kind") == 0, F.col("base"))).alias("full"), F.sum(F.when(F.col("kind") == 1, F.col("base"))).alias("last")
+    wants = written(wants, "mix-wants")
+    # A source's slots are numbered through its shards, by sums of groups of shards and sums within a group; where its
+    # cap is reached, its slots end, in the counts as in the slots.
+    before = Window.partitionBy("source_key").orderBy("group").rowsBetween(Window.unboundedPreceding, -1)
+    sums = wants.groupBy("source_key", "group").agg(F.sum("n").alias("all")).withColumn("base", F.coalesce(F.sum("all").over(before), F.lit(0))).drop("all")
+    inside = Window.partitionBy("source_key", "group").orderBy("shard").rowsBetween(Window.unboundedPreceding, 0)
+    numbered = wants.withColumn("upto", F.sum("n").over(inside)).join(sums, ["source_key", "group"]).join(small(shares.select("source_key", "blocks").distinct()), "source_key")
+    numbered = numbered.withColumn("first", F.col("base") + F.col("upto") - F.col("n")).withColumn("n_slots", F.least("n", F.col("blocks") * most - F.col("first"))).where("n_slots > 0")
+    counts = written(numbered.select("shard", "source_key", "n_slots", "first", "blocks"), "mix-counts")
+    turn = F.explode(F.sequence(F.floor(F.col("first") / F.col("blocks")), F.floor((F.col("first") + F.col("n_slots") - 1) / F.col("blocks"))))
+    parts = (
+        counts.withColumn("pass", turn)
+        .withColumn("from", F.greatest(F.col("first"), F.col("pass") * F.col("blocks")))
+        .withColumn("upto", F.least(F.col("first") + F.col("n_slots"), (F.col("pass") + 1) * F.col("blocks")) - 1)
+        .withColumn("tag", F.md5(F.concat_ws(":", F.lit(seed), F.col("source_key"), F.col("pass").cast("string"))))
     )
-    extra = drawn.groupBy("source_key").agg(F.count(F.lit(1)).alias("extra"))
-    per = per.join(extra, "source_key", "left").withColumn("sure", F.col("full") * max(shards - 1, 0) + F.when(F.lit(shards > 0), F.col("last")).otherwise(0))
-    per = per.withColumn("slots", F.least(F.col("sure") + F.coalesce("extra", F.lit(0)), F.col("blocks") * most))
-    passes = per.withColumn("pass", F.explode(F.sequence(F.lit(0), F.lit(most - 1)))).withColumn("here", F.least(F.col("slots") - F.col("pass") * F.col("blocks"), F.col("blocks"))).where("here > 0")
-    tag = F.md5(F.concat_ws(":", F.lit(seed), F.col("source_key"), F.col("pass").cast("string")))
     keys = F.array(*[F.conv(F.substring(F.md5(F.concat_ws(":", F.col("tag"), F.lit(r))), 1, 13), 16, 10).cast("long") % F.col("blocks") for r in range(ROUNDS)])
-    chunks = passes.withColumn("tag", tag).withColumn("keys", keys).withColumn("from", F.explode(F.sequence(F.lit(0).cast("long"), F.col("here") - 1, F.lit(CHUNK).cast("long"))))
-    chunks = chunks.repartition(max(1, -(-total // SLOTS_A_TASK)), "source_key", "pass", "from")
-    slots = chunks.withColumn("i", F.explode(F.sequence(F.col("from"), F.least(F.col("here"), F.col("from") + CHUNK) - 1)))
-    block = permuted(F.col("i"), F.col("blocks"), F.col("keys"), F.col("tag"))
-    slots = slots.select("source_key", (F.col("pass") * F.col("blocks") + F.col("i")).alias("rank"), block.alias("block"))
-    return Mix(sizes, sources, cut(placed, length), slots, shard_counts, length)
+    parts = parts.withColumn("keys", keys).repartition(max(1, -(-total // SLOTS_A_TASK)), "source_key", "shard", "pass")
+    slots = parts.withColumn("rank", F.explode(F.sequence("from", "upto")))
+    block = permuted(F.col("rank") - F.col("pass") * F.col("blocks"), F.col("blocks"), F.col("keys"), F.col("tag"))
+    slots = slots.select("shard", "source_key", "rank", block.alias("block"))
+    return Mix(sizes, sources, cut(placed, length), slots, counts.select("shard", "source_key", "n_slots"), length)
 
 
 def taken(docs: DataFrame, **options) -> DataFrame:
@@ -196,7 +204,7 @@ def taken(docs: DataFrame, **options) -> DataFrame:
         .select("doc_id", "source_key", "size", "taken")
     )
     none = m.sizes.where("size = 0").select("doc_id", "source_key", "size", F.lit(0).cast("long").alias("taken"))
-    of = small(m.sources.select("source_key", "source_size", F.round("target", 6).alias("target")), 100_000)
+    of = small(m.sources.select("source_key", "source_size", F.round("target", 6).alias("target")))
     return used.unionByName(none).join(of, "source_key").select("doc_id", "size", "source_size", "target", "taken")
 
 
@@ -212,7 +220,8 @@ def block_texts(docs: DataFrame, m: Mix, id_col: str = "doc_id", text_col: str =
 
 
 def mixed_texts(docs: DataFrame, **options) -> DataFrame:
-    """source_key, rank, block, text: the output itself, a block of text for each slot."""
+    """shard, source_key, rank, block, text: the output itself, a block of text for each slot. Its shards have the
+    slots of each source that Mix.shard_counts says."""
     m = mix(docs, **options)
     return m.slots.hint("merge").join(block_texts(docs, m), ["source_key", "block"])
 
@@ -224,6 +233,7 @@ def mixed_documents(docs: DataFrame, seed: int = 17, id_col: str = "doc_id", **o
     t = taken(docs, seed=seed, id_col=id_col, **options).groupBy("doc_id").agg(F.sum("taken").alias("taken"), F.sum("size").alias("size"))
     share = F.col("taken") / F.greatest("size", F.lit(1))
     copies = F.floor(share + uniform(F.lit(seed), F.lit("copies"), F.col("doc_id").cast("string"))).cast("int")
-    chosen = written(t.select(F.col("doc_id").alias("__id"), copies.alias("__copies")).where("__copies > 0"), "mix-copies")
-    rows = docs.join(small(chosen), docs[id_col].eqNullSafe(F.col("__id")))
-    return rows.withColumn("__copy", F.explode(F.sequence(F.lit(1), F.col("__copies")))).drop("__id", "__copies", "__copy")
+    chosen_id, times, copy = (unused(x, docs) for x in ("id", "times", "copy"))
+    chosen = written(t.select(F.col("doc_id").alias(chosen_id), copies.alias(times)).where(F.col(times) > 0), "mix-copies")
+    rows = docs.join(small(chosen), docs[id_col].eqNullSafe(F.col(chosen_id)))
+    return rows.withColumn(copy, F.explode(F.sequence(F.lit(1), F.col(times)))).drop(chosen_id, times, copy)
