@@ -19,10 +19,13 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from biclique_spark.llm.common import lean, parts
 from biclique_spark.llm.token_counts import batches, pieces
 
-#: Entries of each table of resolved strings.
-KEPT = 1 << 19
+#: Bytes of the tables of resolved strings, with what an entry takes beside them; pieces looked up at once.
+KEPT, ENTRY, PART = 96 << 20, 180, 1 << 14
+#: Patterns whose matches never reach over a space that follows a non-space, so pieces() may cut there.
+CUTTABLE = (r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+",)
 _MASK = (1 << 64) - 1
 _SLOTS_A, _SLOTS_B = 0x9E3779B97F4A7C15, 0xD6E8FEB86659FD93
 
@@ -77,23 +80,29 @@ class Encoder:
 
     def __init__(self, ranks: dict[bytes, int], pattern: str):
         self.ranks, self.find = ranks, regex.compile(pattern).findall
+        self.cuttable = pattern in CUTTABLE
         self.hash = MinimalPerfectHash(list(ranks))
-        self.token, self.rank = [b""] * len(ranks), [0] * len(ranks)
+        self.token, self.packed = [b""] * len(ranks), [b""] * len(ranks)
         for t, r in ranks.items():
             s = self.hash(t)
-            self.token[s], self.rank[s] = t, r
+            self.token[s], self.packed[s] = t, struct.pack("<I", r)
         self.bytes_of = dict.fromkeys(range(max(ranks.values(), default=-1) + 1), b"") | {r: t for t, r in ranks.items()}
         self.of_piece: dict[str, bytes] = {}
         self.of_word: dict[str, bytes] = {}
+        self.held = 0
 
     def word(self, word: str) -> bytes:
-        """A pre-token's ids as little-endian 32-bit integers."""
+        """A pre-token's ids as little-endian 32-bit integers; what tier 2 found is remembered."""
         raw = word.encode("utf-8", "surrogatepass")
         s = self.hash(raw)
         if self.token[s] == raw:
-            return struct.pack("<I", self.rank[s])
-        ids = self.merged(raw)
-        return struct.pack(f"<{len(ids)}I", *ids)
+            return self.packed[s]
+        ids = self.of_word.get(word)
+        if ids is None:
+            found = self.merged(raw)
+            ids = self.of_word[word] = struct.pack(f"<{len(found)}I", *found)
+            self.held += ENTRY + len(word) + len(ids)
+        return ids
 
     def merged(self, raw: bytes) -> list[int]:
         """Tier 2. Parts are named by where they start; end[i] is where part i ends, 0 once it is gone."""
@@ -120,24 +129,21 @@ class Encoder:
         return out
 
     def piece(self, piece: str) -> bytes:
-        known, out = self.of_word, []
-        for w in self.find(piece):
-            ids = known.get(w)
-            if ids is None:
-                ids = known[w] = self.word(w)
-            out.append(ids)
-        return b"".join(out)
+        return b"".join(map(self.word, self.find(piece)))
 
     def encode(self, text: str) -> bytes:
-        """All ids of a text. Only texts that no table knows are matched against the pattern."""
-        if len(self.of_piece) > KEPT:
-            self.of_piece.clear()
-        if len(self.of_word) > KEPT:
-            self.of_word.clear()
-        parts, known = pieces(text), self.of_piece
-        for p in {p for p in parts if p not in known}:
-            known[p] = self.piece(p)
-        return b"".join(map(known.__getitem__, parts))
+        """All ids of a text. Only pieces that the table doesn't know are matched against the pattern; a long text is
+        looked up part by part, so the tables outgrow their bound by one part at most."""
+        all_, out = pieces(text) if self.cuttable else [text], []
+        for at in range(0, len(all_), PART):
+            if self.held > KEPT:
+                self.of_piece, self.of_word, self.held = {}, {}, 0
+            part, known = all_[at : at + PART], self.of_piece
+            for p in {p for p in part if p not in known}:
+                ids = known[p] = self.piece(p)
+                self.held += ENTRY + len(p) + len(ids)
+            out.append(b"".join(map(known.__getitem__, part)))
+        return out[0] if len(out) == 1 else b"".join(out)
 
     def decode(self, ids: bytes) -> bytes:
         return b"".join(map(self.bytes_of.__getitem__, struct.unpack(f"<{len(ids) // 4}I", ids)))
@@ -169,7 +175,7 @@ def encode(docs: DataFrame, path: str, pattern: str, id_col: str = "doc_id", tex
                 start += len(part)
                 yield pa.record_batch(out, ["doc_id", "ids", "n_tokens"])
 
-    return _rows(docs, id_col, text_col).mapInArrow(run, "doc_id long, ids array<int>, n_tokens long")
+    return _rows(docs, id_col, text_col).mapInArrow(lean(run), "doc_id long, ids array<int>, n_tokens long")
 
 
 def decode(encoded: DataFrame, path: str, pattern: str, id_col: str = "doc_id", ids_col: str = "ids") -> DataFrame:
@@ -181,7 +187,7 @@ def decode(encoded: DataFrame, path: str, pattern: str, id_col: str = "doc_id",
             texts = [b"".join(map(of.__getitem__, x or ())).decode("utf-8", "replace") for x in b.column(1).to_pylist()]
             yield pa.record_batch([b.column(0), pa.array(texts, pa.string())], ["doc_id", "text"])
 
-    return encoded.select(F.col(id_col).cast("long").alias("doc_id"), F.col(ids_col).alias("ids")).mapInArrow(run, "doc_id long, text string")
+    return encoded.select(F.col(id_col).cast("long").alias("doc_id"), F.col(ids_col).alias("ids")).mapInArrow(lean(run), "doc_id long, text string")
 
 
 def round_trip(docs: DataFrame, path: str, pattern: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -196,7 +202,7 @@ def round_trip(docs: DataFrame, path: str, pattern: str, id_col: str = "doc_id",
         e = encoder(path, pattern)
         for b in source:
             n, ids_sha, text_sha = [], [], []
-            for t in b.column(1).to_pylist():
+            for t in (t for p in parts(b.column(1)) for t in p.to_pylist()):
                 ids = e.encode(t)
                 n.append(len(ids) // 4)
                 ids_sha.append(hashlib.sha256(ids).hexdigest())
@@ -205,4 +211,4 @@ def round_trip(docs: DataFrame, path: str, pattern: str, id_col: str = "doc_id",
             yield pa.record_batch(out, ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"])
 
     schema = "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string"
-    return _rows(docs, id_col, text_col).mapInArrow(run, schema)
+    return _rows(docs, id_col, text_col).mapInArrow(lean(run), schema)

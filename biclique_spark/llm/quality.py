@@ -17,9 +17,11 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from biclique_spark.llm.common import give_back, parts
+
 #: Labelled rows used for fitting at most; hashed words; columns of V.
 SAMPLE, BUCKETS, RANK = 8_000, 1 << 14, 4
-#: Words whose bucket a Python worker remembers, for a task at most: the worker lives on into later stages.
+#: Words whose bucket a Python worker remembers, for a batch at most: the worker lives on into later stages.
 KEPT = 1 << 18
 #: Names of the structure and metadata features; each also falls into one of BINS bins that are features of their own.
 STATS = ("chars", "words", "word_chars", "distinct", "top_word", "repeats", "upper", "digits", "marks", "wide", "line_words", "same_lines", "n_chars")
@@ -161,6 +163,16 @@ def fit(docs: DataFrame, labels: DataFrame, id_col: str, text_col: str, chars_co
     return FactorisationMachine(edges).fit(flat("i"), flat("x"), sizes, stats, t["y"].to_numpy().astype(np.float32))
 
 
+def scores(model: FactorisationMachine, texts: pa.Array, n_chars: pa.Array) -> pa.Array:
+    """What words a worker remembered goes with the batch."""
+    try:
+        found = [model.score(*features(t.to_pylist(), n.to_pylist())) for t, n in zip(parts(texts), parts(n_chars), strict=True)]
+        return pa.array(np.concatenate(found) if found else np.zeros(0))
+    finally:
+        _words.clear()
+        give_back()
+
+
 def quality(
     docs: DataFrame,
     labels: DataFrame,
@@ -182,13 +194,8 @@ def quality(
     model = fit(docs, labels.where(remainder(F.col(id_col), folds) != held), id_col, text_col, chars_col, label_col)
 
     def run(source: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        try:
-            for b in source:
-                parts = [b.slice(i, 256) for i in range(0, b.num_rows, 256)]
-                scores = [model.score(*features(p.column(1).to_pylist(), p.column(2).to_pylist())) for p in parts]
-                yield pa.record_batch([b.column(0), pa.array(np.concatenate(scores) if scores else np.zeros(0))], ["doc_id", "score"])
-        finally:
-            _words.clear()
+        for b in source:
+            yield pa.record_batch([b.column(0), scores(model, b.column(1), b.column(2))], ["doc_id", "score"])
 
     scored = _prepared(docs, id_col, text_col, chars_col).mapInArrow(run, "doc_id long, score double")
     return scored.select(
@@ -211,22 +218,15 @@ def keep(
     label_col: str = "quality",
 ) -> DataFrame:
     """The rows of docs, with all their columns, whose score is at least the threshold; see quality(). Rows are scored
-    where they are read, so nothing is shuffled."""
+    where they are read, so nothing is shuffled, and only texts and n_chars go through Python. Rows with null ids are
+    scored like others, repeated rows stay or go together, null texts are empty ones, an empty table gives an empty
+    result; columns may have any other names."""
     model = fit(docs, labels.where(remainder(F.col(id_col), folds) != held), id_col, text_col, chars_col, label_col)
-    at = docs.columns.index(text_col)
-    chars_at = docs.columns.index(chars_col) if chars_col else None
 
-    def run(source: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        try:
-            for b in source:
-                fine = []
-                for i in range(0, b.num_rows, 256):
-                    part = b.slice(i, 256)
-                    texts = [t or "" for t in part.column(at).to_pylist()]
-                    chars = part.column(chars_at).to_pylist() if chars_at is not None else [None] * len(texts)
-                    fine += (model.score(*features(texts, chars)) >= threshold).tolist()
-                yield b.filter(pa.array(fine, pa.bool_()))
-        finally:
-            _words.clear()
-
-    return docs.mapInArrow(run, docs.schema)
+    def run(text: pa.Array, n_chars: pa.Array) -> pa.Array:
+        return scores(model, text, n_chars)
+
+    run.__annotations__ = {"text": pa.Array, "n_chars": pa.Array, "return": pa.Array}  # read by Spark, as types
+    chars = F.col(chars_col).cast("long") if chars_col else F.lit(None).cast("long")
+    score = F.arrow_udf(run, "double")(F.coalesce(F.col(text_col), F.lit("")), chars)
+    return docs.where(score >= threshold)

@@ -16,10 +16,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from biclique_spark.llm.common import lean, parts
+
 #: A space inside a run of white space, or white space at the end: these cuts are not safe.
 _INSIDE = re.compile(r"\s (?:\s|\Z)")
-#: Bytes of text handed to the library at once, and pieces whose counts are kept.
-BATCH_BYTES, KEPT = 1 << 20, 1 << 20
+#: Bytes of text handed to the library at once; bytes of pieces whose counts are kept, and what an entry takes beside its text.
+BATCH_BYTES, KEPT, ENTRY = 1 << 20, 160 << 20, 150
 
 _counters: dict[str, BytePieces | WholeTexts] = {}
 
@@ -27,7 +29,7 @@ _counters: dict[str, BytePieces | WholeTexts] = {}
 def pieces(text: str) -> list[str]:
     """Parts of a text whose byte-level pre-tokens are the text's own, in order; whole where white space is odd.
 
-    Cuts are made before spaces only, so no special token's string (which holds no space) is cut.
+    Cuts are made before spaces only, so no special token's string is cut; counter() sees to it that none holds a space.
     """
     if _INSIDE.search(text):
         out, start = [], 0
@@ -40,15 +42,15 @@ def pieces(text: str) -> list[str]:
     return ([head] if head else []) + [" " + x for x in rest]
 
 
-def batches(texts: list[str], most: int = BATCH_BYTES) -> Iterator[list[str]]:
-    """Lists of about the same number of characters; a text over the bound is a list of its own."""
+def batches(texts: list[str], most: int = BATCH_BYTES, sizes: list[int] | None = None) -> Iterator[list[str]]:
+    """Lists of no more bytes than ``most``; a text over the bound is a list of its own. sizes: bytes of the texts, where known."""
     batch, size = [], 0
-    for t in texts:
-        if batch and size + len(t) > most:
+    for t, n in zip(texts, sizes or [len(t) if t.isascii() else len(t.encode("utf-8", "surrogatepass")) for t in texts], strict=True):
+        if batch and size + n > most:
             yield batch
             batch, size = [], 0
         batch.append(t)
-        size += len(t)
+        size += n
     if batch:
         yield batch
 
@@ -57,17 +59,18 @@ class BytePieces:
     """Counts by a byte-level tokenizer without normaliser, from counts of pieces."""
 
     def __init__(self, tokenizer):
-        self.tokenizer, self.known = tokenizer, {"": 0}
+        self.tokenizer, self.known, self.bytes = tokenizer, {"": 0}, 0
 
     def __call__(self, texts: list[str]) -> list[int]:
         cut = [pieces(t) for t in texts]
-        if len(self.known) > KEPT:
-            self.known = {"": 0}
+        if self.bytes > KEPT:
+            self.known, self.bytes = {"": 0}, 0
         known = self.known
         new = list({p for parts in cut for p in parts if p not in known})
         for batch in batches(new):
             for p, e in zip(batch, self.tokenizer.encode_batch_fast(batch, add_special_tokens=False), strict=True):
                 known[p] = len(e)
+            self.bytes += ENTRY * len(batch) + sum(map(len, batch))
         return [sum(map(known.__getitem__, parts)) for parts in cut]
 
 
@@ -97,7 +100,8 @@ def counter(path: str):
             t.no_truncation()
             t.no_padding()
             kind = type(t.pre_tokenizer).__name__
-            if kind == "ByteLevel" and t.normalizer is None and "add_prefix_space=False" in repr(t.pre_tokenizer):
+            spaced = any(" " in x.content for x in t.get_added_tokens_decoder().values())
+            if kind == "ByteLevel" and not spaced and t.normalizer is None and "add_prefix_space=False" in repr(t.pre_tokenizer):
                 _counters[path] = BytePieces(t)
             else:
                 _counters[path] = WholeTexts(lambda texts: [len(e) for e in t.encode_batch(texts, add_special_tokens=False)])
@@ -115,13 +119,13 @@ def token_counts(docs: DataFrame, path: str, limit: int = 512, id_col: str = "do
     def run(source: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         count = counter(path)
         for b in source:
-            texts = b.column(1).to_pylist()
             n: list[int] = []
-            for part in batches(texts):
-                n += count(part)
+            for some in parts(b, 1024):
+                for part in batches(some.column(1).to_pylist(), sizes=some.column(2).to_pylist()):
+                    n += count(part)
             yield pa.record_batch([b.column(0), b.column(2), pa.array(n, pa.int64())], ["doc_id", "n_bytes", "n_tokens"])
 
     text = F.coalesce(F.col(text_col), F.lit(""))
     rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), text.alias("text"), F.octet_length(text).cast("long").alias("n_bytes"))
-    out = rows.mapInArrow(run, "doc_id long, n_bytes long, n_tokens long")
+    out = rows.mapInArrow(lean(run), "doc_id long, n_bytes long, n_tokens long")
     return out.withColumn("over_limit", F.col("n_tokens") > F.lit(limit))
