@@ -7,39 +7,40 @@ columns of documents. Labels come from ``labels`` beside the documents.
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
 
 from biclique_spark.llm import bpe, exact_dedup, mixing, ngram_join, quality
-from biclique_spark.llm.common import small, written
+from biclique_spark.llm.common import written
 
 #: SQL can't express a fitted classifier; tests hold the stages against brute force.
 ORACLE_SQL = None
 
 
 def keep_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that the quality classifier doesn't reject."""
+    """Documents that the quality classifier doesn't reject. Null texts are scored as empty ones, rows with null ids like
+    others, repeated rows alike; an empty table stays empty, and other columns may have any names."""
     return quality.keep(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"))
 
 
 def drop_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of equal texts, the document with the smallest id."""
+    """Of equal texts, the row with the smallest id, nulls last; of rows with one id and equal texts one. Null texts are
+    empty ones. Rows are judged one by one, so an id that repeats with another text loses nothing."""
     return exact_dedup.keep_first(docs)
 
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each component of near copies: shingles of five words, similarity of 0.8 or more."""
-    found = ngram_join.join_components(docs, 5, 80)
-    gone = found.where("doc_id <> component_id").select(F.col("doc_id").alias("__gone")).distinct()
-    return docs.join(small(gone), docs["doc_id"] == F.col("__gone"), "left_anti")
+    """One row of each component of near copies, the one with the smallest id, nulls last: shingles of five words,
+    similarity of 0.8 or more. Rows without words all stay; rows are judged one by one where ids repeat or are null."""
+    return ngram_join.keep_one(docs, 5, 80)
 
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents as often as the mix takes them: 0 to 3 times, so that each source comes near its target."""
+    """Documents as often as the mix takes them: 0 to 3 times, so that each source comes near its target. Rows without
+    words are in no mix; rows that share an id share their count; a null source is a source of its own."""
     return mixing.mixed_documents(docs)
 
 
 def tokenize(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Token ids and decoded texts of what is left, as digests."""
+    """Token ids and decoded texts of what is left, as digests: a row for each row. Null texts have no tokens."""
     import public_tokenizers
 
     return bpe.round_trip(docs, public_tokenizers.path("byte_bpe_50k.tiktoken"), public_tokenizers.PATTERN)
