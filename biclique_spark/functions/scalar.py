@@ -54,12 +54,16 @@ def relative_error(estimate: Column, exact: Column) -> Column:
 
 
 def register(spark: SparkSession) -> None:
-    """SQL functions relative_error, hoeffding_samples and the table function broom_steps(p, q)."""
+    """SQL functions relative_error, hoeffding_samples, binomial and the table function broom_steps(p, q)."""
     spark.sql("create or replace temporary function relative_error(e double, c double) returns double return abs(e - c) / c")
     spark.sql(
         "create or replace temporary function hoeffding_samples(b double, c double, eps double, alpha double) returns bigint "
         "return ceil(b * b / (c * c) / (2 * eps * eps) * ln(2 / alpha))"
     )
+    spark.sql(
+        "create or replace temporary function binomial(n bigint, k int) returns double "
+        "return if(k < 0 or n < k, 0D, round(aggregate(if(k = 0, array(), sequence(1, k)), 1D, (a, i) -> a * (n - k + i) / i)))"
+    )
     from pyspark.sql.functions import udtf
 
     from biclique_spark.functions import pattern

@@ -88,6 +88,15 @@ def estimate_repeated(edges: DataFrame, p: int, q: int, t: int, runs: int = 10,
     return out.select("run", F.lit(t).cast("long").alias("t"), F.coalesce("hits", F.lit(0)).alias("hits"), (F.col("brooms").cast("double") * F.coalesce("s", F.lit(0.0)) / t).alias("estimate"))
 
 
+def estimate_independent(edges: DataFrame, p: int, q: int, t: int, runs: int = 10, seed: int = 1, **options) -> DataFrame:
+    """run, t, hits, estimate: runs that share nothing, each with a coloring, an index and walks of its own seed."""
+    out = None
+    for run in range(runs):
+        row = estimate(edges, p, q, t, seed + run, **options).select(F.lit(run).alias("run"), "t", "hits", F.col("estimate").cast("double").alias("estimate"))
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
 def estimate_progressive(edges: DataFrame, p: int, q: int, t0: int = 1000, growth: int = 4, tol: float = 0.05, max_t: int = DEFAULT_T, seed: int = 1, **options) -> DataFrame:
     """t, estimate, change: samples are added until two estimates in a row differ by less than tol. Samples are kept."""
     reduced, index, choice = prepared(edges, p, q, seed=seed, **options)

@@ -139,9 +139,7 @@ def count_edge_pivot(edges: DataFrame, p: int, q: int, anchors: DataFrame | None
     """One row: bicliques, by the pivot kernel on each left anchor's part. With ``anchors`` (u) only those whose first
     left vertex is among them."""
     core = core_reduce(edges, p, q) if reduce else edges
-    parts = split_by_anchor(core, p, q)
-    if anchors is not None:
-        parts = parts.join(anchors.select(F.col("u").alias("anchor")), "anchor", "left_semi")
+    parts = split_by_anchor(core, p, q, anchors=anchors)
     if p == 2:
         n = parts.groupBy("anchor", "u").agg(F.count(F.lit(1)).alias("n"))
         return n.agg(F.coalesce(F.sum(binomial(F.col("n"), q, EXACT)).cast(EXACT), F.lit(0).cast(EXACT)).alias("bicliques"))

@@ -6,7 +6,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from biclique_spark.functions.scalar import DRAW_BITS, draw
-from biclique_spark.sources.io import written
+from biclique_spark.sources.io import discard, written
 
 
 def edges_from(df: DataFrame, u: Column | str, v: Column | str) -> DataFrame:
@@ -72,6 +72,7 @@ def core_reduce(edges: DataFrame, p: int, q: int, max_rounds: int | None = None,
     size, rounds = edges.count(), 0
     while size and (max_rounds is None or rounds < max_rounds):
         smaller = written(core_round(edges, p, q), "core")
+        discard(edges)
         left = smaller.count()
         edges, gone, size, rounds = smaller, size - left, left, rounds + 1
         if gone <= least_gain * (left + gone):
@@ -94,12 +95,20 @@ def anchor_ranks(edges: DataFrame, rank: str = "degree") -> DataFrame:
     return d.select("u", (F.struct("d", "u") if rank == "degree" else F.struct(F.lit(0).cast("long").alias("d"), "u")).alias("r"))
 
 
-def split_by_anchor(edges: DataFrame, p: int, q: int, rank: str = "degree") -> DataFrame:
-    """(anchor, u, v): for each left vertex the edges of later ones that share q neighbours with it, to its own
-    neighbours. The (p-1,q)-bicliques of all these graphs are the (p,q)-bicliques of the whole."""
+def wedges_of(edges: DataFrame, rank: str = "degree", anchors: DataFrame | None = None) -> DataFrame:
+    """(anchor, u, v): paths from a left vertex over a right one to a later left vertex; with ``anchors`` (u) only
+    those that begin there, which is settled before vertices meet."""
     ranked = edges.join(anchor_ranks(edges, rank), "u")
-    a = ranked.select(F.col("u").alias("anchor"), F.col("r").alias("ra"), "v")
-    wedges = a.join(ranked, "v").where("r > ra").select("anchor", "u", "v")
+    first = ranked if anchors is None else ranked.join(anchors.select("u"), "u", "left_semi")
+    a = first.select(F.col("u").alias("anchor"), F.col("r").alias("ra"), "v")
+    return a.join(ranked, "v").where("r > ra").select("anchor", "u", "v")
+
+
+def split_by_anchor(edges: DataFrame, p: int, q: int, rank: str = "degree", anchors: DataFrame | None = None) -> DataFrame:
+    """(anchor, u, v): for each left vertex the edges of later ones that share q neighbours with it, to its own
+    neighbours. The (p-1,q)-bicliques of all these graphs are the (p,q)-bicliques of the whole. Wedges are stored, as
+    they are counted and then read again."""
+    wedges = written(wedges_of(edges, rank, anchors), "wedges")
     enough = wedges.groupBy("anchor", "u").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") >= q).select("anchor", "u")
     return wedges.join(enough, ["anchor", "u"], "left_semi")
 

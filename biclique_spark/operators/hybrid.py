@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from biclique_spark.functions.scalar import EXACT
+from biclique_spark.functions.scalar import DRAW_BITS, EXACT, draw
 from biclique_spark.operators import sampler, zigzag
 from biclique_spark.operators.exact import count_edge_pivot
 from biclique_spark.operators.graph import anchor_ranks, core_reduce
@@ -35,7 +35,7 @@ def exact_parts(edges: DataFrame, p: int, q: int, cut: float = 0.5) -> DataFrame
     return one.unionByName(two)
 
 
-def estimate_hybrid(edges: DataFrame, p: int, q: int, t: int, cut: float = 0.5, seed: int = 1, basic: bool = False) -> DataFrame:
+def estimate_hybrid(edges: DataFrame, p: int, q: int, t: int, cut: float = 0.5, seed: int = 1, basic: bool = False, weight: str = "double") -> DataFrame:
     """One row: sparse (exact), dense (estimated), estimate. ``basic``: the earlier form, whose samples are shared out
     among the paths' end edges by weight instead of being drawn from all paths at once."""
     core = core_reduce(edges, p, q)
@@ -45,17 +45,20 @@ def estimate_hybrid(edges: DataFrame, p: int, q: int, t: int, cut: float = 0.5,
     if basic:
         sampled = _stratified(rest, p, q, t, seed).select(F.col("estimate").alias("dense"))
     else:
-        sampled = zigzag.estimate_zigzag(rest, p, q, t, seed, reduce=False).select(F.col("estimate").alias("dense"))
+        sampled = zigzag.estimate_zigzag(rest, p, q, t, seed, weight, reduce=False).select(F.col("estimate").alias("dense"))
     return exact.crossJoin(sampled).select(F.col("sparse").cast(EXACT), "dense", (F.col("sparse").cast("double") + F.col("dense")).alias("estimate"))
 
 
 def _stratified(edges: DataFrame, p: int, q: int, t: int, seed: int) -> DataFrame:
-    """Each end edge gets its share of the samples, rounded up, and a mean of its own."""
+    """Each end edge gets its share of the samples, rounded up or down by a draw, so there are about t whatever the
+    number of edges; every sample stands for zigzags / t paths."""
     h = min(p, q)
     index = stored(zigzag.zigzag_index(edges, h))
     last = f"w{2 * h - 1}"
     total = broom_total(index, h, h)
-    shares = index.where(F.col(last) > 0).crossJoin(total).select("u", "v", "cu", "cv", F.col(last).alias("w"), F.ceil(F.col(last) / F.col("brooms") * t).alias("n"))
+    shares = index.where(F.col(last) > 0).crossJoin(total).select("u", "v", "cu", "cv", F.col(last).alias("w"), "brooms", (F.col(last) / F.col("brooms") * t).alias("due"))
+    up = draw(seed, F.col("u"), F.col("v")) < (F.col("due") - F.floor("due")) * float(1 << DRAW_BITS)
+    shares = shares.withColumn("n", F.floor("due") + up.cast("long")).where("n > 0")
     each = shares.withColumn("k", F.explode(F.sequence(F.lit(1).cast("long"), F.col("n"))))
     named = written(each.withColumn("sample_id", F.xxhash64("u", "v", "k")), "strata")
     walks = sampler.start(named)
@@ -64,5 +67,5 @@ def _stratified(edges: DataFrame, p: int, q: int, t: int, seed: int) -> DataFram
     for layer in range(2 * h - 2, 0, -1):
         walks = sampler.walk_step(walks, index, edges, broom_steps(h, h)[layer - 1], layer, seed, free=True)
     walks = written(walks, "zigzags")
-    x = zigzag.contributions(walks, edges, p, q).join(named.select("sample_id", "w", "n"), "sample_id")
-    return x.agg(F.coalesce(F.sum(F.col("x") * F.col("w") / F.col("n")), F.lit(0.0)).alias("estimate"))
+    x = zigzag.contributions(walks, edges, p, q).agg(F.coalesce(F.sum("x"), F.lit(0.0)).alias("x"))
+    return x.crossJoin(total).select((F.col("x") * F.col("brooms") / t).alias("estimate"))  # one row each

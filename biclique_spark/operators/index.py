@@ -11,11 +11,16 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from biclique_spark.functions.pattern import broom_edges, broom_steps
+from biclique_spark.functions.pattern import broom_steps
 from biclique_spark.functions.scalar import EXACT
+from biclique_spark.operators.graph import encode_vertices
 from biclique_spark.sources.io import written
 
 
+#: Vertices of a side that one task may rank.
+RANKED = 2_000_000
+
+
 def layers(p: int, q: int) -> int:
     return p + q - 1
 
@@ -25,8 +30,12 @@ def _kind(weight: str) -> str:
 
 
 def colored_by_key(edges: DataFrame) -> DataFrame:
-    """Every vertex its own color: its rank among the side's keys. Ranks of a whole side need one task, so this is
-    for the variant without coloring and for graphs whose vertex tables are small; encode_vertices() scales."""
+    """Every vertex its own color: its rank among the side's keys. A side of up to RANKED vertices is ranked in one
+    task; larger ones by range partitions and the numbers of vertices before them, see encode_vertices()."""
+    if edges.agg(F.greatest(F.approx_count_distinct("u"), F.approx_count_distinct("v"))).first()[0] > RANKED:
+        _, du, dv = encode_vertices(edges)
+        of = lambda d, s: d.select(F.col("key").alias(s), (F.col("id") + 1).alias(f"c{s}"))
+        return edges.join(of(du, "u"), "u").join(of(dv, "v"), "v").select("u", "v", "cu", "cv")
     rank = lambda s: edges.select(s).distinct().select(s, F.row_number().over(Window.orderBy(s)).alias(f"c{s}"))
     return edges.join(rank("u"), "u").join(rank("v"), "v").select("u", "v", "cu", "cv")
 
@@ -123,7 +132,3 @@ def sql_layers(edges_sql: str, p: int, q: int) -> str:
             f"c{t + 1} as materialized (select *, coalesce(sum(w{t}) over (partition by {key} order by {color} range between unbounded preceding and 1 preceding), 0)::hugeint as w{t + 1} from c{t})"
         )
     return ",\n".join(out)
-
-
-def edge_count(p: int, q: int) -> int:
-    return len(broom_edges(p, q))

@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import resource
 import time
 from collections.abc import Callable
 from math import comb
@@ -11,9 +10,11 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from biclique_spark.functions.scalar import EXACT, binomial, relative_error
-from biclique_spark.operators import exact, zigzag
-from biclique_spark.operators.graph import core_reduce
-from biclique_spark.operators.index import broom_index, broom_total, colored_by_key, layers
+from biclique_spark.operators import coloring, exact, hybrid, zigzag
+from biclique_spark.operators.graph import core_reduce, split_by_anchor
+from biclique_spark.operators.index import broom_index, broom_total, colored_by_key
+from biclique_spark.plans import planner
+from biclique_spark.sources.io import written
 
 
 def mean_error(runs: DataFrame, truth: float | None = None) -> DataFrame:
@@ -56,32 +57,76 @@ def sample_ratio_zigzag(zigzags: float, count: float, largest: float, p: int, q:
     return (zigzags / r) ** 2
 
 
-def sample_ratios(edges: DataFrame, sizes: list[tuple[int, int]]) -> DataFrame:
-    """p, q, bicliques, brooms, zigzags, largest, broom_ratio, zigzag_ratio, under key order."""
+def colored(edges: DataFrame, p: int, q: int, strategy: str | None, seed: int = 1) -> DataFrame:
+    """Colored edges by a strategy of coloring, 'none' for key order, None for the planner's choice by size."""
+    strategy = strategy or planner.choose(planner.statistics(edges), p, q).strategy
+    return colored_by_key(edges) if strategy == "none" else coloring.color_graph(edges, p, q, "random", seed, strategy)
+
+
+def sample_ratios(edges: DataFrame, sizes: list[tuple[int, int]], strategy: str | None = None) -> DataFrame:
+    """p, q, bicliques, brooms, zigzags, largest, kappa, broom_ratio, zigzag_ratio: brooms of the colored graph,
+    zigzags in key order, as the baseline has them."""
     rows = []
     for p, q in sizes:
         core = core_reduce(edges, p, q)
         c = float(exact.count_vertex_expand(core, p, q, reduce=False).first()[0])
-        b = float(broom_total(broom_index(colored_by_key(core), p, q), p, q).first()[0])
+        tinted = written(colored(core, p, q, strategy), "colored")
+        b = float(broom_total(broom_index(tinted, p, q), p, q).first()[0])
         z = float(zigzag.zigzag_total(core, min(p, q)).first()[0])
         m = float(zigzag.enumerate_zigzags(core, p, q).first()[0])
-        rows.append((p, q, c, b, z, m, sample_ratio_broom(b, c), sample_ratio_zigzag(z, c, m, p, q)))
-    return edges.sparkSession.createDataFrame(rows, "p int, q int, bicliques double, brooms double, zigzags double, largest double, broom_ratio double, zigzag_ratio double")
+        rows.append((p, q, c, b, z, m, coloring.color_count(tinted).first()["kappa"], sample_ratio_broom(b, c), sample_ratio_zigzag(z, c, m, p, q)))
+    return edges.sparkSession.createDataFrame(rows, "p int, q int, bicliques double, brooms double, zigzags double, largest double, kappa long, broom_ratio double, zigzag_ratio double")
 
 
-def memory_profile(index: DataFrame, p: int, q: int) -> DataFrame:
-    """One row: edges, layers, weights, index_bytes (8 a weight), peak_mb of this process."""
-    peak = resource.getrusage(resource.RUSAGE_SELF).ru_maxrss / 1024
-    n = F.count(F.lit(1))
-    return index.agg(n.alias("edges"), F.lit(layers(p, q)).alias("layers"), (n * layers(p, q)).alias("weights"), (n * layers(p, q) * 8).alias("index_bytes"), F.lit(peak).alias("peak_mb"))
+def color_counts(edges: DataFrame, sizes: list[tuple[int, int]], strategy: str | None = None) -> DataFrame:
+    """p, q, kappa: colors of the larger side for each size."""
+    rows = []
+    for p, q in sizes:
+        rows.append((p, q, coloring.color_count(colored(core_reduce(edges, p, q), p, q, strategy)).first()["kappa"]))
+    return edges.sparkSession.createDataFrame(rows, "p int, q int, kappa long")
+
+
+def held_bytes(df: DataFrame) -> tuple[int, int]:
+    """Rows of a table, and the bytes that its blocks take in the executors' storage once it is cached."""
+    df = df.cache()
+    try:
+        rows = df.count()
+        return rows, int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
+    finally:
+        df.unpersist(blocking=True)
+
+
+def memory_profile(edges: DataFrame, p: int, q: int, methods: tuple[str, ...] = ("vertex_expand", "edge_pivot", "hybrid", "broom"), strategy: str | None = None) -> DataFrame:
+    """method, held, rows, bytes: the largest tables that each method keeps in the executors: the broom's index, the
+    hybrid's path index and sparse parts, the pivot's anchor parts (wedges), the expansion's last but one tuples."""
+    core = core_reduce(edges, p, q)
+    h = min(p, q)
+    tables = {
+        "broom": ("index", lambda: [broom_index(colored(core, p, q, strategy), p, q)]),
+        "hybrid": ("path index, sparse parts", lambda: [zigzag.zigzag_index(core, h), split_by_anchor(core, p, q, anchors=hybrid.split_dense_sparse(core)[0])]),
+        "edge_pivot": ("parts", lambda: [split_by_anchor(core, p, q)]),
+        "vertex_expand": ("tuples", lambda: [exact.grow_left(core, max(1, p - 1), q)]),
+    }
+    rows = []
+    for m in methods:
+        held, of = tables[m]
+        found = [held_bytes(t) for t in of()]
+        rows.append((m, held, sum(n for n, _ in found), sum(b for _, b in found)))
+    return edges.sparkSession.createDataFrame(rows, "method string, held string, rows long, bytes long")
 
 
 def speedup(times: DataFrame, base: str) -> DataFrame:
-    """method, factor: seconds of every other method over those of ``base``, per graph; times(graph, method, seconds)."""
+    """graph, method, factor: seconds of every other method over those of ``base``; times(graph, method, seconds)."""
     b = times.where(F.col("method") == base).select("graph", F.col("seconds").alias("own"))
     return times.where(F.col("method") != base).join(b, "graph").select("graph", "method", (F.col("seconds") / F.col("own")).alias("factor"))
 
 
+def error_reduction(errors: DataFrame, base: str) -> DataFrame:
+    """graph, method, factor: the mean error of every other method over that of ``base``, null where that is 0;
+    errors(graph, method, mean_error)."""
+    return speedup(errors.withColumn("seconds", F.when((F.col("method") != base) | (F.col("mean_error") > 0), F.col("mean_error"))), base)
+
+
 def samples_to_error(history: DataFrame, target: float) -> DataFrame:
     """method, t: the fewest samples whose mean error is within the target; history(method, t, mean_error)."""
     return history.where(F.col("mean_error") <= target).groupBy("method").agg(F.min("t").alias("t"))

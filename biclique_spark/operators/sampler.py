@@ -36,13 +36,19 @@ def _bucket(buckets: int) -> Column:
     return F.conv(F.substring(F.md5(F.col("u").cast("string")), 1, 8), 16, 10).cast("long") % buckets
 
 
-def sample_last_edges(index: DataFrame, p: int, q: int, t: int, seed: int = 1, first: int = 0, buckets: int = BUCKETS) -> DataFrame:
+def bucket_count(edges: int) -> int:
+    """Buckets of the two-level lookup: about the square root of the edges, so that draws meet as many sums as edges."""
+    return max(BUCKETS, 1 << (edges.bit_length() // 2))
+
+
+def sample_last_edges(index: DataFrame, p: int, q: int, t: int, seed: int = 1, first: int = 0, buckets: int | None = None) -> DataFrame:
     """sample_id, u, v, cu, cv, w: t draws with replacement, by weight.
 
     Cumulative weights have two levels: buckets of left vertices (their sums are a small table) and edges in a bucket,
     so no task sorts all edges; draws find their bucket among the sums and then join only its edges.
     """
     last = f"w{p + q - 1}"
+    buckets = buckets or bucket_count(index.count())
     exact = dict(index.dtypes)[last] != "double"
     wide = lambda c: c.cast(EXACT) if exact else c
     live = index.where(F.col(last) > 0).select("u", "v", "cu", "cv", F.col(last).alias("w"), _bucket(buckets).alias("bucket"))
@@ -65,11 +71,11 @@ def start(last: DataFrame) -> DataFrame:
     return last.select("sample_id", "u", "v", "cu", "cv", "w", F.array("u").alias("us"), F.array("v").alias("vs"), F.lit(1.0).alias("ratio"))
 
 
-def walk_step(walks: DataFrame, index: DataFrame, edges: DataFrame, step: str, layer: int, seed: int, contain: str = "array", free: bool = False) -> DataFrame:
+def walk_step(walks: DataFrame, index: DataFrame, edges: DataFrame, step: str, layer: int, seed: int, contain: str = "array", free: bool = False, near: dict[str, DataFrame] | None = None) -> DataFrame:
     """One step back, to ``layer``. Walks without candidates end and are not returned.
 
     contain: 'array' looks candidates up in the neighbour array of the vertex, 'join' counts joined edges.
-    free: without the test of adjacency (plain brooms, shares stay 1).
+    free: without the test of adjacency (plain brooms, shares stay 1). near: adjacency of both sides, where stored.
     """
     exact = dict(index.dtypes)[f"w{layer}"] != "double"
     shared, other, color = ("u", "v", "cv") if step == "U" else ("v", "u", "cu")
@@ -78,8 +84,8 @@ def walk_step(walks: DataFrame, index: DataFrame, edges: DataFrame, step: str, l
     c = walks.join(i, walks[shared] == i.s).where(F.col(f"n{color}") < F.col(color))
     if not free:
         if contain == "array":
-            near = adjacency(edges, other).select(F.col("id").alias("x"), "nbrs")
-            c = c.join(near, "x").where(F.size(F.array_except(chosen, "nbrs")) == 0).drop("nbrs")
+            of = near[other] if near else adjacency(edges, other)
+            c = c.join(of.select(F.col("id").alias("x"), "nbrs"), "x").where(F.size(F.array_except(chosen, "nbrs")) == 0).drop("nbrs")
         else:
             pairs = c.select("sample_id", "x", F.explode(chosen).alias("m"))
             e = edges.select(F.col(other).alias("x"), F.col(shared).alias("m"))
@@ -111,8 +117,9 @@ def sample_walks(index: DataFrame, edges: DataFrame, p: int, q: int, t: int, see
         return _local_walks(index, p, q, t, seed, first, free)
     walks = written(start(sample_last_edges(index, p, q, t, seed, first)), "walks")
     steps = broom_steps(p, q)
+    near = None if free or contain != "array" else {s: written(adjacency(edges, s), "adjacency") for s in ("u", "v")}
     for done, layer in enumerate(range(p + q - 2, 0, -1), 1):
-        walks = walk_step(walks, index, edges, steps[layer - 1], layer, seed, contain, free)
+        walks = walk_step(walks, index, edges, steps[layer - 1], layer, seed, contain, free, near)
         if done % cut == 0:
             walks = written(walks, "walks")
     return walks.select("sample_id", "us", "vs", "ratio")
@@ -131,7 +138,7 @@ def _local_walks(index: DataFrame, p: int, q: int, t: int, seed: int, first: int
     last = p + q - 1
     ku, kv = dict(index.dtypes)["u"], dict(index.dtypes)["v"]
     exact = dict(index.dtypes)["w1"] != "double"
-    f = index.withColumn("bucket", _bucket(BUCKETS)).toPandas()
+    f = index.withColumn("bucket", _bucket(bucket_count(index.count()))).toPandas()
     us = f[["cu", "u"]].drop_duplicates().sort_values(["cu", "u"], ignore_index=True)
     vs = f[["cv", "v"]].drop_duplicates().sort_values(["cv", "v"], ignore_index=True)
     f["iu"] = f["u"].map({k: i for i, k in enumerate(us["u"])})

@@ -200,7 +200,6 @@ def _summary(s: SparkSession, d: str, p: int, q: int, engine: str) -> DataFrame:
 put("broom_estimate", _estimate_sql(3, 2))(lambda s, d: _summary(s, d, 3, 2, "join"))
 put("broom_estimate_3_3", _estimate_sql(3, 3))(lambda s, d: _summary(s, d, 3, 3, "local"))
 put("estimate_auto")(lambda s, d: estimator.estimate_auto(graph(s, d, "customer_part"), 3, 2, 5_000))
-put("estimate_transposed")(lambda s, d: estimator.estimate(G.transpose(graph(s, d, "page_href")), 3, 4, 2_000, strategy="none"))
 put("estimate_split")(lambda s, d: estimator.estimate(graph(s, d, "page_href"), 3, 3, 500, reduce="split", strategy="none"))
 
 
@@ -216,8 +215,6 @@ def naive_estimate(s: SparkSession, d: str) -> DataFrame:
     return sampler.naive_sample(index, e, 3, 2, T, SEED)
 
 
-put("progressive_estimates")(lambda s, d: estimator.estimate_progressive(graph(s, d, "doc_line"), 3, 3, 500, max_t=8_000))
-put("repeated_runs_error")(lambda s, d: measures.mean_error(estimator.estimate_repeated(graph(s, d, "doc_line"), 3, 3, 1_000)))
 
 
 @put("expected_ratio_exact", f"select round(bicliques::double, 3) as estimate from ({exact.sql_count(SQL['page_href'], 3, 2)})")
@@ -259,7 +256,6 @@ put(
 put("hybrid_exact_parts", f"select bicliques::double as bicliques from ({exact.sql_count(SQL['doc_line'], 3, 3)})")(
     lambda s, d: hybrid.exact_parts(graph(s, d, "doc_line"), 3, 3).agg(F.sum(F.col("bicliques").cast("double")).alias("bicliques"))
 )
-put("hybrid_estimate")(lambda s, d: hybrid.estimate_hybrid(graph(s, d, "doc_line"), 3, 3, 2_000))
 put("hybrid_basic_estimate")(lambda s, d: hybrid.estimate_hybrid(graph(s, d, "doc_line"), 3, 3, 2_000, basic=True))
 
 # --- Coloring ----------------------------------------------------------------------------------------------------
@@ -282,7 +278,7 @@ for _s in ("greedy", "rounds", "conflict", "none"):
     put(f"coloring_violations_{_s}", "select 0::bigint as violations")(_violations(_s))
 for _o in ("asc", "desc"):
     put(f"coloring_violations_{_o}", "select 0::bigint as violations")(_violations("greedy", "doc_line", _o))
-put("coloring_order_ablation")(lambda s, d: workloads.coloring_ablation(s, d, "page_href", 3, 3, 1_000, 5))
+put("coloring_order_ablation")(lambda s, d: workloads.coloring_ablation(s, d, ("page_href",), ((3, 3),), (100, 1_000), 5))
 put("color_counts")(lambda s, d: coloring.color_count(coloring.color_graph(G.core_reduce(graph(s, d, "page_href"), 3, 3), 3, 3)))
 
 
@@ -299,15 +295,6 @@ def colored_survivors(s: SparkSession, d: str) -> DataFrame:
 
 # --- Measures and workloads --------------------------------------------------------------------------------------
 
-put("sample_ratio_table")(lambda s, d: workloads.ratio_table(s, d, "page_href", (2, 3)))
-
-
-@put(
-    "error_grid_cube",
-    "with r as (select p, q, p * 10 + q as x from (select unnest(range(2, 5)) as p) cross join (select unnest(range(2, 5)) as q)) select p, q, avg(x) as x, count(*) as cells from r group by cube (p, q)",
-)
-def error_grid_cube(s: SparkSession, d: str) -> DataFrame:
-    return measures.margins(s.createDataFrame([(p, q, float(p * 10 + q)) for p in range(2, 5) for q in range(2, 5)], "p long, q long, x double"), "x")
 
 
 @put(
@@ -323,14 +310,17 @@ def error_grid_rollup(s: SparkSession, d: str) -> DataFrame:
     return measures.margins(cells, "bicliques", "rollup")
 
 
-put("stage_times")(lambda s, d: workloads.stage_split(s, d, workloads.NINE, 3, 3, 1_000))
-put("memory_profile")(lambda s, d: workloads.memory(s, d, workloads.NINE))
-put("time_and_error_grid")(lambda s, d: workloads.grids(s, d, "page_href", (2, 3), 1_000))
-put("errors_by_samples")(lambda s, d: workloads.against_samples(s, d, "page_href", 3, 3, (100, 1_000), 5))
-put("method_runtimes")(lambda s, d: workloads.runtimes(s, d, ("page_href",), 3, 3, 1_000))
-put("method_errors")(lambda s, d: workloads.errors(s, d, ("page_href",), 3, 3, 1_000, 5))
-put("vertex_scalability")(lambda s, d: workloads.scalability(s, d, "supplier_part", 3, 3, 1_000, (0.6, 0.8, 1.0)))
-put("small_sizes")(lambda s, d: workloads.small_sizes(s, d, ("page_href",), (3,), 1_000))
+put("stage_times")(lambda s, d: workloads.stage_split(s, d, workloads.NINE, ((3, 3),), 1_000, ("broom",)))
+put("memory_profile")(lambda s, d: workloads.memory(s, d, workloads.NINE, ((3, 3),), ("broom", "hybrid")))
+put("time_and_error_grid")(lambda s, d: workloads.grids(s, d, ("page_href",), ((2, 2), (2, 3), (3, 2), (3, 3)), 1_000, 2))
+put("errors_by_samples")(lambda s, d: workloads.against_samples(s, d, ("page_href",), ((3, 3),), (100, 1_000), 3))
+put("raised_samples")(lambda s, d: workloads.raise_samples(s, d, "page_href", 2, 3, (100, 400, 1_600), 3))
+put("most_colors")(lambda s, d: workloads.most_colors(s, d, ("page_href", "doc_line"), ((3, 3), (3, 4))))
+put("colored_ratio_table")(lambda s, d: workloads.ratio_table(s, d, ("page_href",), ((2, 2), (2, 3), (3, 2), (3, 3))))
+put("method_runtimes")(lambda s, d: workloads.runtimes(s, d, ("page_href", "doc_line"), ((3, 3),), 1_000))
+put("method_errors")(lambda s, d: workloads.errors(s, d, ("page_href",), ((3, 3),), 1_000, 5))
+put("vertex_scalability")(lambda s, d: workloads.scalability(s, d, ("supplier_part",), ((3, 3),), 1_000, (0.6, 0.8, 1.0), 2))
+put("small_sizes")(lambda s, d: workloads.small_sizes(s, d, ("page_href",), ((3, 3), (3, 4)), 1_000))
 put(
     "clustering_coefficient",
     f"""with g as materialized ({SQL['page_href']}), du as (select u, count(*) as k from g group by u), dv as (select v, count(*) as d from g group by v),
@@ -344,7 +334,6 @@ put(
     n as (select a.r, count(*) as n from g a join g b on a.r = b.r and a.v = b.v and a.u < b.u group by a.r, a.u, b.u having count(*) >= 2)
     select r as graph, 2 as p, 2 as q, ln(1 + sum(n * (n - 1) / 2)) as value from n group by r""",
 )(lambda s, d: workloads.region_profiles(s, d))
-put("motif_kernel_regions")(lambda s, d: measures.motif_kernel(workloads.region_profiles(s, d, ((2, 2), (2, 3)))))
 put(
     "biclique_density",
     f"with g as ({SQL['doc_line']}) select bicliques::double as bicliques, n as vertices, bicliques::double / n as density from ({exact.sql_count(SQL['doc_line'], 3, 3)}), (select count(distinct u) + count(distinct v) as n from g)",
@@ -374,7 +363,6 @@ def streamed_edges(s: SparkSession, d: str) -> DataFrame:
     return s.read.parquet(store).select("u", "v").distinct()
 
 
-put("coaction_edges")(lambda s, d: streaming.coaction_edges(s.read.parquet(f"{d}/events.parquet")))
 _HALF = "(select date_trunc('day', min(ts) + (max(ts) - min(ts)) / 2) from events)"
 put(
     "snapshot_diff",

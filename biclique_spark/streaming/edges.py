@@ -57,19 +57,26 @@ def coaction_edges(events: DataFrame, within: str = "1 hour", key: str = "event_
     return a.join(b, ["k", "bucket"]).where((F.abs(F.col("s") - F.col("s2")) <= seconds) & (F.col("u") < F.col("v"))).select("u", "v").distinct()
 
 
-def neighbor_sets(edges: DataFrame, timeout: str = "NoTimeout") -> DataFrame:
-    """u, degree after each batch: a state of each user's neighbours, kept by a custom stateful operator."""
+def neighbor_sets(edges: DataFrame, idle_ms: int | None = None) -> DataFrame:
+    """u, degree after each batch: a state of each user's neighbours, kept by a custom stateful operator. With
+    ``idle_ms`` a user without new edges for that time is forgotten, and reported with degree 0."""
 
     def update(key: tuple, batches: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
+        if state.hasTimedOut:
+            state.remove()
+            yield pd.DataFrame({"u": [key[0]], "degree": [0]})
+            return
         known = set(state.get[0]) if state.exists else set()
         for b in batches:
             known.update(b["v"].astype(str))
         state.update((sorted(known),))
+        if idle_ms is not None:
+            state.setTimeoutDuration(idle_ms)
         yield pd.DataFrame({"u": [key[0]], "degree": [len(known)]})
 
     kind = dict(edges.dtypes)["u"]
     return edges.groupBy("u").applyInPandasWithState(
-        update, f"u {kind}, degree long", "known array<string>", "update", getattr(GroupStateTimeout, timeout)
+        update, f"u {kind}, degree long", "known array<string>", "update", GroupStateTimeout.NoTimeout if idle_ms is None else GroupStateTimeout.ProcessingTimeTimeout
     )
 
 

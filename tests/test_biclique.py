@@ -246,7 +246,7 @@ def test_words_of_any_script(spark):
 def test_method_errors_runs_both_methods_as_often(spark, monkeypatch):
     seeds, real = [], hybrid.estimate_hybrid
     monkeypatch.setattr(hybrid, "estimate_hybrid", lambda *a, seed, **k: (seeds.append(seed), real(*a, seed=seed, **k))[1])
-    got = workloads.errors(spark, SF, ("page_href",), 2, 2, 100, runs=5)
+    got = workloads.errors(spark, SF, ("page_href",), ((2, 2),), 100, runs=5)
     assert sorted(r.method for r in got.collect()) == ["broom", "hybrid"] and seeds == [1, 2, 3, 4, 5]
 
 
@@ -254,7 +254,50 @@ def test_registered_experiments_cover_the_nine_graphs(monkeypatch):
     got = {}
     for name in ("dataset_statistics", "stage_split", "memory"):
         monkeypatch.setattr(workloads, name, lambda s, d, graphs, *a, n=name: got.__setitem__(n, set(graphs)))
-    monkeypatch.setattr(workloads, "scalability", lambda s, d, g, p, q, t, shares: got.__setitem__("shares", shares))
+    monkeypatch.setattr(workloads, "scalability", lambda s, d, g, sizes, t, shares, *a: got.__setitem__("shares", shares))
     for q in ("graph_stats", "stage_times", "memory_profile", "vertex_scalability"):
         queries.QUERIES[q](None, None)
     assert all(set(workloads.NINE) <= got[n] for n in ("dataset_statistics", "stage_split", "memory")) and got["shares"] == (0.6, 0.8, 1.0)
+
+
+def test_edge_pivot_takes_anchors_before_vertices_meet(spark):
+    """The semi-join with the anchors lies below the join that makes wedges."""
+    e = spark.createDataFrame([(u, v) for u in range(6) for v in range(5)], "u long, v long")
+    sparse, _ = hybrid.split_dense_sparse(e)
+    tree = G.wedges_of(e, anchors=sparse)._jdf.queryExecution().optimizedPlan().toString().split("\n")
+    joins = [(len(x) - len(x.lstrip(" :+-")), x) for x in tree if "Join" in x]
+    wedge = next(i for i, (_, x) in enumerate(joins) if "Inner" in x and "<" in x or "Inner" in x and ">" in x)
+    assert any("LeftSemi" in x and depth > joins[wedge][0] for depth, x in joins[wedge + 1 :])
+    assert one(exact.count_edge_pivot(e, 3, 2, sparse, reduce=False)) <= one(exact.count_edge_pivot(e, 3, 2))
+
+
+def test_history_measures(spark):
+    history = spark.createDataFrame([("broom", 10, 0.5), ("broom", 100, 0.04), ("hybrid", 100, 0.2)], "method string, t long, mean_error double")
+    assert [tuple(r) for r in measures.samples_to_error(history, 0.05).collect()] == [("broom", 100)]
+    times = spark.createDataFrame([("g", "broom", 2.0, 0.1), ("g", "edge_pivot", 8.0, 0.3)], "graph string, method string, seconds double, mean_error double")
+    assert [tuple(r) for r in measures.speedup(times, "broom").collect()] == [("g", "edge_pivot", 4.0)]
+    assert [round(r.factor, 9) for r in measures.error_reduction(times.drop("seconds"), "broom").collect()] == [3.0]
+    assert workloads.mean_error([9.0, 11.0], None) == 0.1 and workloads.mean_error([1.0], 0.0) is None
+
+
+def test_a_limit_in_seconds_cancels_jobs(spark):
+    slow = lambda: spark.range(1 << 40).selectExpr("sum(hash(id))").first()[0]
+    value, seconds = workloads.within(spark, 1.0, slow)
+    assert value is None and seconds < 30 and workloads.within(spark, 60, lambda: 3)[0] == 3.0
+
+
+def test_large_sides_are_ranked_by_ranges(spark, monkeypatch):
+    from biclique_spark.operators import index
+
+    e = graph(spark, SF, "page_href")
+    want = {tuple(r) for r in index.colored_by_key(e).collect()}
+    monkeypatch.setattr(index, "RANKED", 10)
+    assert {tuple(r) for r in index.colored_by_key(e).collect()} == want
+
+
+def test_bucketed_table(spark):
+    io.save_table(spark.createDataFrame([(1, 2), (1, 3)], "u long, v long"), "edges_by_u", buckets=2)
+    try:
+        assert spark.table("edges_by_u").count() == 2
+    finally:
+        spark.sql("drop table edges_by_u")
