@@ -16,6 +16,8 @@ from biclique_spark.operators.graph import common_neighbors
 from biclique_spark.sources.io import written
 
 PALETTE, OFFERS = 64, 8
+#: Neighbours of more vertices than this keep their colors as bits.
+BUSY = 64
 
 
 def _sided(edges: DataFrame, side: str) -> DataFrame:
@@ -31,41 +33,74 @@ def ordered(edges: DataFrame, order: str, seed: int) -> DataFrame:
     return d.select("x", rank.alias("rank"))
 
 
-def greedy_side(edges: DataFrame, side: str, threshold: int, order: str = "random", seed: int = 1) -> DataFrame:
-    """(side, color), one vertex after the other in one task: for graphs that fit there.
+def first_fit(order: list[tuple[int, list[int]]], threshold: int) -> dict[int, int]:
+    """Color, from 1, of each (vertex, neighbours): the smallest whose class stays legal with it. In a class, each vertex
+    has fewer than ``threshold`` neighbours that another vertex of the class has too.
 
-    For each opposite vertex it is known whether none, one or more of its neighbours have the round's color, so a
-    vertex is tried in its degree. A refused vertex waits for the next color.
+    Neighbours keep the colors around them, busy ones as the bits of a whole number. Counting bits over a vertex's
+    neighbours, for all colors at once, leaves the colors that it shares too little with to be refused by its own count.
+    The first color that it shares nothing with is always legal, so only those before it are tried one by one.
     """
+    degree: dict[int, int] = {}
+    for _, ys in order:
+        for y in ys:
+            degree[y] = degree.get(y, 0) + 1
+    busy: dict[int, int] = {y: 0 for y, d in degree.items() if d > BUSY}
+    quiet: dict[int, list[int]] = {y: [] for y, d in degree.items() if d <= BUSY}
+    owner: list[dict[int, int]] = [{}]  # for each color: the one vertex of it around a neighbour, or -1 for several
+    shared: dict[int, int] = {}  # for each vertex: its neighbours that another vertex of its color has
+    colors: dict[int, int] = {}
+    for at, ys in order:
+        at_least = [0] * threshold  # bits of the colors around at least 1, 2, .. of the neighbours
+        for y in ys:
+            around = busy[y] if y in busy else sum(1 << c for c in quiet[y])
+            for k in range(threshold - 1, 0, -1):
+                at_least[k] |= at_least[k - 1] & around
+            at_least[0] |= around
+        touched = at_least[0] | 1  # there is no color 0
+        free = (~touched & (touched + 1)).bit_length() - 1
+        tries = at_least[0] & ~at_least[-1] & ((1 << free) - 1)
+        color, raised = free, {}
+        while tries:
+            low = tries & -tries
+            tries ^= low
+            c = low.bit_length() - 1
+            met: dict[int, int] = {}
+            for y in ys:
+                if (one := owner[c].get(y, -1)) >= 0:
+                    met[one] = met.get(one, 0) + 1
+            if all(shared[x] + n < threshold for x, n in met.items()):
+                color, raised = c, met
+                break
+        if color == len(owner):
+            owner.append({})
+        of = owner[color]
+        colors[at], shared[at] = color, sum(y in of for y in ys)
+        for x, n in raised.items():
+            shared[x] += n
+        for y in ys:
+            if y not in of:
+                of[y] = at
+                if y in busy:
+                    busy[y] |= 1 << color
+                else:
+                    quiet[y].append(color)
+            else:
+                of[y] = -1
+    return colors
+
+
+def greedy_side(edges: DataFrame, side: str, threshold: int, order: str = "random", seed: int = 1) -> DataFrame:
+    """(side, color), one vertex after the other in one task, see first_fit(): for graphs that fit there."""
     pairs = _sided(edges, side)
     packed = pairs.groupBy("x").agg(F.collect_list("y").alias("ys")).join(ordered(pairs, order, seed), "x")
-    # Positions instead of keys, so that any type will do.
-    names = packed.select("x", F.row_number().over(Window.orderBy("rank")).alias("at"), F.transform("ys", lambda y: F.xxhash64(y)).alias("ys"))
+    # Positions instead of keys, so that any type will do. Stored, as the task and the join both read them.
+    places = packed.select("x", F.row_number().over(Window.orderBy("rank")).alias("at"), F.transform("ys", lambda y: F.xxhash64(y)).alias("ys"))
+    names = written(places, "color-names")
 
     def color(group: pd.DataFrame) -> pd.DataFrame:
         group = group.sort_values("at")
-        todo, colors, color = list(zip(group["at"], group["ys"], strict=True)), {}, 0
-        while todo:
-            color += 1
-            first: dict[int, int] = {}  # the one neighbour of this color that a y has, or -1 for several
-            count: dict[int, int] = {}  # for each vertex of this color: its y that have another of this color
-            later = []
-            for at, ys in todo:
-                own = sum(y in first for y in ys)
-                raised: dict[int, int] = {}
-                for y in ys:
-                    if (one := first.get(y, -1)) >= 0:
-                        raised[one] = raised.get(one, 0) + 1
-                if own >= threshold or any(count[x] + n >= threshold for x, n in raised.items()):
-                    later.append((at, ys))
-                    continue
-                colors[at] = color
-                count[at] = own
-                for x, n in raised.items():
-                    count[x] += n
-                for y in ys:
-                    first[y] = -1 if y in first else at
-            todo = later
+        colors = first_fit([(at, list(ys)) for at, ys in zip(group["at"].tolist(), group["ys"], strict=True)], threshold)
         return pd.DataFrame({"at": list(colors), "color": list(colors.values())})
 
     found = names.groupBy(F.lit(0).alias("one")).applyInPandas(lambda g: color(g), "at int, color int")

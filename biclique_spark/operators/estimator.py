@@ -47,7 +47,7 @@ def prepared(edges: DataFrame, p: int, q: int, reduce: str = "core", strategy: s
 
 def estimate(
     edges: DataFrame, p: int, q: int, t: int = DEFAULT_T, seed: int = 1, order: str = "random", strategy: str | None = None,
-    reduce: str = "core", weight: str = "double", engine: str | None = None, contain: str = "array", relabel: int = 1,
+    reduce: str = "core", weight: str = "double", engine: str | None = None, contain: str | None = None, relabel: int = 1,
 ) -> DataFrame:
     """One row, see summarize(), with kappa_u and kappa_v.
 
@@ -57,7 +57,7 @@ def estimate(
     if reduce in ("split", "both") and p > 2:
         return estimate_split(core_reduce(edges, p, q) if reduce == "both" else edges, p, q, t, seed, strategy or "none")
     reduced, index, choice = prepared(edges, p, q, reduce, strategy, order, seed, weight, relabel)
-    walks = sampler.sample_walks(index, reduced, p, q, t, seed, contain, engine or choice.engine)
+    walks = sampler.sample_walks(index, reduced, p, q, t, seed, contain or choice.contain, engine or choice.engine, meet=choice.meet)
     kappa = index.agg(F.count_distinct("cu").alias("kappa_u"), F.count_distinct("cv").alias("kappa_v"))
     return summarize(walks, broom_total(index, p, q), p, q, t).crossJoin(kappa)
 
@@ -81,7 +81,7 @@ def estimate_auto(edges: DataFrame, p: int, q: int, t: int = DEFAULT_T, seed: in
 def estimate_repeated(edges: DataFrame, p: int, q: int, t: int, runs: int = 10, seed: int = 1, **options) -> DataFrame:
     """run, t, estimate: independent runs on one index. All walks are drawn in one job; a run is a range of samples."""
     reduced, index, choice = prepared(edges, p, q, seed=seed, **options)
-    walks = sampler.sample_walks(index, reduced, p, q, t * runs, seed, engine=choice.engine)
+    walks = sampler.sample_walks(index, reduced, p, q, t * runs, seed, choice.contain, choice.engine, meet=choice.meet)
     per = walks.groupBy(F.floor(F.col("sample_id") / t).cast("int").alias("run")).agg(F.sum("ratio").alias("s"), F.count(F.lit(1)).alias("hits"))
     every = edges.sparkSession.range(runs).select(F.col("id").cast("int").alias("run"))
     out = every.join(per, "run", "left").crossJoin(broom_total(index, p, q))
@@ -103,7 +103,7 @@ def estimate_progressive(edges: DataFrame, p: int, q: int, t0: int = 1000, growt
     brooms = float(broom_total(index, p, q).first()[0])
     t, done, s, last, history = t0, 0, 0.0, None, []
     while True:
-        walks = sampler.sample_walks(index, reduced, p, q, t - done, seed, engine=choice.engine, first=done)
+        walks = sampler.sample_walks(index, reduced, p, q, t - done, seed, choice.contain, choice.engine, first=done, meet=choice.meet)
         s += walks.agg(F.sum("ratio")).first()[0] or 0.0
         now, done = brooms * s / t, t
         change = None if last is None else abs(now - last) / max(abs(now), 1e-300)
@@ -122,7 +122,7 @@ def estimate_grid(edges: DataFrame, ps: Iterable[int], qs: Iterable[int], t: int
             began = time.time()
             reduced, index, choice = prepared(edges, p, q, seed=seed, **options)
             ready = time.time()
-            walks = sampler.sample_walks(index, reduced, p, q, t, seed, engine=choice.engine)
+            walks = sampler.sample_walks(index, reduced, p, q, t, seed, choice.contain, choice.engine, meet=choice.meet)
             r = summarize(walks, broom_total(index, p, q), p, q, t).first()
             rows.append((p, q, t, float(r["brooms"]), r["hits"], float(r["estimate"]), float(r["std_error"]), ready - began, time.time() - ready))
     return edges.sparkSession.createDataFrame(rows, "p int, q int, t long, brooms double, hits long, estimate double, std_error double, init_s double, sample_s double")

@@ -2,12 +2,18 @@
 
 from __future__ import annotations
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import IntegralType, StringType
 
 from biclique_spark.functions.scalar import DRAW_BITS, draw
 from biclique_spark.sources.io import discard, written
 
+#: Edges of two short columns that one task may hold.
+CORE_EDGES = 1_000_000
+
 
 def edges_from(df: DataFrame, u: Column | str, v: Column | str) -> DataFrame:
     """Distinct pairs of two keys without nulls."""
@@ -65,14 +71,36 @@ def core_round(edges: DataFrame, p: int, q: int) -> DataFrame:
     return edges.join(right, "v", "left_semi")
 
 
-def core_reduce(edges: DataFrame, p: int, q: int, max_rounds: int | None = None, least_gain: float = 0.0) -> DataFrame:
+def core_in_one_task(edges: DataFrame, p: int, q: int) -> DataFrame:
+    """The fixpoint of core_round() in one task, for edges that fit there."""
+
+    def peel(group: pd.DataFrame) -> pd.DataFrame:
+        u, v = pd.factorize(group["u"])[0], pd.factorize(group["v"])[0]
+        at = np.arange(len(group))
+        while True:
+            keep = (np.bincount(u)[u] >= q) & (np.bincount(v)[v] >= p)
+            if keep.all():
+                return group.iloc[at]
+            u, v, at = u[keep], v[keep], at[keep]
+            if not len(at):
+                return group.iloc[at]
+
+    return edges.groupBy(F.lit(0).alias("one")).applyInPandas(lambda g: peel(g), edges.schema)
+
+
+def core_reduce(edges: DataFrame, p: int, q: int, max_rounds: int | None = None, least_gain: float = 0.0, one_task: int = CORE_EDGES) -> DataFrame:
     """Edges that can be in a (p,q)-biclique by their degrees, to the fixpoint; or until a round takes away a share
-    of ``least_gain`` or less, as every result on the way has all bicliques."""
+    of ``least_gain`` or less, as every result on the way has all bicliques. Once no more than ``one_task`` edges are
+    left, the rest of the way to the fixpoint is one task's: rounds of few edges cost their scheduling only."""
     edges = written(edges, "core")
     size, rounds = edges.count(), 0
+    plain = edges.columns == ["u", "v"] and all(isinstance(f.dataType, IntegralType | StringType) for f in edges.schema)
     while size and (max_rounds is None or rounds < max_rounds):
-        smaller = written(core_round(edges, p, q), "core")
+        fits = plain and max_rounds is None and not least_gain and size <= one_task
+        smaller = written(core_in_one_task(edges, p, q) if fits else core_round(edges, p, q), "core")
         discard(edges)
+        if fits:
+            return smaller
         left = smaller.count()
         edges, gone, size, rounds = smaller, size - left, left, rounds + 1
         if gone <= least_gain * (left + gone):

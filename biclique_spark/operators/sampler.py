@@ -13,7 +13,7 @@ from __future__ import annotations
 import hashlib
 from collections.abc import Iterator
 
-
+import numpy as np
 import pandas as pd
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
@@ -26,6 +26,8 @@ from biclique_spark.sources.io import written
 ONE = 1 << DRAW_BITS
 #: Buckets of the two-level cumulative weights.
 BUCKETS = 64
+#: Edges of a vertex beyond which the kernel looks at them as arrays.
+HUB = 128
 
 
 def _samples(df: DataFrame, first: int, t: int) -> DataFrame:
@@ -66,14 +68,23 @@ def sample_last_edges(index: DataFrame, p: int, q: int, t: int, seed: int = 1, f
     return drawn.select("sample_id", "u", "v", "cu", "cv", "w")
 
 
+def degree(edges: DataFrame, side: str) -> DataFrame:
+    """(id, d) of a side's vertices."""
+    return edges.groupBy(F.col(side).alias("id")).agg(F.count(F.lit(1)).alias("d"))
+
+
 def start(last: DataFrame) -> DataFrame:
     """Walks at their last edge: chosen vertices of both sides, and the product of shares so far."""
     return last.select("sample_id", "u", "v", "cu", "cv", "w", F.array("u").alias("us"), F.array("v").alias("vs"), F.lit(1.0).alias("ratio"))
 
 
-def walk_step(walks: DataFrame, index: DataFrame, edges: DataFrame, step: str, layer: int, seed: int, contain: str = "array", free: bool = False, near: dict[str, DataFrame] | None = None) -> DataFrame:
+def walk_step(walks: DataFrame, index: DataFrame, edges: DataFrame, step: str, layer: int, seed: int, contain: str = "array", free: bool = False, near: dict[str, DataFrame] | None = None, meet: str = "shared", sizes: dict[str, DataFrame] | None = None) -> DataFrame:
     """One step back, to ``layer``. Walks without candidates end and are not returned.
 
+    meet: candidates are found among the index edges of the endpoint that is kept ('shared'), or among the neighbours
+    of the chosen vertex of that side with fewest ('least'), which spares walks at a hub the hub's edges: they only look
+    the candidates' edges up by both ends. sizes: degrees (id, d) of both sides, where stored.
+
     contain: 'array' looks candidates up in the neighbour array of the vertex, 'join' counts joined edges.
     free: without the test of adjacency (plain brooms, shares stay 1). near: adjacency of both sides, where stored.
     """
@@ -81,7 +92,15 @@ def walk_step(walks: DataFrame, index: DataFrame, edges: DataFrame, step: str, l
     shared, other, color = ("u", "v", "cv") if step == "U" else ("v", "u", "cu")
     chosen = "us" if step == "U" else "vs"  # the side that a candidate must be adjacent to
     i = index.where(F.col(f"w{layer}") > 0).select(F.col(shared).alias("s"), F.col(other).alias("x"), F.col("cu").alias("ncu"), F.col("cv").alias("ncv"), F.col(f"w{layer}").alias("nw"))
-    c = walks.join(i, walks[shared] == i.s).where(F.col(f"n{color}") < F.col(color))
+    if meet == "least" and not free:
+        d = sizes[shared] if sizes else degree(edges, shared)
+        picked = walks.select("sample_id", F.explode(chosen).alias("id")).join(d, "id")
+        picked = picked.groupBy("sample_id").agg(F.min(F.struct("d", "id")).getField("id").alias("m"))
+        around = edges.select(F.col(shared).alias("m"), F.col(other).alias("x"))
+        c = walks.join(picked, "sample_id").join(around, "m").drop("m").withColumn("s", F.col(shared)).join(i, ["s", "x"])
+    else:
+        c = walks.join(i, walks[shared] == i.s)
+    c = c.where(F.col(f"n{color}") < F.col(color))
     if not free:
         if contain == "array":
             of = near[other] if near else adjacency(edges, other)
@@ -110,16 +129,17 @@ def walk_step(walks: DataFrame, index: DataFrame, edges: DataFrame, step: str, l
     )
 
 
-def sample_walks(index: DataFrame, edges: DataFrame, p: int, q: int, t: int, seed: int = 1, contain: str = "array", engine: str = "join", first: int = 0, free: bool = False, cut: int = 3) -> DataFrame:
+def sample_walks(index: DataFrame, edges: DataFrame, p: int, q: int, t: int, seed: int = 1, contain: str = "array", engine: str = "join", first: int = 0, free: bool = False, cut: int = 3, meet: str = "shared") -> DataFrame:
     """sample_id, us, vs, ratio of the walks that finish; the others count as 0. The joins write a table every
-    ``cut`` steps, so that plans stay short and lost executors cost little."""
+    ``cut`` steps, so that plans stay short and lost executors cost little. meet: see walk_step(); walks are the same."""
     if engine == "local":
         return _local_walks(index, p, q, t, seed, first, free)
     walks = written(start(sample_last_edges(index, p, q, t, seed, first)), "walks")
     steps = broom_steps(p, q)
     near = None if free or contain != "array" else {s: written(adjacency(edges, s), "adjacency") for s in ("u", "v")}
+    sizes = {s: written(degree(edges, s), "degrees") for s in ("u", "v")} if meet == "least" and not free else None
     for done, layer in enumerate(range(p + q - 2, 0, -1), 1):
-        walks = walk_step(walks, index, edges, steps[layer - 1], layer, seed, contain, free, near)
+        walks = walk_step(walks, index, edges, steps[layer - 1], layer, seed, contain, free, near, meet, sizes)
         if done % cut == 0:
             walks = written(walks, "walks")
     return walks.select("sample_id", "us", "vs", "ratio")
@@ -157,6 +177,26 @@ def _local_walks(index: DataFrame, p: int, q: int, t: int, seed: int, first: int
         d = shared.value
         u, v, w = d["u"], d["v"], d["w"]
         colors = {"U": d["vs"]["cv"].to_numpy(), "V": d["us"]["cu"].to_numpy()}
+        limit = {"U": d["vs"]["cv"].to_numpy(), "V": d["us"]["cu"].to_numpy()}
+        ws_of = [np.array(x, dtype=object if exact else float) for x in w]
+        hubs: dict[tuple[str, int], tuple[np.ndarray, np.ndarray]] = {}
+
+        def among_hub(step: str, vertex: int, edges_: list[int], near: int, at: int, layer: int) -> tuple[np.ndarray, np.ndarray]:
+            """Candidates (edge, vertex) of a hub and sums of their weights, as arrays."""
+            if (step, vertex) not in hubs:
+                own = np.array(edges_)
+                hubs[step, vertex] = own, (v if step == "U" else u)[own]
+            own, xs = hubs[step, vertex]
+            n = np.searchsorted(xs, np.searchsorted(limit[step], limit[step][at]))
+            own, xs = own[:n], xs[:n]
+            live = (ws_of[layer - 1][own] > 0).astype(bool)
+            if not free:
+                size = len(limit[step])
+                bits = np.unpackbits(np.frombuffer(near.to_bytes(size // 8 + 1, "little"), np.uint8), bitorder="little")
+                live &= bits[xs].astype(bool)
+            own = own[live]
+            return own, np.cumsum(ws_of[layer - 1][own])
+
         of_u: dict[int, list[int]] = {}
         of_v: dict[int, list[int]] = {}
         bits_u: dict[int, int] = {}
@@ -188,6 +228,9 @@ def _local_walks(index: DataFrame, p: int, q: int, t: int, seed: int, first: int
                     color, near = colors[step], common[step]
                     of, other, at = (of_u[a], v, b) if step == "U" else (of_v[b], u, a)
                     found, upto, sums = [], 0, []
+                    if len(of) > HUB:
+                        found, sums = among_hub(step, a if step == "U" else b, of, near, at, layer)
+                        upto, of = sums[-1] if len(sums) else 0, []
                     for k in of:
                         x = int(other[k])
                         if color[x] >= color[at]:
@@ -200,7 +243,11 @@ def _local_walks(index: DataFrame, p: int, q: int, t: int, seed: int, first: int
                         break
                     ratio *= float(upto) / float(w[layer][e])
                     r = _number(seed, sample, layer) * upto
-                    k, x = found[min(bisect_right([s * ONE for s in sums], r), len(found) - 1)]
+                    if isinstance(sums, np.ndarray):
+                        k = int(found[min(int(np.searchsorted(sums * ONE, r, side="right")), len(found) - 1)])
+                        x = int(other[k])
+                    else:
+                        k, x = found[min(bisect_right([s * ONE for s in sums], r), len(found) - 1)]
                     e = k
                     if step == "U":
                         b = x

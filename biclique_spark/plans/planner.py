@@ -14,6 +14,9 @@ LOCAL_WEIGHTS = 20_000_000
 #: The kernel also keeps each vertex's neighbours as bits: at most a bit for each pair of vertices, in so many bytes.
 LOCAL_BITS_BYTES = 256 << 20
 GREEDY_EDGES = 1_000_000
+#: Beyond this degree, walks meet the neighbours of the chosen vertex with fewest, and adjacency is counted by joins
+#: instead of looked up in an array of all neighbours.
+HUB_DEGREE = 100_000
 
 
 @dataclass(frozen=True)
@@ -23,6 +26,8 @@ class Choice:
     weight: str
     transpose: bool
     blocks: int | None
+    meet: str = "shared"
+    contain: str = "array"
 
 
 def statistics(edges: DataFrame) -> dict[str, int]:
@@ -41,4 +46,6 @@ def choose(stats: dict[str, int], p: int, q: int) -> Choice:
         weight="double",
         transpose=len(broom_runs(q, p)) < len(broom_runs(p, q)),
         blocks=4096 if max(stats["max_u"], stats["max_v"]) > 5_000_000 else None,
+        meet="least" if max(stats["max_u"], stats["max_v"]) > HUB_DEGREE else "shared",
+        contain="join" if max(stats["max_u"], stats["max_v"]) > HUB_DEGREE else "array",
     )

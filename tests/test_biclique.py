@@ -118,7 +118,38 @@ def test_engines_and_forms_draw_the_same_walks(small):
         index = broom_index(colored_by_key(small), 3, 3, weight).cache()
         walk = lambda **k: sorted((r.sample_id, tuple(r.us), tuple(r.vs), round(r.ratio, 12)) for r in sampler.sample_walks(index, small, 3, 3, 80, 5, **k).collect())  # noqa: B023, E731
         a = walk()
-        assert a and a == walk(contain="join") == walk(engine="local")
+        assert a and a == walk(contain="join") == walk(engine="local") == walk(meet="least", contain="join")
+
+
+def test_engines_agree_at_hubs(spark):
+    """Left vertices with more edges than sampler.HUB: the kernel looks at them as arrays."""
+    e = spark.range(3 * 300).select((F.col("id") % 3).alias("u"), F.floor(F.col("id") / 3).alias("v")).where("(u + v) % 7 != 0")
+    for weight in ("decimal", "double"):
+        index = broom_index(colored_by_key(e), 2, 3, weight).cache()
+        walk = lambda **k: sorted((r.sample_id, tuple(r.us), tuple(r.vs), round(r.ratio, 12)) for r in sampler.sample_walks(index, e, 2, 3, 60, 5, **k).collect())  # noqa: B023, E731
+        a = walk()
+        assert a and a == walk(engine="local") == walk(meet="least")
+
+
+def test_core_in_one_task_is_the_core(small):
+    for p, q in ((2, 2), (3, 4), (9, 9)):
+        assert set(rows(G.core_reduce(small, p, q).select("u", "v"))) == set(rows(G.core_reduce(small, p, q, one_task=0).select("u", "v")))
+
+
+def test_first_fit_takes_the_smallest_legal_color():
+    rng = random.Random(3)
+    for case in range(60):
+        n, m = rng.randint(1, 40), rng.randint(1, 150 if case % 2 else 10)
+        near = {x: {y for y in range(m) if rng.random() < 0.5 * rng.random()} for x in range(n)}
+        for threshold in (1, 2, 4):
+            shared = lambda x, group: sum(any(y in near[z] for z in group if z != x) for y in near[x])  # noqa: B023, E731
+            expected: dict[int, int] = {}
+            for x in near:
+                c = 1
+                while any(shared(z, group) >= threshold for group in [[k for k, v in expected.items() if v == c] + [x]] for z in group):
+                    c += 1
+                expected[x] = c
+            assert coloring.first_fit([(x, list(ys)) for x, ys in near.items()], threshold) == expected
 
 
 def test_estimates_are_close(spark, small):
