@@ -87,11 +87,13 @@ class Encoder:
             s = self.hash(t)
             self.token[s], self.packed[s] = t, struct.pack("<I", r)
         self.bytes_of = dict.fromkeys(range(max(ranks.values(), default=-1) + 1), b"") | {r: t for t, r in ranks.items()}
+        # Two generations of each table: what is used again moves to the younger one, the elder is dropped.
         self.of_piece: dict[str, bytes] = {}
         self.of_word: dict[str, bytes] = {}
+        self.elder: tuple[dict[str, bytes], dict[str, bytes]] = {}, {}
         self.held = 0
 
-    def word(self, word: str) -> bytes:
+    def word(self, word: str, remember: bool = True) -> bytes:
         """A pre-token's ids as little-endian 32-bit integers; what tier 2 found is remembered."""
         raw = word.encode("utf-8", "surrogatepass")
         s = self.hash(raw)
@@ -99,29 +101,39 @@ class Encoder:
             return self.packed[s]
         ids = self.of_word.get(word)
         if ids is None:
-            found = self.merged(raw)
-            ids = self.of_word[word] = struct.pack(f"<{len(found)}I", *found)
-            self.held += ENTRY + len(word) + len(ids)
+            ids = self.elder[1].get(word)
+            if ids is None:
+                found = self.merged(raw)
+                ids = struct.pack(f"<{len(found)}I", *found)
+            if remember:
+                self.of_word[word] = ids
+                self.held += ENTRY + len(word) + len(ids)
         return ids
 
     def merged(self, raw: bytes) -> list[int]:
-        """Tier 2. Parts are named by where they start; end[i] is where part i ends, 0 once it is gone."""
+        """Tier 2. Parts are named by where they start; end[i] is where part i ends, pair[i] the rank of part i with
+        the next one. The heap holds rank and start as one number, which is stale where pair[i] has another rank."""
         n, rank_of = len(raw), self.ranks.get
         end, before = list(range(1, n + 1)), list(range(-1, n - 1))
-        heap = [(r, i, i + 2) for i in range(n - 1) if (r := rank_of(raw[i : i + 2])) is not None]
+        pair = [rank_of(raw[i : i + 2]) for i in range(n - 1)] + [None]
+        heap = [r * n + i for i, r in enumerate(pair) if r is not None]
         heapq.heapify(heap)
         while heap:
-            _, i, stop = heapq.heappop(heap)
+            r, i = divmod(heapq.heappop(heap), n)
+            if pair[i] != r:
+                continue
             j = end[i]
-            if not j or j >= n or end[j] != stop:
-                continue  # one of the two has changed since
-            end[i], end[j] = stop, 0
+            end[i] = stop = end[j]
+            pair[i] = pair[j] = None
             if stop < n:
                 before[stop] = i
                 if (r := rank_of(raw[i : end[stop]])) is not None:
-                    heapq.heappush(heap, (r, i, end[stop]))
-            if (p := before[i]) >= 0 and (r := rank_of(raw[p:stop])) is not None:
-                heapq.heappush(heap, (r, p, stop))
+                    pair[i] = r
+                    heapq.heappush(heap, r * n + i)
+            if (p := before[i]) >= 0:
+                pair[p] = r = rank_of(raw[p:stop])
+                if r is not None:
+                    heapq.heappush(heap, r * n + p)
         out, i = [], 0
         while i < n:
             out.append(self.ranks[raw[i : end[i]]])
@@ -129,18 +141,24 @@ class Encoder:
         return out
 
     def piece(self, piece: str) -> bytes:
-        return b"".join(map(self.word, self.find(piece)))
+        words = self.find(piece)
+        if len(words) == 1:  # remembered as a piece
+            return self.word(words[0], False)
+        return b"".join(map(self.word, words))
 
     def encode(self, text: str) -> bytes:
         """All ids of a text. Only pieces that the table doesn't know are matched against the pattern; a long text is
         looked up part by part, so the tables outgrow their bound by one part at most."""
         all_, out = pieces(text) if self.cuttable else [text], []
         for at in range(0, len(all_), PART):
-            if self.held > KEPT:
-                self.of_piece, self.of_word, self.held = {}, {}, 0
+            if self.held > KEPT // 2:
+                self.elder, self.of_piece, self.of_word, self.held = (self.of_piece, self.of_word), {}, {}, 0
             part, known = all_[at : at + PART], self.of_piece
             for p in {p for p in part if p not in known}:
-                ids = known[p] = self.piece(p)
+                ids = self.elder[0].get(p)
+                if ids is None:
+                    ids = self.piece(p)
+                known[p] = ids
                 self.held += ENTRY + len(p) + len(ids)
             out.append(b"".join(map(known.__getitem__, part)))
         return out[0] if len(out) == 1 else b"".join(out)
