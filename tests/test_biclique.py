@@ -121,6 +121,25 @@ def test_engines_and_forms_draw_the_same_walks(small):
         assert a and a == walk(contain="join") == walk(engine="local") == walk(meet="least", contain="join")
 
 
+def test_draws_follow_their_sql_beyond_small_graphs(spark):
+    """Over 8,192 edges: more groups than buckets, in the order of the SQL's 64 buckets (colors few on the left, or many)."""
+    import duckdb
+
+    from biclique_spark.operators.index import sql_layers
+
+    for left, right in ((400, 50), (7, 3000)):
+        e = spark.range(left * right).select((F.col("id") % left).alias("u"), F.floor(F.col("id") / left).alias("v")).where("(u * 31 + v * 17) % 5 <> 0")
+        index = broom_index(colored_by_key(e), 2, 2, "decimal").cache()
+        assert index.count() > 8192 and sampler.group_widths(index.count(), left, right) != (left, right)
+        sql = f"select distinct i % {left} as u, i // {left} as v from range({left * right}) t(i) where (i % {left} * 31 + i // {left} * 17) % 5 <> 0"
+        walks = f"with {sql_layers(sql, 2, 2)}, {sampler.sql_walks(2, 2, 40, 3)}"
+        want = sorted(duckdb.sql(f"{walks} select sample_id, u, v from k3").fetchall())
+        assert sorted(map(tuple, sampler.sample_last_edges(index, 2, 2, 40, 3).select("sample_id", "u", "v").collect())) == want
+        for engine in ("join", "local"):
+            got = sampler.sample_walks(index, e, 2, 2, 40, 3, engine=engine).select("sample_id", "us", "vs").collect()
+            assert sorted((r.sample_id, list(r.us), list(r.vs)) for r in got) == sorted(duckdb.sql(f"{walks} select sample_id, us, vs from k1").fetchall())
+
+
 def test_engines_agree_at_hubs(spark):
     """Left vertices with more edges than sampler.HUB: the kernel looks at them as arrays."""
     e = spark.range(3 * 300).select((F.col("id") % 3).alias("u"), F.floor(F.col("id") / 3).alias("v")).where("(u + v) % 7 != 0")
