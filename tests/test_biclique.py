@@ -238,6 +238,67 @@ def test_bounds_and_measures(spark, small):
     assert all(x.broom_ratio >= 1 and x.zigzag_ratio is not None for x in ratios)
 
 
+def test_large_sample_bounds_equal_their_sql(spark):
+    """Rounded up from doubles: operations in another order, or 2 eps^2 off by a unit, are other whole numbers."""
+    import duckdb
+
+    pairs = [(float(10**12 + 7919 * i), float(1_000_003 + i)) for i in range(200)]
+    df = spark.createDataFrame(pairs, "b double, c double")
+    got = [r[0] for r in df.select("b", scalar.required_samples(F.col("b"), F.col("c"), 0.1, 0.05).cast("long").alias("n")).orderBy("b").select("n").collect()]
+    want = duckdb.sql("select ceil(b * b / (c * c) / (2 * 0.1 * 0.1) * ln(2 / 0.05))::bigint from (select (1000000000000 + 7919 * i)::double as b, (1000003 + i)::double as c from range(200) t(i)) order by b").fetchall()
+    assert got == [r[0] for r in want]
+
+
+@pytest.mark.parametrize("name", ["broom_shape", "broom_runs", "complete_graph_closed_form", "binomials"])
+def test_closed_forms_on_given_tables(spark, name):
+    """Each reads a given table by Spark, and equals its SQL."""
+    import duckdb
+
+    from biclique_spark.plans import relational
+
+    f, sql = {**queries.QUERIES, **relational.QUERIES}[name], {**queries.ORACLES, **relational.ORACLES}[name]
+    df = f(spark, SF)
+    assert df.inputFiles() and any("lineitem" in x for x in df.inputFiles())
+    con = duckdb.connect()
+    for t in ("lineitem", "orders"):
+        con.execute(f"create view {t} as select * from '{SF}/{t}.parquet'")
+    got, want = sorted(map(tuple, df.collect()), key=str), sorted(con.execute(sql).fetchall(), key=str)
+    assert got == want and len(got) > (name != "complete_graph_closed_form")
+
+
+def test_products_beyond_a_double(spark, tmp_path):
+    """400 neighbours of degree 50: their product has 680 digits."""
+    rows = spark.range(400 * 50).select((F.col("id") % 50).alias("user_id"), F.concat(F.lit('{"k": '), F.floor(F.col("id") / 50).cast("string"), F.lit("}")).alias("props"))
+    rows.write.parquet(str(tmp_path / "events.parquet"))
+    from biclique_spark.plans import relational
+
+    out = relational.QUERIES["degree_products"](spark, str(tmp_path)).collect()
+    assert len(out) == 50 and all(r.agrees and abs(r.log_product - 400 * math.log(50)) < 1e-5 for r in out)
+
+
+def test_counts_on_twins(spark):
+    """Twins on both sides and a right vertex of all: counts and participations as by brute force, few rows of tuples."""
+    from biclique_spark.operators import twins
+
+    near = {u: {0, *range(1 + u % 3, 4 + u % 3), 7 + u // 10} for u in range(30)}
+    pairs = [(u, v) for u, vs in near.items() for v in vs]
+    e = spark.createDataFrame(pairs, "u long, v long")
+    t = twins.twins(e)
+    assert t.edges.count() < len(pairs) / 3 and sum(r.mx * r.my for r in t.edges.collect()) == len(pairs)
+    for p, q in ((2, 3), (4, 3)):
+        n = brute(pairs, p, q)
+        assert one(twins.count(e, p, q)) == n == one(exact.count_vertex_expand(G.transpose(e), q, p))
+        assert one(exact.count_vertex_expand_kernel(e, p, q)) == n == one(exact.count_edge_pivot(e, p, q))
+    halves = [exact.count_edge_pivot(e, 3, 2, part) for part in hybrid.split_dense_sparse(e)]
+    assert one(halves[0]) + one(halves[1]) == brute(pairs, 3, 2) and one(halves[0])
+    for p, q in ((3, 2),):
+        for side, ends in (("u", pairs), ("v", [(v, u) for u, v in pairs])):
+            s, o = (p, q) if side == "u" else (q, p)
+            whole = brute(ends, s, o)
+            want = {x: n for x in {a for a, _ in ends} if (n := whole - brute([e for e in ends if e[0] != x], s, o))}
+            assert {r.vertex: int(r.bicliques) for r in measures.participation(e, p, q, side).collect()} == want
+
+
 def test_more_samples_help(small):
     c = brute(rows(small), 3, 3)
     errors = [measures.mean_error(estimator.estimate_repeated(small, 3, 3, t, 10), c).first()["mean_error"] for t in (10, 1_000)]
