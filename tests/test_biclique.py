@@ -171,6 +171,19 @@ def test_first_fit_takes_the_smallest_legal_color():
             assert coloring.first_fit([(x, list(ys)) for x, ys in near.items()], threshold) == expected
 
 
+@pytest.mark.parametrize("strategy", ["conflict", "rounds"])
+def test_twins_are_colored_together(spark, strategy, monkeypatch):
+    """40 vertices with the same neighbours, 3 with some of them and 30 with too few: rounds by class, not by vertex."""
+    pairs = [(u, v) for u in range(40) for v in range(3)] + [(u, v) for u in (50, 51, 52) for v in range(1, 5)] + [(u, 9) for u in range(60, 90)]
+    e, tables = spark.createDataFrame(pairs, "u long, v long"), []
+    kept = coloring.written
+    monkeypatch.setattr(coloring, "written", lambda df, name: tables.append(name) or kept(df, name))
+    colors = coloring.color_side(e, "u", 3, "random", 1, strategy).cache()
+    assert colors.count() == colors.select("u").distinct().count() == 73 and len(tables) < 40
+    assert coloring.coloring_violations(e, colors, "u", 3).count() == 0
+    assert colors.where("u < 40").select("color").distinct().count() == 40
+
+
 def test_estimates_are_close(spark, small):
     c = brute(rows(small), 3, 3)
     for options in ({}, {"strategy": "none"}, {"reduce": "split", "strategy": "none"}, {"relabel": 3}):
