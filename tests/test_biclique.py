@@ -184,6 +184,22 @@ def test_twins_are_colored_together(spark, strategy, monkeypatch):
     assert colors.where("u < 40").select("color").distinct().count() == 40
 
 
+@pytest.mark.parametrize("strategy", ["greedy", None])
+def test_survivors_of_legal_and_other_colorings(spark, small, strategy, monkeypatch):
+    from biclique_spark.operators import index
+
+    def refuse(*_):
+        raise AssertionError("brooms of a legal coloring need not be listed")
+
+    if strategy:
+        monkeypatch.setattr(index, "broom_list", refuse)
+        assert one(coloring.survivors(coloring.color_graph(small, 3, 3, "random", 1, strategy), small, 3, 3)) == brute(rows(small), 3, 3)
+        return
+    colored = small.withColumns({"cu": F.pmod(F.xxhash64("u"), F.lit(5)).cast("int") + 1, "cv": F.pmod(F.xxhash64("v"), F.lit(5)).cast("int") + 1})
+    listed = broom_list(colored, 3, 3).withColumn("sample_id", F.monotonically_increasing_id())
+    assert one(coloring.survivors(colored, small, 3, 3)) == sampler.complete(listed.cache(), small).count() < brute(rows(small), 3, 3)
+
+
 def test_estimates_are_close(spark, small):
     c = brute(rows(small), 3, 3)
     for options in ({}, {"strategy": "none"}, {"reduce": "split", "strategy": "none"}, {"relabel": 3}):
