@@ -109,6 +109,14 @@ def give_back() -> None:
         trim(0)
 
 
+def shrink_heaps(spark: SparkSession) -> None:
+    """Have the executors' JVMs collect now and return the room that earlier steps took: their heaps else stay as large as
+    they ever were, beside Python workers that need the memory. A task for each core, so that every executor has one."""
+    n = spark.sparkContext.defaultParallelism
+    collect = F.expr("java_method('java.lang.System', 'gc')").alias("done")
+    spark.range(0, n, 1, n).select(collect).write.format("noop").mode("overwrite").save()
+
+
 def lean(run: Callable[..., Iterator[pa.RecordBatch]]) -> Callable[..., Iterator[pa.RecordBatch]]:
     """A function of Arrow batches, or of a key and the batches of its group, that gives memory back at its end."""
 

@@ -29,3 +29,20 @@ def test_stages(spark):
 def test_queries_are_registered():
     assert [n.split("_")[0] for n in sorted(queries.QUERIES, key=lambda n: int(n[2:].split("_")[0]))] == [f"op{i}" for i in range(1, 11)]
     assert exact_dedup.STATE
+
+
+def test_heaps_are_shrunk_before_the_later_stages(spark, monkeypatch):
+    import corpus_pipeline
+    from biclique_spark.llm import common
+
+    beans = spark._jvm.java.lang.management.ManagementFactory.getGarbageCollectorMXBeans()
+    spent = lambda: sum(beans.get(i).getCollectionCount() for i in range(beans.size()))
+    before = spent()
+    common.shrink_heaps(spark)
+    assert spent() > before
+    calls = []
+    monkeypatch.setattr(corpus_pipeline, "shrink_heaps", calls.append)
+    docs = spark.createDataFrame([(1, "one two three", "en", "a", 13)], "doc_id long, text string, lang string, source string, n_chars long")
+    for _, stage in corpus_pipeline.STAGES[2:]:
+        stage(spark, docs, "")
+    assert len(calls) == 3
