@@ -441,3 +441,15 @@ def test_bucketed_table(spark):
         assert spark.table("edges_by_u").count() == 2
     finally:
         spark.sql("drop table edges_by_u")
+
+
+def test_listing_stores_no_table_longer_than_the_edges(spark, tmp_path, monkeypatch):
+    """Of many twins there are more tuples than edges, and more bicliques still."""
+    monkeypatch.setattr(exact, "PIECE", 1000)
+    e = spark.createDataFrame([(u, f"v{v}") for u in range(40) for v in range(8) if (u % 2, v) != (1, 7)], "u long, v string")
+    number = itertools.count()
+    monkeypatch.setattr(io, "shared_dir", lambda s, name: f"file://{tmp_path}/{name}-{next(number)}")
+    rows = exact.list_bicliques(e, 3, 2).collect()
+    want = {(a, tuple(f"v{v}" for v in b)) for a in itertools.combinations(range(40), 3) for b in itertools.combinations(range(8 if not any(x % 2 for x in a) else 7), 2)}
+    assert len(rows) == len(want) and {(tuple(r.us), tuple(r.vs)) for r in rows} == want
+    assert max(spark.read.parquet(f"file://{x}").count() for x in tmp_path.iterdir() if any(x.glob("*.parquet"))) <= 300
