@@ -41,3 +41,19 @@ def test_sessions_and_coactions(spark):
     e = spark.createDataFrame([(1, "a", 0), (1, "b", 60), (1, "a", 10_000_000), (2, "a", 100), (3, "b", 90_000)], "user_id long, event_type string, s long").withColumn("ts", F.timestamp_seconds("s"))
     assert sorted((r.u, r.degree) for r in S.session_graphs(e).collect()) == [(1, 1), (1, 2), (2, 1), (3, 1)]
     assert [tuple(r) for r in S.coaction_edges(e).collect()] == [(1, 2)]
+
+
+def test_coactions_of_blocks_of_users(spark, monkeypatch):
+    """Blocks, slices of them and parts of meetings are small; pairs are not dealt out to be made distinct."""
+    rows = [(f"u{i * 7 % 23}", i % 3, i * 613 % 9_973 * 20) for i in range(400)] + [("u1", 0, 5), ("u1", 0, 5), (None, 0, 5), ("u2", None, 5)]
+    e = spark.createDataFrame(rows, "user_id string, event_type int, s long").withColumn("ts", F.timestamp_seconds("s"))
+    whole = [r for r in rows if None not in r]
+    want = sorted({(a[0], b[0]) for a in whole for b in whole if a[0] < b[0] and a[1] == b[1] and abs(a[2] - b[2]) <= 3600})
+    for block, marks, meetings in ((1 << 16, 1 << 26, 1 << 22), (50, 20, 30)):
+        monkeypatch.setattr(S, "BLOCK", block)
+        monkeypatch.setattr(S, "MARKS", marks)
+        monkeypatch.setattr(S, "MEETINGS", meetings)
+        out = S.coaction_edges(e)
+        assert sorted(map(tuple, out.collect())) == want
+        assert "Exchange hashpartitioning" not in out._jdf.queryExecution().toString()
+    assert not S.coaction_edges(e.where("s < 0")).count()
