@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from biclique_spark.llm.common import lean, size_of, written
+from biclique_spark.llm.common import lean, shrink_heaps, size_of, written
 from biclique_spark.llm.words import mixed, new_key, runs, word_codes
 
 #: Cells for each window expected; the largest sketch (its bits are broadcast: 2^30 cells are 128 MB).
@@ -105,6 +105,7 @@ def repeats(docs: DataFrame, window: int, id_col: str, text_col: str) -> DataFra
     pairs of little-endian 32-bit numbers, from and up to. Ranges send what they find to buckets of documents, packed,
     and a bucket puts each document's windows together."""
     spark = docs.sparkSession
+    shrink_heaps(spark)
     total, key = size_of(docs, text_col), new_key()
     rows = _rows(docs, id_col, text_col).where("doc_id is not null")
     bits = sketch_bits(total)
@@ -115,6 +116,7 @@ def repeats(docs: DataFrame, window: int, id_col: str, text_col: str) -> DataFra
         whole[part["range"]] = np.frombuffer(part["bitmap"], np.uint8)
     sketch = spark.sparkContext.broadcast(whole.ravel())
     del whole
+    shrink_heaps(spark)
     shift = np.uint64(64 - (ranges.bit_length() - 1))
 
     def bucket_of(doc: np.ndarray) -> np.ndarray:
@@ -228,7 +230,9 @@ def remove_repeats(docs: DataFrame, window: int = 13, id_col: str = "doc_id", te
     take none from others; rows that share an id take none from each other, nor do the windows of one text. An
     empty table gives an empty result; other columns are not read.
     """
-    found = repeats(docs, window, id_col, text_col)
+    # Stored, so that heaps can be shrunk before texts are read again: the pairs take little.
+    found = written(repeats(docs, window, id_col, text_col), "repeats")
+    shrink_heaps(docs.sparkSession)
     joined = _rows(docs, id_col, text_col).join(found, "doc_id", "left").select("doc_id", "text", "runs")
 
     def keep(source: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

@@ -168,3 +168,15 @@ def test_keep_one_judges_rows(spark):
     plain = ngram_join.keep_one(docs(spark, ["a b", "a  b", "c"], ids=[3, 1, 2]))
     assert sorted(r.doc_id for r in plain.collect()) == [1, 2] and len(plain.columns) == 9
     assert not ngram_join.keep_one(d.limit(0)).collect()
+
+
+def test_substring_dedup_shrinks_heaps_between_its_steps(spark, monkeypatch):
+    """Before the sketch, before windows are sent and before texts are read again; results are as ever."""
+    from biclique_spark.llm import substring
+
+    calls = []
+    monkeypatch.setattr(substring, "shrink_heaps", calls.append)
+    line = " ".join(f"w{i}" for i in range(13))
+    docs = spark.createDataFrame([(1, f"a {line}"), (2, f"{line} b"), (3, None)], "doc_id long, text string")
+    rows = {r.doc_id: (r.n_words, r.n_removed) for r in substring.remove_repeats(docs).collect()}
+    assert rows == {1: (14, 0), 2: (14, 13), 3: (0, 0)} and len(calls) == 3
