@@ -172,8 +172,6 @@ def test_keep_one_judges_rows(spark):
 
 def test_substring_dedup_shrinks_heaps_between_its_steps(spark, monkeypatch):
     """Before the sketch, before windows are sent and before texts are read again; results are as ever."""
-    from biclique_spark.llm import substring
-
     calls = []
     monkeypatch.setattr(substring, "shrink_heaps", calls.append)
     line = " ".join(f"w{i}" for i in range(13))
