@@ -171,6 +171,19 @@ def test_first_fit_takes_the_smallest_legal_color():
             assert coloring.first_fit([(x, list(ys)) for x, ys in near.items()], threshold) == expected
 
 
+def test_rounds_take_as_many_tints_as_rivals_need(spark, monkeypatch):
+    """300 vertices that all share two neighbours need 300 colors, which few blocks of many tints give; hubs that all of
+    a side share make no larger palettes where sharing them is legal."""
+    edges = spark.createDataFrame([(u, v) for u in range(300) for v in (-1, -2, u)], "u long, v long")
+    drawn, whole = [], coloring.written
+    monkeypatch.setattr(coloring, "written", lambda df, name: drawn.append(name) or whole(df, name))
+    colors = {r["u"]: r["color"] for r in coloring.rounds_side(edges, "u", 2).collect()}
+    assert len(colors) == 300 and len(set(colors.values())) == 300
+    assert drawn.count("color-settled") <= 8
+    pairs = coloring._classes(edges, "u", "random", 1)[0]
+    assert coloring.roomy_palette(pairs, 5) == coloring.PALETTE < coloring.roomy_palette(pairs, 2)
+
+
 @pytest.mark.parametrize("strategy", ["conflict", "rounds"])
 def test_twins_are_colored_together(spark, strategy, monkeypatch):
     """40 vertices with the same neighbours, 3 with some of them and 30 with too few: rounds by class, not by vertex."""
