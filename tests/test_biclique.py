@@ -466,3 +466,52 @@ def test_listing_stores_no_table_longer_than_the_edges(spark, tmp_path, monkeypa
     want = {(a, tuple(f"v{v}" for v in b)) for a in itertools.combinations(range(40), 3) for b in itertools.combinations(range(8 if not any(x % 2 for x in a) else 7), 2)}
     assert len(rows) == len(want) and {(tuple(r.us), tuple(r.vs)) for r in rows} == want
     assert max(spark.read.parquet(f"file://{x}").count() for x in tmp_path.iterdir() if any(x.glob("*.parquet"))) <= 300
+
+
+def test_a_tint_is_put_in_order_in_one_place(spark, monkeypatch):
+    """300 rivals in 8 tints: most withdraw in pass after pass, for which no table is stored."""
+    edges = spark.createDataFrame([(u, v) for u in range(300) for v in (-1, -2, u)], "u long, v long")
+    drawn, whole = [], coloring.written
+    monkeypatch.setattr(coloring, "written", lambda df, name: drawn.append(name) or whole(df, name))
+    colors = coloring.rounds_side(edges, "u", 2, palette=128, offers=2).collect()
+    assert len({r["color"] for r in colors}) == 300 and "color-kept" in drawn
+    assert max(drawn.count(n) for n in set(drawn)) <= drawn.count("color-kept") + 1
+
+
+def test_a_core_is_peeled_without_storing_its_rounds(spark, monkeypatch):
+    """A path that loses an end in each round, beside a graph that stays; more at once than PEELED are left to rounds."""
+    pairs = [(u, v) for u in range(6) for v in range(5)] + [(100 + i // 2, 100 + (i + 1) // 2) for i in range(4)] + [(0, 9)]
+    e, drawn, whole = spark.createDataFrame(pairs, "u long, v long"), [], G.written
+    monkeypatch.setattr(G, "written", lambda df, name: drawn.append(name) or whole(df, name))
+    assert sorted(rows(G.core_reduce(e, 2, 2, one_task=0))) == pairs[:30] and drawn.count("core") == 2
+    monkeypatch.setattr(G, "PEELED", 0)
+    assert G.core_by_peeling(e, 2, 2) is None and sorted(rows(G.core_reduce(e, 2, 2, one_task=0))) == pairs[:30]
+
+
+def test_pairs_are_counted_and_not_stored(spark, monkeypatch):
+    """Of pairs that share neighbours there are more than edges; blocks, meetings and names of any kind make no difference."""
+    from biclique_spark.operators import twins
+
+    rng = random.Random(5)
+    pairs = sorted({(u, v) for u in range(40) for v in rng.sample(range(40), 10)} | {(u, 50 + u % 2) for u in range(20)})
+    n, stored, whole = brute(pairs, 3, 2), [], twins.written
+
+    def kept(df, name):
+        out = whole(df, name)
+        stored.append(out.count())
+        return out
+
+    monkeypatch.setattr(twins, "written", kept)
+    e = spark.createDataFrame(pairs, "u long, v long")
+    assert one(twins.count(e, 3, 2)) == n and max(stored) <= len(pairs)
+    monkeypatch.setattr(twins, "BLOCK", 100)
+    monkeypatch.setattr(twins, "MEETINGS", 300)
+    copies = e.unionByName(e.select((F.col("u") + 1000).alias("u"), "v"))  # twins on the left
+    named = copies.select(F.concat(F.lit("a"), "u").alias("u"), F.concat(F.lit("b"), "v").alias("v"))
+    assert one(twins.count(named, 3, 2)) == brute(rows(copies), 3, 2)
+    assert one(twins.pair_count(twins.representatives(copies), 3)) == brute(rows(copies), 2, 3)
+
+
+def test_layers_stored_by_runs_are_the_same(small):
+    want = {tuple(r) for r in broom_index(colored_by_key(small), 3, 4, "decimal").collect()}
+    assert {tuple(r) for r in broom_index(colored_by_key(small), 3, 4, "decimal", cut=True).collect()} == want
