@@ -515,3 +515,14 @@ def test_pairs_are_counted_and_not_stored(spark, monkeypatch):
 def test_layers_stored_by_runs_are_the_same(small):
     want = {tuple(r) for r in broom_index(colored_by_key(small), 3, 4, "decimal").collect()}
     assert {tuple(r) for r in broom_index(colored_by_key(small), 3, 4, "decimal", cut=True).collect()} == want
+
+
+def test_large_exact_indexes_stay_off_the_driver(small, monkeypatch):
+    """Exact weights are objects: beyond LOCAL_EXACT walks are joins, and the same ones; doubles may still be sent."""
+    stats = planner.statistics(small) | {"edges": planner.LOCAL_EXACT}
+    assert [planner.choose(stats, 3, 4, w).engine for w in ("double", "decimal")] == ["local", "join"]
+    want = estimator.estimate(G.transpose(small), 3, 4, 60, strategy="none", weight="decimal").first()
+    monkeypatch.setattr(planner, "LOCAL_EXACT", 0)
+    monkeypatch.setattr(sampler, "_local_walks", None)
+    got = estimator.estimate(G.transpose(small), 3, 4, 60, strategy="none", weight="decimal").first()
+    assert (got.brooms, got.hits) == (want.brooms, want.hits) and abs(got.estimate - want.estimate) <= 1e-9 * want.estimate
